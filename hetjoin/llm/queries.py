@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, language_id, media_boxes, slack_packing, token_file
+from . import bpe, html_content, jaccard_join, language_id, media_boxes, paragraph_dedup, projected_nn, secret_scan, slack_packing, token_file
 from .shared import table
 
 
@@ -12,6 +12,15 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(table(spark, sf_dir, "documents"))
 
 
+def op2_paragraph_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return paragraph_dedup.dedup(table(spark, sf_dir, "documents"))
+
+
+def op3_projected_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = table(spark, sf_dir, "embeddings")
+    return projected_nn.search(vectors, vectors.where("vec_id % 100 = 0"))
+
+
 def op4_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return slack_packing.pack(table(spark, sf_dir, "documents"))
 
@@ -24,12 +33,24 @@ def op6_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file.store_and_read(table(spark, sf_dir, "documents"))
 
 
+def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.scan(table(spark, sf_dir, "documents"))
+
+
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.join(table(spark, sf_dir, "documents"))
+
+
 def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media_boxes.describe(media_boxes.store(table(spark, sf_dir, "documents")))
 
 
+def op10_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_content.extract(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op4_best_fit_packing, op5_bpe_round_trip, op6_token_file, op9_media_columns)}
+    return {f.__name__: f for f in (op1_language_id, op2_paragraph_dedup, op3_projected_neighbours, op4_best_fit_packing, op5_bpe_round_trip, op6_token_file, op7_secret_scan, op8_jaccard_join, op9_media_columns, op10_html_main_text)}
 
 
 def oracle_sql() -> dict[str, str]:
