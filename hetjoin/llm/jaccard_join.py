@@ -26,7 +26,7 @@ def band_of(n: np.ndarray) -> np.ndarray:
 
 
 def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
-    """A written row (doc_id, n, sid, where) for every document, and the sorted hashes of common shingles.
+    """A written row (doc_id, n, sid, doc) for every document, and the sorted hashes of common shingles.
 
     Every task also keeps a Misra-Gries summary of its shingles: ``SKETCH`` counters miss
     none whose share of the task's shingles is over 1 / SKETCH. Only the order of shingles
@@ -56,7 +56,7 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
         yield to_batch({"doc_id": pa.nulls(k, pa.int64()), "n": pa.nulls(k, pa.int64()), "sid": pa.array(keys[often].view(np.int64)), "seen": pa.array(counts[often], pa.int64())})
 
     both = written(arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n long, sid long, seen long"), "sets")
-    rows = both.where("seen is null").select("doc_id", "n", "sid", F.xxhash64("sid", "doc_id").alias("where"))
+    rows = both.where("seen is null").select("doc_id", "n", "sid", F.xxhash64("doc_id").alias("doc"))
     least = max(COMMON_LEAST, int(rows.count() * COMMON_SHARE))
     common = both.where("seen is not null").groupBy("sid").agg(F.sum("seen").alias("seen")).where(F.col("seen") >= least).orderBy(F.desc("seen"), "sid").limit(COMMON_MOST).toArrow()
     return rows, np.sort(common["sid"].to_numpy().astype(np.int64).view(np.uint64))
@@ -95,22 +95,17 @@ def prefixes(docs: DataFrame, common: np.ndarray) -> DataFrame:
 
 
 def texts_of(docs: DataFrame):
-    """Texts of the documents whose (sid, doc_id) is in a Bloom filter."""
-    chosen = docs.select("doc_id", "text")
+    """(sid, text) of the documents whose hashed doc_id is in a Bloom filter."""
+    chosen = docs.select(F.xxhash64("doc_id").alias("doc"), "text").where("text is not null")
 
     def give(bloom: Bloom) -> DataFrame:
         def run(batches):
             for batch in small_batches(batches):
-                sid = document_units(batch.column(1)).sequence_ids()
-                yield to_batch({"sid": pa.array(sid), "doc_id": batch.column(0), "text": batch.column(1)})
+                held = pa.array(np.flatnonzero(bloom.holds(np.asarray(batch.column(0)))))
+                texts = batch.column(1).take(held)
+                yield to_batch({"sid": pa.array(document_units(texts).sequence_ids()), "text": texts})
 
-        def keep(batches):
-            for batch in batches:
-                held = np.flatnonzero(bloom.holds(np.asarray(batch.column(2))))
-                yield to_batch({"sid": batch.column(0).take(pa.array(held)), "text": batch.column(1).take(pa.array(held))})
-
-        with_sid = arrow_map(chosen, run, "sid long, doc_id long, text string")
-        return arrow_map(with_sid.select("sid", "text", F.xxhash64("sid", "doc_id").alias("where")), keep, "sid long, text string")
+        return arrow_map(chosen, run, "sid long, text string")
 
     return give
 
@@ -122,7 +117,7 @@ def join(docs: DataFrame) -> DataFrame:
     repeat an id come out as often; a null id never names a component unless nothing else can.
     """
     rows, common = sets(docs)
-    owners = rows.where("sid is not null").groupBy("sid").agg(F.min(F.struct("doc_id", "where")).alias("x")).select("sid", F.col("x.where").alias("where"))
+    owners = rows.where("sid is not null").groupBy("sid").agg(F.min("doc").alias("doc")).select("sid", "doc", F.col("doc").alias("where"))
     keys = written(shared_keys(prefixes(docs, common)), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs))
     classes = rows.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("least"))

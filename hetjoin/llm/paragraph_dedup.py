@@ -91,13 +91,15 @@ def band_keys(docs: DataFrame, min_words: int = MIN_WORDS, bands: int = BANDS, r
 
 
 def texts_of(docs: DataFrame, min_words: int = MIN_WORDS):
-    """Paragraphs whose (sid, doc_id, text_hash, number) is in a Bloom filter."""
-    chosen = docs.select("doc_id", F.xxhash64("text").alias("text_hash"), "text").where("text is not null")
+    """(sid, text) of the paragraphs whose document and place are in a Bloom filter."""
+    text_hash = F.xxhash64("text")
+    chosen = docs.select("doc_id", text_hash.alias("text_hash"), F.xxhash64("doc_id", text_hash).alias("doc"), "text").where("text is not null")
 
     def give(bloom: Bloom) -> DataFrame:
         def run(batches):
             for batch in small_batches(batches):
-                p = Paragraphs(batch.column(2).to_pylist())
+                batch = batch.take(pa.array(np.flatnonzero(bloom.holds(np.asarray(batch.column(2))))))
+                p = Paragraphs(batch.column(3).to_pylist())
                 sids = p.units.sequence_ids()
                 at = np.flatnonzero(p.units.count >= min_words)
                 doc, text = (np.asarray(batch.column(c).fill_null(0)) for c in (0, 1))
@@ -129,11 +131,11 @@ def duplicates(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     def where(batches):
         for batch in batches:
             sid, doc, text, number = (np.asarray(batch.column(i).fill_null(0)) for i in range(4))
-            yield to_batch({"sid": batch.column(0), "where": pa.array(place(sid, doc, text, number))})
+            yield to_batch({"sid": batch.column(0), "doc": batch.column(4), "where": pa.array(place(sid, doc, text, number))})
 
-    owners = arrow_map(classes.select("sid", "first.doc_id", "first.text_hash", "first.number"), where, "sid long, where long")
+    owners = arrow_map(classes.select("sid", "first.doc_id", "first.text_hash", "first.number", F.xxhash64("first.doc_id", "first.text_hash").alias("doc")), where, "sid long, doc long, where long")
     keys = written(shared_keys(band_keys(docs, min_words)), "shared-keys")
-    roots = linked_classes(keys, owners, texts_of(docs, min_words), rounds=2, complete=False)
+    roots = linked_classes(keys, owners, texts_of(docs, min_words), rounds=1, complete=False)
     rooted = classes.join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
     groups = rooted.groupBy("root").agg(F.min("first").alias("keep"), F.sum("copies").alias("total")).where("total > 1")
     doomed = rooted.join(groups, "root").select("sid", "keep")

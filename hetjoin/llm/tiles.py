@@ -20,6 +20,7 @@ from .wordhash import shingle_set
 
 PERCENT = 80
 TILE = 256
+LONG_RUN = 16
 BLOOM_BITS = 1 << 25
 
 
@@ -103,100 +104,153 @@ def bitmap(values: np.ndarray, width: int) -> np.ndarray:
     return np.packbits(bits)
 
 
+def needed_overlap(n: int, m: int) -> int:
+    """The least intersection with which sets of these sizes are similar."""
+    return -(-PERCENT * (n + m) // (100 + PERCENT))
+
+
+def common(a: np.ndarray, b: np.ndarray) -> int:
+    """Size of the intersection of two sorted arrays, the second not empty."""
+    small, large = (a, b) if len(a) <= len(b) else (b, a)
+    return int((large[np.minimum(np.searchsorted(large, small), len(large) - 1)] == small).sum())
+
+
 def similar(a: np.ndarray, b: np.ndarray, bits_a: np.ndarray | None = None, bits_b: np.ndarray | None = None) -> bool:
     """Exact test of 100 * intersection >= 80 * union on sorted sets.
 
     Each bit that only one bitmap has stands for at least one element that only this set has;
     that bounds the intersection from above before it is computed.
     """
-    need = -(-PERCENT * (len(a) + len(b)) // (100 + PERCENT))
+    need = needed_overlap(len(a), len(b))
     if min(len(a), len(b)) < max(need, 1):
         return False
     if bits_a is not None and min(len(a) - int(np.bitwise_count(bits_a & ~bits_b).sum()), len(b) - int(np.bitwise_count(bits_b & ~bits_a).sum())) < need:
         return False
-    small, large = (a, b) if len(a) <= len(b) else (b, a)
-    at = np.searchsorted(large, small)
-    return int((large[np.minimum(at, len(large) - 1)] == small).sum()) >= need
+    return common(a, b) >= need
 
 
-def verify(pairs: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame]) -> DataFrame:
-    """The pairs (a, b) whose sets are similar.
+def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame]) -> DataFrame:
+    """Links (a, b) of classes a to a member b of the tile that ``pairs`` (a, tile) names, where the sets are similar.
 
-    ``owners`` has sid and ``where``, a hash that names one place of the class's text;
-    ``texts`` gives (sid, text) for the places in a Bloom filter. The tile of b holds b and up
-    to about ``TILE`` partners; a larger group becomes more tiles, each with its own copy of b.
+    ``tiles`` (tile, sid, one) lists the tiles' own classes. Where ``one`` is true they are one
+    pivot, or a block of one component, of which one link is as good as all. ``owners`` has sid, ``doc`` and ``where``, hashes that
+    name the document and the place of the class's text; ``texts`` gives (sid, text) for the
+    places in a Bloom filter. A tile meets about ``TILE`` partners at a time; a larger group
+    becomes more parts, each with its own copy of the tile.
     """
-    tiles = pairs.groupBy("b").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
-    members = pairs.join(tiles, "b").select(F.col("b").alias("tile"), F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"), F.col("a").alias("sid"))
-    pivots = tiles.select(F.col("b").alias("tile"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"), F.col("b").alias("sid"))
-    needed = pairs.select(F.col("a").alias("sid")).unionAll(tiles.select(F.col("b").alias("sid"))).distinct().join(owners, "sid")
-    rows = members.unionAll(pivots).join(texts(Bloom(needed, "where")), "sid").select("tile", "part", "role", "sid", "text")
+    parts = pairs.groupBy("tile").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
+    members = pairs.join(parts, "tile").select("tile", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"), F.col("a").alias("sid"), F.lit(True).alias("one"))
+    own = tiles.join(parts, "tile").select("tile", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"), "sid", "one")
+    needed = written(pairs.select(F.col("a").alias("sid")).unionAll(tiles.select("sid")).distinct().join(owners, "sid"), "needed")
+    bloom = Bloom(needed.select("where").unionAll(needed.select("doc")), "where")
+    rows = members.unionAll(own).join(texts(bloom), "sid").select("tile", "part", "role", "sid", "one", "text")
     dealt = rows.repartition("tile", "part").sortWithinPartitions("tile", "part", "role", "sid")
 
     def run(batches):
-        tile = pivot = own_bits = last = None
+        tile = last = union = None
+        one = True
+        block: list[tuple[int, np.ndarray, np.ndarray]] = []
         width = 6
         for batch in small_batches(batches):
             found: tuple[list, list] = ([], [])
-            names, parts, roles, sids = (batch.column(i).to_pylist() for i in range(4))
-            for i, text in enumerate(batch.column(4).to_pylist()):
+            names, parts, roles, sids, ones = (batch.column(i).to_pylist() for i in range(5))
+            for i, text in enumerate(batch.column(5).to_pylist()):
                 at = (names[i], parts[i], roles[i], sids[i])
                 if at == last:
                     continue
                 last = at
                 values = shingle_set(text)
-                if roles[i] == 0:
-                    tile, pivot = (names[i], parts[i]), values
+                if tile != at[:2]:
+                    tile, union, block = at[:2], None, []
                     width = min(20, max(6, (2 * len(values)).bit_length()))
-                    own_bits = bitmap(values, width)
-                elif tile == (names[i], parts[i]) and similar(values, pivot, bitmap(values, width), own_bits):
-                    found[0].append(sids[i])
-                    found[1].append(names[i])
+                if roles[i] == 0:
+                    one = ones[i]
+                    block.append((sids[i], values, bitmap(values, width)))
+                    continue
+                if len(block) > 1:
+                    union = np.unique(np.concatenate([b[1] for b in block])) if union is None else union
+                    if common(values, union) < needed_overlap(len(values), max(min(len(b[1]) for b in block), -(-PERCENT * len(values) // 100))):
+                        continue
+                bits = bitmap(values, width)
+                for sid, other, other_bits in block:
+                    if sid != sids[i] and similar(values, other, bits, other_bits):
+                        found[0].append(sids[i])
+                        found[1].append(sid)
+                        if one:
+                            break
             yield to_batch({"a": pa.array(found[0], pa.int64()), "b": pa.array(found[1], pa.int64())})
 
     return arrow_map(dealt, run, "a long, b long")
 
 
-def other_pivots(keys: DataFrame, roots: DataFrame, seed: int) -> tuple[DataFrame, DataFrame]:
-    """Rows of keys that hold two or more components, and pairs of each with a pivot of another component in its key and band."""
-    marked = keys.join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
-    rows = written(marked.join(mixed, "key").select("key", "band", "sid", "n", "root"), "mixed")
-    by = F.struct(F.xxhash64("sid", F.lit(seed)).alias("o"), "sid", "n", "root")
-    ends = rows.groupBy("key", "band").agg(F.min(by).alias("x"), F.max(by).alias("y")).where("x.root <> y.root")
-    chosen = rows.join(ends, ["key", "band"]).select("sid", "n", F.when(F.col("root") != F.col("x.root"), F.col("x")).otherwise(F.col("y")).alias("z"))
-    return rows, chosen.select(F.col("sid").alias("a"), F.col("z.sid").alias("b"), F.col("n").alias("an"), F.col("z.n").alias("bn")).where(like_sizes("an", "bn")).select("a", "b").distinct()
+def single(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Pairs (a, b) as pairs with tiles of one pivot each."""
+    return pairs.select("a", F.col("b").alias("tile")), pairs.select(F.col("b").alias("tile"), F.col("b").alias("sid"), F.lit(True).alias("one")).distinct()
 
 
-def cross_pairs(rows: DataFrame) -> DataFrame:
-    """All pairs of like size of different components that share a key."""
-    left = rows.select("key", F.col("sid").alias("a"), F.col("n").alias("an"), F.col("root").alias("ar"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
-    right = rows.select("key", "band", F.col("sid").alias("b"), F.col("n").alias("bn"), F.col("root").alias("br"))
-    return left.join(right, ["key", "band"]).where((F.col("a") < F.col("b")) & (F.col("ar") != F.col("br")) & like_sizes("an", "bn")).select("a", "b").distinct()
+def mixed_rows(keys: DataFrame, roots: DataFrame) -> DataFrame:
+    """A written table of the rows of keys that hold two or more components, with the component and its size."""
+    sized = roots.join(roots.groupBy("root").agg(F.count("*").alias("size")), "root").select(F.col("id").alias("sid"), "root", "size")
+    marked = keys.join(sized, "sid", "left").withColumn("root", F.coalesce("root", "sid")).withColumn("size", F.coalesce("size", F.lit(1).cast("long")))
+    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("run")).where("r0 <> r1").select("key", "run")
+    return written(marked.join(mixed, "key").select("key", "run", "band", "sid", "n", "root", "size"), "mixed")
 
 
-def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame], rounds: int = 2, complete: bool = True) -> DataFrame:
+def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
+    """Pairs (a, b) of the classes in long runs with a pivot of another component in their key and band."""
+    long_runs = rows.where(F.col("run") > LONG_RUN)
+    by = F.struct(F.xxhash64("sid", F.lit(seed)).alias("o"), "sid", "n", "root")
+    ends = long_runs.groupBy("key", "band").agg(F.min(by).alias("x"), F.max(by).alias("y")).where("x.root <> y.root")
+    chosen = long_runs.join(ends, ["key", "band"]).select("sid", "n", F.when(F.col("root") != F.col("x.root"), F.col("x")).otherwise(F.col("y")).alias("z"))
+    return chosen.select(F.col("sid").alias("a"), F.col("z.sid").alias("b"), F.col("n").alias("an"), F.col("z.n").alias("bn")).where(like_sizes("an", "bn")).select("a", "b").distinct()
+
+
+def cross_tiles(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(a, tile) for all classes and blocks of other components of like size that share a key, and the tiles.
+
+    A block is up to about ``TILE`` classes of one component, so two large components of near
+    copies meet block by block; the class comes from the smaller of the two components.
+    Classes still alone form blocks by the longest run of keys that they are in.
+    """
+    top = rows.groupBy("sid").agg(F.max(F.struct("run", "key")).alias("top"))
+    alone = F.col("size") == 1
+    many, label = F.when(alone, F.col("top.run")).otherwise(F.col("size")), F.when(alone, F.col("top.key")).otherwise(F.col("root"))
+    marked = rows.join(top, "sid").withColumn("tile", F.xxhash64(alone, label, F.pmod(F.xxhash64("sid"), F.ceil(many / TILE)))).withColumn("one", ~alone)
+    blocks = marked.groupBy("key", "band", "tile", "one", "size", F.when(~alone, F.col("root")).alias("root")).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.min("sid").alias("low"), F.max("sid").alias("high"))
+    left = rows.select("key", F.col("sid").alias("a"), "n", F.col("root").alias("ar"), F.col("size").alias("as"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
+    smaller = (F.col("as") < F.col("size")) | ((F.col("as") == F.col("size")) & (F.col("ar") < F.col("root")))
+    singles = ~F.col("one") & (F.col("as") == 1) & ((F.col("low") != F.col("a")) | (F.col("high") != F.col("a")))
+    fits = (F.col("n") * 100 >= F.col("least") * PERCENT) & (F.col("most") * 100 >= F.col("n") * PERCENT)
+    pairs = left.join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root"))))).select("a", "tile").distinct()
+    return pairs, marked.select("tile", "sid", "one").distinct()
+
+
+def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame], rounds: int = 1, complete: bool = True) -> DataFrame:
     """(id, root) of the classes joined by similarity, from a written table of :func:`shared_keys`.
 
-    First every class meets the pivot of each of its keys; then, for some rounds, pivots of
-    other components; last, where ``complete``, all pairs that still lie in different
-    components. By then a group of near copies is one component, so it yields few pairs.
+    First every class meets the pivot of each of its keys; then, for some rounds, those in
+    long runs meet pivots of other components; last, where ``complete``, all that still lie in
+    different components meet. By then a group of near copies is one component, so it yields
+    few pairs.
     """
-    pairs = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).select(F.col("sid").alias("a"), F.col("pivot").alias("b")).distinct()
-    links = written(verify(written(pairs, "pairs"), owners, texts), "links")
-    roots = written(components(links), "roots")
-    for r in range(rounds + 1):
-        rows, pairs = other_pivots(keys, roots, r)
-        last = r == rounds
-        if last and not complete:
-            break
-        pairs = written(cross_pairs(rows) if last else pairs, "pairs")
+
+    def grown(roots: DataFrame | None, pairs: DataFrame, tiles: DataFrame) -> DataFrame | None:
         if pairs.isEmpty():
-            if last or rows.isEmpty():
-                break
-            continue
-        new = written(verify(pairs, owners, texts), "links")
-        if not new.isEmpty():
-            links = links.unionAll(new)
-            roots = written(components(links), "roots")
+            return roots
+        links = written(verify(pairs, tiles, owners, texts), "links")
+        if roots is not None:
+            if links.isEmpty():
+                return roots
+            links = links.unionAll(roots.select(F.col("id").alias("a"), F.col("root").alias("b")))
+        return written(components(links), "roots")
+
+    pairs = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).select(F.col("sid").alias("a"), F.col("pivot").alias("b")).distinct()
+    start = keys.sparkSession.createDataFrame([], "id long, root long")
+    roots = grown(None, *single(written(pairs, "pairs"))) or start
+    for r in range(rounds):
+        roots = grown(roots, *single(written(other_pivots(mixed_rows(keys, roots), r), "pairs")))
+    if complete:
+        pairs, tiles = cross_tiles(mixed_rows(keys, roots))
+        pairs = written(pairs, "pairs")
+        roots = grown(roots, pairs, tiles.join(pairs.select("tile").distinct(), "tile", "left_semi"))
     return roots
