@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import arrow_map, small_batches, to_batch, written
-from .tiles import PERCENT, Bloom, linked_classes, shared_keys
+from .tiles import PERCENT, Bloom, bitmap, linked_classes, shared_keys
 from .wordhash import document_units
 
 SKETCH, COMMON_SHARE, COMMON_LEAST, COMMON_MOST = 1 << 16, 2e-4, 24, 100_000
@@ -26,7 +26,7 @@ def band_of(n: np.ndarray) -> np.ndarray:
 
 
 def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
-    """A written row (doc_id, n, sid, doc) for every document, and the sorted hashes of common shingles.
+    """A written row (doc_id, n, sid, bits, doc) for every document, and the sorted hashes of common shingles.
 
     Every task also keeps a Misra-Gries summary of its shingles: ``SKETCH`` counters miss
     none whose share of the task's shingles is over 1 / SKETCH. Only the order of shingles
@@ -42,7 +42,7 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
             sid = units.sequence_ids()
             none = units.count == 0
             seen += batch.num_rows
-            yield to_batch({"doc_id": batch.column(0), "n": pa.array([len(d) for d in distinct], pa.int64()), "sid": pa.array(sid, mask=none), "seen": pa.array(np.zeros(len(sid), np.int64), mask=np.ones(len(sid), bool))})
+            yield to_batch({"doc_id": batch.column(0), "n": pa.array([len(d) for d in distinct], pa.int64()), "sid": pa.array(sid, mask=none), "bits": pa.array([bitmap(d).tobytes() for d in distinct], pa.binary()), "seen": pa.array(np.zeros(len(sid), np.int64), mask=np.ones(len(sid), bool))})
             if len(shingles):
                 new, how_many = np.unique(np.concatenate(distinct), return_counts=True)
                 merged, inverse = np.unique(np.concatenate([keys, new]), return_inverse=True)
@@ -53,10 +53,10 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
                 keys, counts = merged[total > 0], total[total > 0]
         often = counts >= max(4, seen * COMMON_SHARE / 2)
         k = int(often.sum())
-        yield to_batch({"doc_id": pa.nulls(k, pa.int64()), "n": pa.nulls(k, pa.int64()), "sid": pa.array(keys[often].view(np.int64)), "seen": pa.array(counts[often], pa.int64())})
+        yield to_batch({"doc_id": pa.nulls(k, pa.int64()), "n": pa.nulls(k, pa.int64()), "sid": pa.array(keys[often].view(np.int64)), "bits": pa.nulls(k, pa.binary()), "seen": pa.array(counts[often], pa.int64())})
 
-    both = written(arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n long, sid long, seen long"), "sets")
-    rows = both.where("seen is null").select("doc_id", "n", "sid", F.xxhash64("doc_id").alias("doc"))
+    both = written(arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n long, sid long, bits binary, seen long"), "sets")
+    rows = both.where("seen is null").select("doc_id", "n", "sid", "bits", F.xxhash64("doc_id").alias("doc"))
     least = max(COMMON_LEAST, int(rows.count() * COMMON_SHARE))
     common = both.where("seen is not null").groupBy("sid").agg(F.sum("seen").alias("seen")).where(F.col("seen") >= least).orderBy(F.desc("seen"), "sid").limit(COMMON_MOST).toArrow()
     return rows, np.sort(common["sid"].to_numpy().astype(np.int64).view(np.uint64))
@@ -117,7 +117,7 @@ def join(docs: DataFrame) -> DataFrame:
     repeat an id come out as often; a null id never names a component unless nothing else can.
     """
     rows, common = sets(docs)
-    owners = rows.where("sid is not null").groupBy("sid").agg(F.min("doc").alias("doc")).select("sid", "doc", F.col("doc").alias("where"))
+    owners = rows.where("sid is not null").groupBy("sid").agg(F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("bits").alias("bits")).withColumn("where", F.col("doc"))
     keys = written(shared_keys(prefixes(docs, common)), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs))
     classes = rows.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("least"))

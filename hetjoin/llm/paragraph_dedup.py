@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import arrow_map, small_batches, to_batch, written
-from .tiles import Bloom, linked_classes, shared_keys
+from .tiles import Bloom, bitmap, linked_classes, shared_keys
 from .wordhash import Units, mix
 
 BANDS, ROWS_PER_BAND, MIN_WORDS, SEED = 10, 3, 25, 31
@@ -42,17 +42,19 @@ class Paragraphs:
 
 
 def paragraphs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """A written row (doc_id, text_hash, number, sid) for every line of at least ``min_words`` words."""
+    """A written row (doc_id, text_hash, number, sid, n, bits) for every line of at least ``min_words`` words."""
 
     def run(batches):
         for batch in small_batches(batches):
             p = Paragraphs(batch.column(2).to_pylist())
             at = np.flatnonzero(p.units.count >= min_words)
             rows = pa.array(p.row[at])
-            yield to_batch({"doc_id": batch.column(0).take(rows), "text_hash": batch.column(1).take(rows), "number": pa.array(p.number[at].astype(np.int32)), "sid": pa.array(p.units.sequence_ids()[at])})
+            shingles, begins = p.units.shingles()
+            sets = [np.unique(shingles[begins[i] : begins[i + 1]]) for i in at.tolist()]
+            yield to_batch({"doc_id": batch.column(0).take(rows), "text_hash": batch.column(1).take(rows), "number": pa.array(p.number[at].astype(np.int32)), "sid": pa.array(p.units.sequence_ids()[at]), "n": pa.array([len(x) for x in sets], pa.int64()), "bits": pa.array([bitmap(x).tobytes() for x in sets], pa.binary())})
 
     chosen = docs.select("doc_id", F.xxhash64("text"), "text").where("text is not null")
-    return written(arrow_map(chosen, run, "doc_id long, text_hash long, number int, sid long"), "paragraphs")
+    return written(arrow_map(chosen, run, "doc_id long, text_hash long, number int, sid long, n long, bits binary"), "paragraphs")
 
 
 def band_keys(docs: DataFrame, min_words: int = MIN_WORDS, bands: int = BANDS, rows: int = ROWS_PER_BAND, seed: int = SEED) -> DataFrame:
@@ -125,15 +127,15 @@ def duplicates(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     A group is a component of similar paragraphs; its first by (doc_id, number) stays.
     """
     rows = paragraphs(docs, min_words)
-    classes = rows.groupBy("sid").agg(F.min(F.struct("doc_id", "number", "text_hash")).alias("first"), F.count("*").alias("copies"))
+    classes = rows.groupBy("sid").agg(F.min(F.struct("doc_id", "number", "text_hash")).alias("first"), F.count("*").alias("copies"), F.first("n").alias("n"), F.first("bits").alias("bits"))
     classes = written(classes, "classes")
 
     def where(batches):
         for batch in batches:
             sid, doc, text, number = (np.asarray(batch.column(i).fill_null(0)) for i in range(4))
-            yield to_batch({"sid": batch.column(0), "doc": batch.column(4), "where": pa.array(place(sid, doc, text, number))})
+            yield to_batch({"sid": batch.column(0), "doc": batch.column(4), "where": pa.array(place(sid, doc, text, number)), "n": batch.column(5), "bits": batch.column(6)})
 
-    owners = arrow_map(classes.select("sid", "first.doc_id", "first.text_hash", "first.number", F.xxhash64("first.doc_id", "first.text_hash").alias("doc")), where, "sid long, doc long, where long")
+    owners = arrow_map(classes.select("sid", "first.doc_id", "first.text_hash", "first.number", F.xxhash64("first.doc_id", "first.text_hash").alias("doc"), "n", "bits"), where, "sid long, doc long, where long, n long, bits binary")
     keys = written(shared_keys(band_keys(docs, min_words)), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs, min_words), rounds=1, complete=False)
     rooted = classes.join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))

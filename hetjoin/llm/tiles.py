@@ -98,12 +98,31 @@ class Bloom:
         return self.sent.value[place >> 6] >> (place & 63) & 1 == 1
 
 
-def bitmap(values: np.ndarray, width: int) -> np.ndarray:
+def bitmap(values: np.ndarray) -> np.ndarray:
+    """One bit for each element by the first bits of its hash, in a width of two to four times the size of the set."""
+    width = max(6, (2 * len(values)).bit_length())
     bits = np.zeros(1 << width, bool)
     bits[(values >> np.uint64(64 - width)).astype(np.int64)] = True
     return np.packbits(bits)
 
 
+def folded(bits: np.ndarray, size: int) -> np.ndarray:
+    """The same set's bitmap in fewer bytes: neighbouring bits are joined."""
+    while len(bits) > size:
+        bits = np.packbits(np.unpackbits(bits).reshape(-1, 2).any(1))
+    return bits
+
+
+def may_be_similar(n: int, bits: np.ndarray, sizes: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """For each row of ``table``: whether its set and this one can be similar, by their bitmaps.
+
+    Each bit that only one bitmap has stands for at least one element that only this set has;
+    that bounds the intersection from above.
+    """
+    only_this, only_that = np.bitwise_count(bits & ~table).sum(1, dtype=np.int64), np.bitwise_count(table & ~bits).sum(1, dtype=np.int64)
+    return np.minimum(n - only_this, sizes - only_that) >= -(-PERCENT * (n + sizes) // (100 + PERCENT))
+
+
 def needed_overlap(n: int, m: int) -> int:
     """The least intersection with which sets of these sizes are similar."""
     return -(-PERCENT * (n + m) // (100 + PERCENT))
@@ -115,18 +134,60 @@ def common(a: np.ndarray, b: np.ndarray) -> int:
     return int((large[np.minimum(np.searchsorted(large, small), len(large) - 1)] == small).sum())
 
 
-def similar(a: np.ndarray, b: np.ndarray, bits_a: np.ndarray | None = None, bits_b: np.ndarray | None = None) -> bool:
-    """Exact test of 100 * intersection >= 80 * union on sorted sets.
-
-    Each bit that only one bitmap has stands for at least one element that only this set has;
-    that bounds the intersection from above before it is computed.
-    """
+def similar(a: np.ndarray, b: np.ndarray) -> bool:
+    """Exact test of 100 * intersection >= 80 * union on sorted sets."""
     need = needed_overlap(len(a), len(b))
-    if min(len(a), len(b)) < max(need, 1):
-        return False
-    if bits_a is not None and min(len(a) - int(np.bitwise_count(bits_a & ~bits_b).sum()), len(b) - int(np.bitwise_count(bits_b & ~bits_a).sum())) < need:
-        return False
-    return common(a, b) >= need
+    return min(len(a), len(b)) >= max(need, 1) and common(a, b) >= need
+
+
+def laid_out(pairs: DataFrame, tiles: DataFrame) -> DataFrame:
+    """(tile, part, role, sid, one): a tile's own classes (role 0) and those that meet it, in parts of about ``TILE``."""
+    parts = pairs.groupBy("tile").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
+    members = pairs.join(parts, "tile").select("tile", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"), F.col("a").alias("sid"), F.lit(True).alias("one"))
+    own = tiles.join(parts, "tile").select("tile", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"), "sid", "one")
+    return members.unionAll(own)
+
+
+def sift(pairs: DataFrame, tiles: DataFrame, signatures: DataFrame) -> DataFrame:
+    """The pairs (a, tile) that the bitmaps of (sid, n, bits) do not rule out."""
+    rows = laid_out(pairs, tiles).join(signatures.select("sid", "n", "bits"), "sid").select("tile", "part", "role", "sid", "n", "bits")
+    dealt = rows.repartition("tile", "part").sortWithinPartitions("tile", "part", "role", "sid")
+
+    def run(batches):
+        tile = None
+        block: list[tuple[int, int, np.ndarray]] = []
+        tables: dict[int, tuple] = {}
+        for batch in small_batches(batches, rows=4096):
+            found: tuple[list, list] = ([], [])
+            names, parts, roles, sids, sizes, maps = (batch.column(i).to_pylist() for i in range(6))
+            for i, raw in enumerate(maps):
+                bits, n = np.frombuffer(raw, np.uint8), sizes[i]
+                if tile != (names[i], parts[i]):
+                    tile, block, tables = (names[i], parts[i]), [], {}
+                if roles[i] == 0:
+                    block.append((sids[i], n, bits))
+                    continue
+                if not block:
+                    continue
+                if len(bits) not in tables:
+                    width = len(bits)
+                    tables[width] = [(w, np.array([x[0] for x in rows_]), np.array([x[1] for x in rows_]), np.stack([folded(x[2], w) for x in rows_])) for w, rows_ in _by_width(block, width)]
+                for w, ids, others, table in tables[len(bits)]:
+                    if (may_be_similar(n, folded(bits, w), others, table) & (ids != sids[i])).any():
+                        found[0].append(sids[i])
+                        found[1].append(names[i])
+                        break
+            yield to_batch({"a": pa.array(found[0], pa.int64()), "tile": pa.array(found[1], pa.int64())})
+
+    return arrow_map(dealt, run, "a long, tile long").distinct()
+
+
+def _by_width(block: list, width: int) -> list:
+    """The rows of a block by the width at which they and a bitmap of ``width`` bytes can be compared."""
+    groups: dict[int, list] = {}
+    for row in block:
+        groups.setdefault(min(width, len(row[2])), []).append(row)
+    return list(groups.items())
 
 
 def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame]) -> DataFrame:
@@ -135,22 +196,17 @@ def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callabl
     ``tiles`` (tile, sid, one) lists the tiles' own classes. Where ``one`` is true they are one
     pivot, or a block of one component, of which one link is as good as all. ``owners`` has sid, ``doc`` and ``where``, hashes that
     name the document and the place of the class's text; ``texts`` gives (sid, text) for the
-    places in a Bloom filter. A tile meets about ``TILE`` partners at a time; a larger group
-    becomes more parts, each with its own copy of the tile.
+    places in a Bloom filter.
     """
-    parts = pairs.groupBy("tile").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
-    members = pairs.join(parts, "tile").select("tile", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"), F.col("a").alias("sid"), F.lit(True).alias("one"))
-    own = tiles.join(parts, "tile").select("tile", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"), "sid", "one")
-    needed = written(pairs.select(F.col("a").alias("sid")).unionAll(tiles.select("sid")).distinct().join(owners, "sid"), "needed")
+    needed = written(pairs.select(F.col("a").alias("sid")).unionAll(tiles.select("sid")).distinct().join(owners.select("sid", "doc", "where"), "sid"), "needed")
     bloom = Bloom(needed.select("where").unionAll(needed.select("doc")), "where")
-    rows = members.unionAll(own).join(texts(bloom), "sid").select("tile", "part", "role", "sid", "one", "text")
+    rows = laid_out(pairs, tiles).join(texts(bloom), "sid").select("tile", "part", "role", "sid", "one", "text")
     dealt = rows.repartition("tile", "part").sortWithinPartitions("tile", "part", "role", "sid")
 
     def run(batches):
         tile = last = union = None
         one = True
-        block: list[tuple[int, np.ndarray, np.ndarray]] = []
-        width = 6
+        block: list[tuple[int, np.ndarray]] = []
         for batch in small_batches(batches):
             found: tuple[list, list] = ([], [])
             names, parts, roles, sids, ones = (batch.column(i).to_pylist() for i in range(5))
@@ -162,18 +218,16 @@ def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callabl
                 values = shingle_set(text)
                 if tile != at[:2]:
                     tile, union, block = at[:2], None, []
-                    width = min(20, max(6, (2 * len(values)).bit_length()))
                 if roles[i] == 0:
                     one = ones[i]
-                    block.append((sids[i], values, bitmap(values, width)))
+                    block.append((sids[i], values))
                     continue
                 if len(block) > 1:
                     union = np.unique(np.concatenate([b[1] for b in block])) if union is None else union
                     if common(values, union) < needed_overlap(len(values), max(min(len(b[1]) for b in block), -(-PERCENT * len(values) // 100))):
                         continue
-                bits = bitmap(values, width)
-                for sid, other, other_bits in block:
-                    if sid != sids[i] and similar(values, other, bits, other_bits):
+                for sid, other in block:
+                    if sid != sids[i] and similar(values, other):
                         found[0].append(sids[i])
                         found[1].append(sid)
                         if one:
@@ -237,6 +291,10 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
     def grown(roots: DataFrame | None, pairs: DataFrame, tiles: DataFrame) -> DataFrame | None:
         if pairs.isEmpty():
             return roots
+        pairs = written(sift(pairs, tiles, owners), "sifted")
+        if pairs.isEmpty():
+            return roots
+        tiles = tiles.join(pairs.select("tile").distinct(), "tile", "left_semi")
         links = written(verify(pairs, tiles, owners, texts), "links")
         if roots is not None:
             if links.isEmpty():
@@ -252,5 +310,5 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
     if complete:
         pairs, tiles = cross_tiles(mixed_rows(keys, roots))
         pairs = written(pairs, "pairs")
-        roots = grown(roots, pairs, tiles.join(pairs.select("tile").distinct(), "tile", "left_semi"))
+        roots = grown(roots, pairs, tiles)
     return roots
