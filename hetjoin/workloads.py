@@ -1,9 +1,472 @@
-"""Queries over the given tables."""
+"""Queries over the given tables, with the SQL that each is held against."""
+
+from __future__ import annotations
+
+from collections.abc import Callable, Sequence
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions import coords, measure, profile
+from .operators import baselines
+from .operators.execute import evaluate, plan
+from .plans import bounds, lp, pack, sides
+from .plans.cost import CostFunction, Linear, Power
+from .plans.query import FullCQ, bind, parse_cq
+from .sources import datagen
+from .sources.tables import table
+
+# The machine weights of the worked example.
+EXAMPLE = [4.0, 4.0, 3.0, 2.0, 2.0, 2.0] + [1.0] * 11
+LINEAR: list[CostFunction] = [Linear(w) for w in EXAMPLE]
+
+CARTESIAN = parse_cq("q(x, y) :- R(x), S(y)")
+JOIN = parse_cq("q(x, y, z) :- R(x, z), S(y, z)")
+TRIANGLE = parse_cq("q(x, y, z) :- R(x, y), S(y, z), T(z, x)")
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+
+
+def workload(sql: str | Callable[[], str]):
+    def add(f):
+        QUERIES[f.__name__] = f
+        ORACLES[f.__name__] = sql if isinstance(sql, str) else sql()
+        return f
+
+    return add
 
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(ORACLES)
+
+
+def keys(spark, d, name: str, column: str, var: str) -> DataFrame:
+    return bind(table(spark, d, name), {column: var})
+
+
+def summed(answers: DataFrame, by: str, over: str) -> DataFrame:
+    return answers.groupBy(by).agg(F.count("*").alias("n"), F.sum(over).alias("total"))
+
+
+def orders_keys(spark, d) -> tuple[DataFrame, int]:
+    o = keys(spark, d, "orders", "o_orderkey", "i")
+    return o, o.count()
+
+
+# --- Cartesian products -------------------------------------------------------------------
+
+
+def example_inputs(spark, d) -> dict[str, DataFrame]:
+    c, p = keys(spark, d, "customer", "c_custkey", "x"), keys(spark, d, "part", "p_partkey", "y")
+    n = min(c.count(), p.count()) * 2 // 3
+    return {"R": c.where(F.col("x") < n), "S": p.where(F.col("y") < n)}
+
+
+LIMIT = "(SELECT least((SELECT count(*) FROM customer), (SELECT count(*) FROM part)) * 2 // 3)"
+
+
+@workload(f"SELECT c_custkey % 100 AS x100, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM customer, part WHERE c_custkey < {LIMIT} AND p_partkey < {LIMIT} GROUP BY 1")
+def cartesian_equal(spark, d):
+    out = evaluate(CARTESIAN, example_inputs(spark, d), LINEAR, mode="uniform").answers
+    return out.groupBy((F.col("x") % 100).alias("x100")).agg(F.count("*").alias("n"), F.sum("y").alias("total"))
+
+
+def part_supplier(spark, d):
+    return {"R": keys(spark, d, "part", "p_partkey", "x"), "S": keys(spark, d, "supplier", "s_suppkey", "y")}
+
+
+@workload("SELECT s_suppkey AS y, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM part, supplier GROUP BY 1")
+def cartesian_unequal(spark, d):
+    return summed(evaluate(CARTESIAN, part_supplier(spark, d), LINEAR).answers, "y", "x")
+
+
+@workload("SELECT r_regionkey::BIGINT AS x, n_nationkey::BIGINT AS y FROM region, nation")
+def cartesian_small(spark, d):
+    rel = {"R": keys(spark, d, "region", "r_regionkey", "x"), "S": keys(spark, d, "nation", "n_nationkey", "y")}
+    return evaluate(CARTESIAN, rel, LINEAR).answers.select("x", "y")
+
+
+@workload("SELECT s_suppkey AS y, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM part, supplier WHERE p_partkey % 3 = 0 AND s_suppkey % 3 = 0 GROUP BY 1")
+def cartesian_sparse(spark, d):
+    rel = {k: v.where(f"{c} % 3 = 0") for (k, v), c in zip(part_supplier(spark, d).items(), "xy")}
+    return summed(evaluate(CARTESIAN, rel, LINEAR).answers, "y", "x")
+
+
+# --- Binary joins --------------------------------------------------------------------------
+
+
+def orders_customer(spark, d):
+    return {"R": bind(table(spark, d, "orders"), {"o_orderkey": "x", "o_custkey": "z"}), "S": bind(table(spark, d, "customer"), {"c_nationkey": "y", "c_custkey": "z"})}
+
+
+ORDERS_CUSTOMER = "SELECT o_orderkey AS x, c_nationkey::BIGINT AS y, o_custkey AS z FROM orders JOIN customer ON o_custkey = c_custkey"
+
+
+@workload(ORDERS_CUSTOMER)
+def join_orders_customer(spark, d):
+    return evaluate(JOIN, orders_customer(spark, d), LINEAR).answers.select("x", "y", "z")
+
+
+@workload("SELECT l_orderkey AS z, l_linenumber::BIGINT AS x, o_custkey AS y FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+def join_lineitem_orders(spark, d):
+    rel = {"R": bind(table(spark, d, "lineitem"), {"l_linenumber": "x", "l_orderkey": "z"}), "S": bind(table(spark, d, "orders"), {"o_custkey": "y", "o_orderkey": "z"})}
+    return evaluate(JOIN, rel, LINEAR, sub=2).answers.select("x", "y", "z")
+
+
+NORDERS = "(SELECT count(*) FROM orders)"
+I = "SELECT o_orderkey AS i FROM orders"  # noqa: E741
+PA, PB, PD = (f"(i * {r[0]} + {r[1]}) % {NORDERS}" for r in (datagen.A, datagen.B, datagen.D))
+
+
+def join_matching_inputs(spark, d):
+    o, n = orders_keys(spark, d)
+    return {"R": datagen.matching(o, "i", n, {"x": None, "z": datagen.A}), "S": datagen.matching(o.where("i % 2 = 0"), "i", n, {"y": None, "z": datagen.B})}
+
+
+JOIN_MATCHING = f"WITH o AS ({I}), r AS (SELECT i AS x, {PA} AS z FROM o), s AS (SELECT i AS y, {PB} AS z FROM o WHERE i % 2 = 0) SELECT x, y, z FROM r JOIN s USING (z)"
+
+
+@workload(JOIN_MATCHING)
+def join_matching(spark, d):
+    return evaluate(JOIN, join_matching_inputs(spark, d), LINEAR).answers.select("x", "y", "z")
+
+
+@workload(
+    "WITH r AS (SELECT s_suppkey AS x, n_nationkey::BIGINT AS z FROM supplier, nation WHERE (s_suppkey * 7919 + n_nationkey * 104729) % 100 < 50),"
+    " s AS (SELECT c_custkey AS y, n_nationkey::BIGINT AS z FROM customer, nation WHERE c_custkey < 100 AND (c_custkey * 104729 + n_nationkey * 7919) % 100 < 20) SELECT x, y, z FROM r JOIN s USING (z)"
+)
+def join_dense(spark, d):
+    nation = keys(spark, d, "nation", "n_nationkey", "z")
+    rel = {"R": datagen.dense(keys(spark, d, "supplier", "s_suppkey", "x"), nation, "x", "z", (7919, 104729, 0), 0.5), "S": datagen.dense(keys(spark, d, "customer", "c_custkey", "y").where("y < 100"), nation, "y", "z", (104729, 7919, 0), 0.2)}
+    return evaluate(JOIN, rel, LINEAR).answers.select("x", "y", "z")
+
+
+@workload("SELECT d.doc_id AS x, l.quality::BIGINT AS y, d.lang AS z FROM labels l JOIN documents d USING (doc_id)")
+def labels_documents(spark, d):
+    cq = parse_cq("q(x, y, z) :- R(x, y), S(x, z)")
+    rel = {"R": bind(table(spark, d, "labels"), {"doc_id": "x", "quality": "y"}), "S": bind(table(spark, d, "documents"), {"doc_id": "x", "lang": "z"})}
+    return evaluate(cq, rel, LINEAR).answers.select("x", "y", "z")
+
+
+# --- Stars ---------------------------------------------------------------------------------
+
+STAR = parse_cq("q(a, b, c, z) :- R(a, z), S(b, z), T(c, z)")
+
+
+def arm(spark, d, name, own, key, var):
+    return bind(table(spark, d, name), {own: var, key: "z"})
+
+
+@workload("SELECT n_nationkey::BIGINT AS z, count(*) AS n, sum(c_custkey + s_suppkey)::BIGINT AS total FROM customer JOIN supplier ON c_nationkey = s_nationkey JOIN nation ON n_nationkey = c_nationkey GROUP BY 1")
+def star_nation(spark, d):
+    rel = {"R": arm(spark, d, "customer", "c_custkey", "c_nationkey", "a"), "S": arm(spark, d, "supplier", "s_suppkey", "s_nationkey", "b"), "T": arm(spark, d, "nation", "n_regionkey", "n_nationkey", "c")}
+    return evaluate(STAR, rel, LINEAR).answers.groupBy("z").agg(F.count("*").alias("n"), F.sum(F.col("a") + F.col("b")).alias("total"))
+
+
+@workload("SELECT c_custkey AS z, count(*) AS n, sum(o_orderkey + event_id)::BIGINT AS total FROM customer JOIN orders ON o_custkey = c_custkey JOIN events ON user_id = c_custkey GROUP BY 1")
+def star_customer(spark, d):
+    rel = {"R": arm(spark, d, "customer", "c_nationkey", "c_custkey", "a"), "S": arm(spark, d, "orders", "o_orderkey", "o_custkey", "b"), "T": arm(spark, d, "events", "event_id", "user_id", "c")}
+    return evaluate(STAR, rel, LINEAR, sub=2).answers.groupBy("z").agg(F.count("*").alias("n"), F.sum(F.col("b") + F.col("c")).alias("total"))
+
+
+@workload(f"WITH o AS ({I}), r AS (SELECT i AS a, {PA} AS z FROM o), s AS (SELECT i AS b, {PB} AS z FROM o WHERE i < {NORDERS} // 2), t AS (SELECT i AS c, {PD} AS z FROM o WHERE i < {NORDERS} // 4) SELECT a, b, c, z FROM r JOIN s USING (z) JOIN t USING (z)")
+def star_matching(spark, d):
+    o, n = orders_keys(spark, d)
+    rel = {"R": datagen.matching(o, "i", n, {"a": None, "z": datagen.A}), "S": datagen.matching(o.where(F.col("i") < n // 2), "i", n, {"b": None, "z": datagen.B}), "T": datagen.matching(o.where(F.col("i") < n // 4), "i", n, {"c": None, "z": datagen.D})}
+    return evaluate(STAR, rel, LINEAR).answers.select("a", "b", "c", "z")
+
+
+# --- Triangles -----------------------------------------------------------------------------
+
+
+@workload(
+    "WITH r AS (SELECT DISTINCT o_custkey AS x, l_suppkey AS y FROM orders JOIN lineitem ON l_orderkey = o_orderkey)"
+    " SELECT x, y, s_nationkey::BIGINT AS z FROM r JOIN supplier ON y = s_suppkey JOIN customer ON x = c_custkey AND c_nationkey = s_nationkey"
+)
+def triangle_nation(spark, d):
+    r = table(spark, d, "orders").join(table(spark, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey", "l_suppkey").distinct()
+    rel = {"R": bind(r, {"o_custkey": "x", "l_suppkey": "y"}), "S": bind(table(spark, d, "supplier"), {"s_suppkey": "y", "s_nationkey": "z"}), "T": bind(table(spark, d, "customer"), {"c_nationkey": "z", "c_custkey": "x"})}
+    return evaluate(TRIANGLE, rel, LINEAR).answers.select("x", "y", "z")
+
+
+def planted(part: str) -> str:
+    turned = f"CASE WHEN i % 2 = 0 THEN i ELSE (i + 2) % ({part}) END"
+    return (
+        f"WITH o AS ({I}), r AS (SELECT i AS x, {PA} AS y FROM o), s AS (SELECT {PA} AS y, (({turned}) * {datagen.B[0]} + {datagen.B[1]}) % {NORDERS} AS z FROM o WHERE i < {part}),"
+        f" t AS (SELECT {PB} AS z, i AS x FROM o WHERE i < {part}) SELECT x, y, z FROM r JOIN s USING (y) JOIN t USING (z, x)"
+    )
+
+
+TRIANGLE_MATCHING = planted(NORDERS)
+
+
+def triangle_inputs(spark, d, parts: int = 1):
+    o, n = orders_keys(spark, d)
+    return datagen.triangles(o, "i", n, n // parts)
+
+
+@workload(TRIANGLE_MATCHING)
+def triangle_matching(spark, d):
+    return evaluate(TRIANGLE, triangle_inputs(spark, d), LINEAR, mode="uniform").answers.select("x", "y", "z")
+
+
+@workload(planted(f"{NORDERS} // 5"))
+def triangle_mixed(spark, d):
+    return evaluate(TRIANGLE, triangle_inputs(spark, d, 5), LINEAR, mode="triangle").answers.select("x", "y", "z")
+
+
+DENSE = [(7919, 104729, 0), (104729, 7919, 31), (1299709, 15485863, 7)]
+
+
+def _dense_sql(name, a, b, rule):
+    return f"{name} AS (SELECT p.n_nationkey::BIGINT AS {a}, q.n_nationkey::BIGINT AS {b} FROM nation p, nation q WHERE (p.n_nationkey::BIGINT * {rule[0]} + q.n_nationkey::BIGINT * {rule[1]} + {rule[2]}) % 100 < 50)"
+
+
+TRIANGLE_DENSE = "WITH " + ", ".join(_dense_sql(n, a, b, r) for n, a, b, r in zip("rst", "xyz", "yzx", DENSE)) + " SELECT x, y, z FROM r JOIN s USING (y) JOIN t USING (z, x)"
+
+
+def triangle_dense_inputs(spark, d):
+    n = lambda v: keys(spark, d, "nation", "n_nationkey", v)
+    return {k: datagen.dense(n(a), n(b), a, b, r, 0.5) for k, a, b, r in zip("RST", "xyz", "yzx", DENSE)}
+
+
+@workload(TRIANGLE_DENSE)
+def triangle_dense(spark, d):
+    return evaluate(TRIANGLE, triangle_dense_inputs(spark, d), LINEAR, mode="triangle").answers.select("x", "y", "z")
+
+
+@workload(TRIANGLE_DENSE)
+def triangle_generic(spark, d):
+    """Local evaluation variable by variable."""
+    return evaluate(TRIANGLE, triangle_dense_inputs(spark, d), LINEAR, local="generic").answers.select("x", "y", "z")
+
+
+# --- Paths, chains, higher arity -----------------------------------------------------------
+
+
+def path_inputs(spark, d):
+    return {"nation": bind(table(spark, d, "nation"), {"n_nationkey": "n", "n_regionkey": "r"}), "customer": bind(table(spark, d, "customer"), {"c_custkey": "c", "c_nationkey": "n"}), "orders": bind(table(spark, d, "orders"), {"o_orderkey": "o", "o_custkey": "c"})}
+
+
+PATH_SQL = "SELECT n_nationkey::BIGINT AS n, n_regionkey::BIGINT AS r, c_custkey AS c, o_orderkey AS o FROM nation JOIN customer ON c_nationkey = n_nationkey JOIN orders ON o_custkey = c_custkey"
+
+
+@workload(PATH_SQL)
+def path3(spark, d):
+    cq = parse_cq("q(n, r, c, o) :- nation(n, r), customer(c, n), orders(o, c)")
+    return evaluate(cq, path_inputs(spark, d), LINEAR, mode="dual").answers.select("n", "r", "c", "o")
+
+
+@workload(PATH_SQL.replace("FROM nation", "FROM region JOIN nation ON n_regionkey = r_regionkey"))
+def chain4(spark, d):
+    cq = parse_cq("q(r, n, c, o) :- region(r), nation(n, r), customer(c, n), orders(o, c)")
+    return evaluate(cq, {"region": keys(spark, d, "region", "r_regionkey", "r"), **path_inputs(spark, d)}, LINEAR, mode="padded").answers.select("n", "r", "c", "o")
+
+
+@workload(f"WITH o AS ({I}), r AS (SELECT i AS x, {PA} AS y, {PB} AS z FROM o), s AS (SELECT {PA} AS y, ((CASE WHEN i % 2 = 0 THEN i ELSE (i + 2) % {NORDERS} END) * {datagen.B[0]} + {datagen.B[1]}) % {NORDERS} AS z, {PD} AS t FROM o) SELECT x, y, z, t FROM r JOIN s USING (y, z)")
+def arity3(spark, d):
+    o, n = orders_keys(spark, d)
+    turned = F.when(F.col("i") % 2 == 0, F.col("i")).otherwise(F.pmod(F.col("i") + 2, F.lit(n)))
+    s = o.select(datagen.line(F.col("i"), datagen.A, n).alias("y"), datagen.line(turned, datagen.B, n).alias("z"), datagen.line(F.col("i"), datagen.D, n).alias("t"))
+    rel = {"R": datagen.matching(o, "i", n, {"x": None, "y": datagen.A, "z": datagen.B}), "S": s}
+    return evaluate(parse_cq("q(x, y, z, t) :- R(x, y, z), S(y, z, t)"), rel, LINEAR, mode="uniform").answers.select("x", "y", "z", "t")
+
+
+# --- General costs and baselines -----------------------------------------------------------
+
+
+@workload(JOIN_MATCHING)
+def power_cost_join(spark, d):
+    return evaluate(JOIN, join_matching_inputs(spark, d), [Power(w, 2.0) for w in EXAMPLE]).answers.select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def power_cost_triangle(spark, d):
+    return evaluate(TRIANGLE, triangle_inputs(spark, d), [Power(w, 0.5) if i % 2 else Linear(w) for i, w in enumerate(EXAMPLE)]).answers.select("x", "y", "z")
+
+
+def counted(rel) -> dict[str, int]:
+    return {k: v.count() for k, v in rel.items()}
+
+
+@workload(TRIANGLE_MATCHING)
+def hypercube_triangle(spark, d):
+    rel = triangle_inputs(spark, d)
+    return baselines.hypercube(TRIANGLE, rel, 17, counted(rel))[0].select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def hypercube_fastest_triangle(spark, d):
+    rel = triangle_inputs(spark, d)
+    return baselines.hypercube_fastest(TRIANGLE, rel, EXAMPLE, counted(rel))[0].select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def virtual_hypercube_triangle(spark, d):
+    rel = triangle_inputs(spark, d)
+    return baselines.virtual_hypercube(TRIANGLE, rel, [int(w) for w in EXAMPLE], counted(rel))[0].select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def equal_weights_triangle(spark, d):
+    return evaluate(TRIANGLE, triangle_inputs(spark, d), [Linear(1.0)] * 17).answers.select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def pairwise_triangle(spark, d):
+    rel = triangle_inputs(spark, d)
+    return baselines.pairwise(TRIANGLE, rel, counted(rel)).select("x", "y", "z")
+
+
+@workload(ORDERS_CUSTOMER)
+def single_machine_join(spark, d):
+    rel = orders_customer(spark, d)
+    return baselines.single_machine(JOIN, rel, counted(rel)).select("x", "y", "z")
+
+
+# --- Measures ------------------------------------------------------------------------------
+
+BITS = 10
+
+
+def fixed_boxes(cq: FullCQ) -> pack.Packing:
+    return pack.pack(cq, sides.uniform(cq, EXAMPLE), grid_bits=BITS)
+
+
+def box_values(p: pack.Packing) -> str:
+    rows = ", ".join("(" + ", ".join(map(str, (c, *[v for x in p.vars for v in p.boxes[c][x]]))) + ")" for c in p.used())
+    return f"(VALUES {rows}) AS b(machine, " + ", ".join(f"{x}_lo, {x}_hi" for x in p.vars) + ")"
+
+
+def digest_sql(var: str, expr: str) -> str:
+    return f"(('0x' || substr(md5('7:{var}:' || ({expr})::VARCHAR), 1, 8))::BIGINT >> {32 - BITS})"
+
+
+def inside_sql(vars: Sequence[str], exprs: Sequence[str]) -> str:
+    return " AND ".join(f"{digest_sql(x, e)} >= {x}_lo AND {digest_sql(x, e)} < {x}_hi" for x, e in zip(vars, exprs))
+
+
+def _route_fixed(cq, rel, strategy="auto"):
+    from .operators.route import route
+
+    p, c = fixed_boxes(cq), {x: coords.md5(7, BITS) for x in cq.vars}
+    return {a.name: route(rel[a.name], a, p, c, strategy) for a in cq.atoms}
+
+
+def received_cartesian_sql() -> str:
+    b = box_values(fixed_boxes(CARTESIAN))
+    return " UNION ALL ".join(f"SELECT machine, '{a}' AS atom, count(*) AS tuples FROM {t} JOIN {b} ON {inside_sql([x], [k])} GROUP BY 1" for a, t, x, k in (("R", "part", "x", "p_partkey"), ("S", "supplier", "y", "s_suppkey")))
+
+
+@workload(received_cartesian_sql)
+def received_cartesian(spark, d):
+    return measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d), "tree"))
+
+
+def triangle_parts_sql() -> str:
+    head = TRIANGLE_MATCHING.split(" SELECT x, y, z FROM r JOIN")[0]
+    b = box_values(fixed_boxes(TRIANGLE))
+    return head + " " + " UNION ALL ".join(f"SELECT machine, '{a}' AS atom, count(*) AS tuples FROM {a.lower()} JOIN {b} ON {inside_sql(v, v)} GROUP BY 1" for a, v in (("R", "xy"), ("S", "yz"), ("T", "zx")))
+
+
+@workload(triangle_parts_sql)
+def received_matching(spark, d):
+    return measure.received(_route_fixed(TRIANGLE, triangle_inputs(spark, d), "cells"))
+
+
+def weights_sql() -> str:
+    return "(VALUES " + ", ".join(f"({i}, {w}::DOUBLE)" for i, w in enumerate(EXAMPLE)) + ") AS w(machine, weight)"
+
+
+@workload(lambda: f"SELECT round(max(tuples / weight), 6) AS load FROM (SELECT machine, sum(tuples) AS tuples FROM ({received_cartesian_sql()}) GROUP BY 1) JOIN {weights_sql()} USING (machine)")
+def load_cartesian(spark, d):
+    return measure.load(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d), "nested")), LINEAR).select(F.round("load", 6).alias("load"))
+
+
+@workload(lambda: f"SELECT sum(tuples)::BIGINT AS sent, round(sum(tuples) / (3.0 * {NORDERS}), 6)::DOUBLE AS replication FROM ({triangle_parts_sql()})")
+def replication_matching(spark, d):
+    rel = triangle_inputs(spark, d)
+    return measure.replication(measure.received(_route_fixed(TRIANGLE, rel)), counted(rel)).select("sent", F.round("replication", 6).alias("replication"))
+
+
+@workload(lambda: f"SELECT machine, atom, sum(tuples)::BIGINT AS tuples FROM ({received_cartesian_sql()}) GROUP BY ROLLUP (machine, atom)")
+def received_rollup(spark, d):
+    return measure.rollup(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d))))
+
+
+@workload(
+    " UNION ALL ".join(
+        f"SELECT '{t}' AS atom, '{a}' AS attribute, sum(n)::BIGINT AS rows, count(*) AS \"distinct\", max(n) AS max_degree, min(v) AS lo, max(v) AS hi FROM (SELECT {a}::BIGINT AS v, count(*) AS n FROM {t} GROUP BY 1)"
+        for t, a in (("orders", "o_custkey"), ("lineitem", "l_orderkey"), ("lineitem", "l_suppkey"), ("events", "user_id"))
+    )
+)
+def degree_profile(spark, d):
+    out = None
+    for t, attrs in (("orders", ["o_custkey"]), ("lineitem", ["l_orderkey", "l_suppkey"]), ("events", ["user_id"])):
+        one = profile.profile(table(spark, d, t), t, attrs)
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+@workload("WITH " + _dense_sql("r", "x", "y", DENSE[0]) + " SELECT count(*) AS rows, round(count(*) / 625.0, 6)::DOUBLE AS density FROM r")
+def density_profile(spark, d):
+    return profile.density(triangle_dense_inputs(spark, d)["R"], [25, 25]).select("rows", F.round("density", 6).alias("density"))
+
+
+@workload(lambda: "SELECT machine::INT AS machine, dim, lo::BIGINT AS lo, hi::BIGINT AS hi FROM (VALUES " + ", ".join(f"({c}, '{x}', {lo}, {hi})" for c, x, lo, hi in [(c, x, *fixed_boxes(CARTESIAN).boxes[c][x]) for c in fixed_boxes(CARTESIAN).used() for x in "xy"]) + ") AS t(machine, dim, lo, hi)")
+def boxes_example(spark, d):
+    """The SQL lists the same planner's boxes, so it tests the table, not the plan; tests hold the plan against the worked example."""
+    from .operators.route import boxes_frame
+
+    return boxes_frame(spark, fixed_boxes(CARTESIAN))
+
+
+def numbers(spark, rows) -> DataFrame:
+    return spark.createDataFrame([(k, round(float(v), 4)) for k, v in rows], "name string, value double")
+
+
+@workload(lambda: " UNION ALL ".join(f"SELECT '{n}' AS name, round(1500 / pow(sum(pow(weight, {u}::DOUBLE)), 1 / {u}::DOUBLE), 4) AS value FROM {weights_sql()}" for n, u in (("cartesian", 2), ("triangle", 1.5), ("join", 1))))
+def bounds_uniform(spark, d):
+    return numbers(spark, [(n, bounds.lower_uniform(1500, EXAMPLE, float(sum(lp.max_edge_packing(q).values())))) for n, q in (("cartesian", CARTESIAN), ("triangle", TRIANGLE), ("join", JOIN))])
+
+
+@workload(lambda: " UNION ALL ".join(f"SELECT 'a={a}' AS name, round(pow(1500, {a}::DOUBLE) / pow(sum(pow(weight, 2 / {a}::DOUBLE)), {a}::DOUBLE / 2), 4) AS value FROM {weights_sql()}" for a in (0.5, 1.0, 2.0)))
+def bounds_power(spark, d):
+    return numbers(spark, [(f"a={a}", bounds.lower_power(1500, EXAMPLE, a, 2)) for a in (0.5, 1.0, 2.0)])
+
+
+@workload(lambda: f"SELECT 'low' AS name, round({NORDERS} / sum(weight), 4) AS value FROM {weights_sql()} UNION ALL SELECT 'high', round({NORDERS} / max(weight), 4) FROM {weights_sql()} UNION ALL SELECT 'join', round({NORDERS} / sum(weight), 4) FROM {weights_sql()}")
+def bounds_mixed(spark, d):
+    """The bracket, and the bound of orders with customers, which is the bracket's low end."""
+    m = {"R": table(spark, d, "orders").count(), "S": table(spark, d, "customer").count()}
+    low, high = bounds.mixed_bracket(m, EXAMPLE)
+    return numbers(spark, [("low", low), ("high", high), ("join", bounds.lower_mixed(JOIN, m, EXAMPLE)[0])])
+
+
+def profiles() -> dict[str, list[float]]:
+    """Machine sets for planning sweeps."""
+    import random
+
+    r = random.Random(64)
+    return {"paper17": EXAMPLE, "uniform16": [1.0] * 16, "uniform64": [1.0] * 64, "geometric48": [float(2 ** (i % 6)) for i in range(48)], "giant64": [50.0] + [1.0] * 63, "random64": [float(r.randint(1, 20)) for _ in range(64)]}
+
+
+def planner_sweep(spark, d) -> DataFrame:
+    """Planned load over the bound, for every machine set, shape and variant."""
+    rows = []
+    for name, w in profiles().items():
+        for shape, q in (("cartesian", CARTESIAN), ("join", JOIN), ("triangle", TRIANGLE)):
+            m = {a.name: 10_000 for a in q.atoms}
+            bound = bounds.lower_uniform(10_000, w, float(sum(lp.max_edge_packing(q).values())))
+            costs = [Linear(x) for x in w]
+            up, best = (plan(q, m, costs, "uniform", rounding=r).packing.planned_load(q, m, w) for r in ("up", "search"))
+            rows.append((name, shape, *[round(x / bound, 4) for x in (up, best, baselines.grid_load(q, m, baselines.shares(q, m, len(w)), w), baselines.fastest_grid(q, m, w)[1], baselines.single_machine_load(m, costs))]))
+    return spark.createDataFrame(rows, "profile string, shape string, round_up double, search double, grid double, grid_fastest double, single double")
+
+
+QUERIES["planner_sweep"] = planner_sweep
