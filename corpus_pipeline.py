@@ -3,10 +3,63 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-STAGES: list = []
+from hetjoin.llm import jaccard_join, language_id, paragraph_dedup, secret_scan, slack_packing
+from hetjoin.llm.shared import new_path
+
+MIN_SCORE = 0.05
+
+
+def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents of undetermined language: no letter, or hardly nearer to any language than chance.
+
+    Learns from the labelled documents that are not held out. Where no document has a label,
+    nothing can be judged but the lack of letters.
+    """
+    prototypes = language_id.fit_prototypes(docs.where(~language_id.held_out(docs)))
+    if not prototypes:
+        return docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"\p{L}"))
+    labelled = language_id.predict(docs, prototypes, keep=tuple(docs.columns), body="text")
+    return labelled.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= MIN_SCORE)).select(*docs.columns)
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the document of smallest id of each group linked by similarity; of rows that repeat it, all that are equal in id."""
+    kept = jaccard_join.join(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
+    return docs.join(kept.withColumnRenamed("doc_id", "_kept"), docs["doc_id"].eqNullSafe(F.col("_kept")), "left_semi")
+
+
+def cut_repeated_paragraphs(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Cuts all but the first of similar paragraphs; documents stay."""
+    return paragraph_dedup.cleaned(docs)
+
+
+def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Masks values that only few owners have; documents stay."""
+    return secret_scan.redact(docs)
+
+
+def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return slack_packing.pack(docs)
+
+
+STAGES = [
+    ("language_id", identify_language),
+    ("jaccard_join", drop_near_duplicates),
+    ("paragraph_dedup", cut_repeated_paragraphs),
+    ("secret_scan", mask_secrets),
+    ("best_fit_packing", pack_sequences),
+]
+# Stages learn, hash and tokenize in ways that SQL cannot express; tests hold them against brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages on ``documents``; each but the last is written and read again."""
+    docs = spark.read.parquet(f"{sf_dir.rstrip('/')}/documents.parquet")
+    for name, stage in STAGES[:-1]:
+        path = new_path(spark, f"stage-{name}")
+        stage(spark, docs, sf_dir).write.parquet(path)
+        docs = spark.read.parquet(path)
+    return STAGES[-1][1](spark, docs, sf_dir)

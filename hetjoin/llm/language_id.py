@@ -114,7 +114,7 @@ def fit_prototypes(docs: DataFrame, dimensions: int = DIMENSIONS, seed: int = SE
     return {k: v / n for k, v in sorted(found.items()) if (n := np.linalg.norm(v)) > 0}
 
 
-def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str, ...] = ("doc_id",), dimensions: int = DIMENSIONS, seed: int = SEED) -> DataFrame:
+def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str, ...] = ("doc_id",), body: str = "text", dimensions: int = DIMENSIONS, seed: int = SEED) -> DataFrame:
     """Adds ``lang_pred`` and ``score`` to the columns ``keep``.
 
     ``und`` with score 0 where text is null or has no letter, or no prototype exists; equal
@@ -127,7 +127,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str,
         vectors = TrigramVectors(dimensions, seed)
         for batch in small_batches(batches):
             langs, scores = [], []
-            for text in batch.column(batch.num_columns - 1).to_pylist():
+            for text in batch.column(at).to_pylist():
                 grams, counts = trigram_counts(text or "")
                 best, score = UNDETERMINED, 0.0
                 if len(grams) and names:
@@ -137,12 +137,15 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str,
                         best, score = names[int(cosines.argmax())], float(min(1.0, max(0.0, cosines.max())))
                 langs.append(best)
                 scores.append(score)
-            kept = {k: batch.column(i) for i, k in enumerate(keep)}
+            kept = {f"_{i}": batch.column(i) for i in range(len(keep))}
             yield to_batch(kept | {"lang_pred": pa.array(langs, pa.string()), "score": pa.array(scores, pa.float64())})
 
-    chosen = docs.select(*keep, F.col("text").alias("_text"))
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[:-1])
-    return arrow_map(chosen, label, f"{fields}, lang_pred string, score double")
+    # Columns that are called like the results travel under other names, and the results win.
+    at = keep.index(body) if body in keep else len(keep)
+    chosen = docs.select(*[F.col(f"`{k}`").alias(f"_{i}") for i, k in enumerate(keep)], *([F.col(body)] if at == len(keep) else []))
+    fields = ", ".join(f"_{i} {chosen.schema[i].dataType.simpleString()}" for i in range(len(keep)))
+    labelled = arrow_map(chosen, label, f"{fields}, lang_pred string, score double")
+    return labelled.select(*[F.col(f"_{i}").alias(k) for i, k in enumerate(keep) if k not in ("lang_pred", "score")], "lang_pred", "score")
 
 
 def held_out(docs: DataFrame):
