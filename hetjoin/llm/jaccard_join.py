@@ -1,8 +1,9 @@
 """Exact Jaccard join of documents on five-word shingles.
 
 Candidates come from prefixes: in one order of all shingles, two sets that reach the
-similarity share one of the first n - ceil(0.8 n) + 1 elements of each. The order is by hash,
-but for shingles that very many documents have, which come last. Sizes are banded, and pairs
+similarity share at least k of the first n - ceil(0.8 n) + k elements of each (k is 8, or all
+that small sets must share); pairs that share fewer are ruled out. The order is by hash, but
+for shingles that very many documents have, which come last. Sizes are banded, and pairs
 are tested in tiles (see :mod:`tiles`).
 """
 
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import arrow_map, small_batches, to_batch, written
-from .tiles import PERCENT, Bloom, bitmap, linked_classes, shared_keys
+from .tiles import PERCENT, SHARED, Bloom, bitmap, linked_classes, shared_keys
 from .wordhash import document_units
 
 SKETCH, COMMON_SHARE, COMMON_LEAST, COMMON_MOST = 1 << 16, 2e-4, 24, 100_000
@@ -83,7 +84,7 @@ def prefixes(docs: DataFrame, common: np.ndarray) -> DataFrame:
                 if len(late):
                     is_late = late[np.minimum(np.searchsorted(late, values), len(late) - 1)] == values
                     values = np.concatenate([values[~is_late], values[is_late]])
-                length = n - -(-PERCENT * n // 100) + 1
+                length = min(n, n - -(-PERCENT * n // 100) + SHARED)
                 found.append((values[:length], sid, n))
             lengths = [len(f[0]) for f in found]
             n = np.array([f[2] for f in found], np.int64)

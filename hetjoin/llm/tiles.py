@@ -21,6 +21,7 @@ from .wordhash import shingle_set
 PERCENT = 80
 TILE = 256
 LONG_RUN = 16
+SHARED = 8
 BLOOM_BITS = 1 << 25
 
 
@@ -29,6 +30,11 @@ def like_sizes(a: str, b: str):
     return F.least(a, b) * 100 >= F.greatest(a, b) * PERCENT
 
 
+def sure_keys(n: str, most: int = SHARED):
+    """Column: how many keys a set of this size shares at least with any similar set of no smaller such number."""
+    return F.least(F.lit(most), F.ceil(F.col(n) * PERCENT / 100))
+
+
 def shared_keys(rows: DataFrame) -> DataFrame:
     """(key, band, sid, n) to the rows whose key two or more classes have, each with the first class of its key and band.
 
@@ -251,16 +257,15 @@ def mixed_rows(keys: DataFrame, roots: DataFrame) -> DataFrame:
 
 
 def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
-    """Pairs (a, b) of the classes in long runs with a pivot of another component in their key and band."""
-    long_runs = rows.where(F.col("run") > LONG_RUN)
+    """Pairs (a, b) of the classes with a pivot of another component in their key and band."""
     by = F.struct(F.xxhash64("sid", F.lit(seed)).alias("o"), "sid", "n", "root")
-    ends = long_runs.groupBy("key", "band").agg(F.min(by).alias("x"), F.max(by).alias("y")).where("x.root <> y.root")
-    chosen = long_runs.join(ends, ["key", "band"]).select("sid", "n", F.when(F.col("root") != F.col("x.root"), F.col("x")).otherwise(F.col("y")).alias("z"))
+    ends = rows.groupBy("key", "band").agg(F.min(by).alias("x"), F.max(by).alias("y")).where("x.root <> y.root")
+    chosen = rows.join(ends, ["key", "band"]).select("sid", "n", F.when(F.col("root") != F.col("x.root"), F.col("x")).otherwise(F.col("y")).alias("z"))
     return chosen.select(F.col("sid").alias("a"), F.col("z.sid").alias("b"), F.col("n").alias("an"), F.col("z.n").alias("bn")).where(like_sizes("an", "bn")).select("a", "b").distinct()
 
 
 def cross_tiles(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(a, tile) for all classes and blocks of other components of like size that share a key, and the tiles.
+    """(a, tile) for all classes and blocks of other components of like size that share enough keys, and the tiles.
 
     A block is up to about ``TILE`` classes of one component, so two large components of near
     copies meet block by block; the class comes from the smaller of the two components.
@@ -275,7 +280,9 @@ def cross_tiles(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
     smaller = (F.col("as") < F.col("size")) | ((F.col("as") == F.col("size")) & (F.col("ar") < F.col("root")))
     singles = ~F.col("one") & (F.col("as") == 1) & ((F.col("low") != F.col("a")) | (F.col("high") != F.col("a")))
     fits = (F.col("n") * 100 >= F.col("least") * PERCENT) & (F.col("most") * 100 >= F.col("n") * PERCENT)
-    pairs = left.join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root"))))).select("a", "tile").distinct()
+    pairs = left.join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root")))))
+    enough = F.count("*") >= F.min(F.least(sure_keys("n"), sure_keys("least")))
+    pairs = pairs.groupBy("a", "tile").agg(enough.alias("enough")).where("enough").select("a", "tile")
     return pairs, marked.select("tile", "sid", "one").distinct()
 
 
@@ -302,11 +309,13 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
             links = links.unionAll(roots.select(F.col("id").alias("a"), F.col("root").alias("b")))
         return written(components(links), "roots")
 
-    pairs = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).select(F.col("sid").alias("a"), F.col("pivot").alias("b")).distinct()
+    met = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).groupBy(F.col("sid").alias("a"), F.col("pivot").alias("b"))
+    pairs = met.agg(F.count("*").alias("times"), F.min(F.least(sure_keys("n", 2), sure_keys("pivot_n", 2))).alias("least")).where("times >= least" if complete else "true").select("a", "b")
     start = keys.sparkSession.createDataFrame([], "id long, root long")
     roots = grown(None, *single(written(pairs, "pairs"))) or start
+    long_runs = keys.groupBy("key").agg(F.count("*").alias("run")).where(F.col("run") > LONG_RUN).select("key")
     for r in range(rounds):
-        roots = grown(roots, *single(written(other_pivots(mixed_rows(keys, roots), r), "pairs")))
+        roots = grown(roots, *single(written(other_pivots(mixed_rows(keys.join(long_runs, "key", "left_semi"), roots), r), "pairs")))
     if complete:
         pairs, tiles = cross_tiles(mixed_rows(keys, roots))
         pairs = written(pairs, "pairs")
