@@ -206,7 +206,9 @@ def labelled_pages(count: int = 240, seed: int = 5) -> list[tuple[Page, list[int
             parts.append(r.choices([para(), f"<h2>{text(1, 8)}</h2>", f"<ul><li>{text(3, 20)}</li><li>{text(3, 20)}</li></ul>", f"<blockquote>{para()}</blockquote>", f"<table><tr><td>{text(1, 5)}</td><td>{text(1, 9)}</td></tr></table>", f"<pre>{text(4, 20)}</pre>", f"<!--junk-->{junk()}<!--end-->"], [12, 1, 1, 1, 0.5, 0.3, 0.6])[0])
         holder = r.choices(["<article>{}</article>", "<main><article>{}</article></main>", '<div class="{c}">{}</div>', "<main>{}</main>", '<section class="{c}">{}</section>'], [8, 3, 3, 2, 1])[0]
         body = holder.replace("{c}", pick("content", "article", "post", "entry", "story", "text")).replace("{}", "<!--main-->" + "".join(parts) + "<!--out-->", 1)
-        page = "<html><head><title>x</title></head><body>" + "".join(junk() for _ in range(r.randint(1, 4))) + body + "".join(junk() for _ in range(r.randint(1, 3))) + "</body></html>"
+        page = "".join(junk() for _ in range(r.randint(0, 4))) + body + "".join(junk() for _ in range(r.randint(0, 3)))
+        if r.random() < 0.85:
+            page = f"<html><head><title>x</title></head><body>{page}</body></html>"
         if r.random() < 0.1:
             page = page[: r.randint(len(page) // 2, len(page))]
         made.append(_labelled(page))

@@ -103,6 +103,8 @@ def texts_of(docs: DataFrame):
         def run(batches):
             for batch in small_batches(batches):
                 held = pa.array(np.flatnonzero(bloom.holds(np.asarray(batch.column(0)))))
+                if not len(held):
+                    continue
                 texts = batch.column(1).take(held)
                 yield to_batch({"sid": pa.array(document_units(texts).sequence_ids()), "text": texts})
 

@@ -101,6 +101,8 @@ def texts_of(docs: DataFrame, min_words: int = MIN_WORDS):
         def run(batches):
             for batch in small_batches(batches):
                 batch = batch.take(pa.array(np.flatnonzero(bloom.holds(np.asarray(batch.column(2))))))
+                if not batch.num_rows:
+                    continue
                 p = Paragraphs(batch.column(3).to_pylist())
                 sids = p.units.sequence_ids()
                 at = np.flatnonzero(p.units.count >= min_words)
