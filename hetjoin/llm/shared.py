@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 import zipfile
@@ -38,9 +39,7 @@ def new_path(spark: SparkSession, tag: str) -> str:
 
 def _remove_made() -> None:
     for spark, path in _made:
-        with suppress(Exception):
-            where = spark._jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        _remove(spark, path)
 
 
 def written(df: DataFrame, tag: str) -> DataFrame:
@@ -48,7 +47,26 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = new_path(spark, tag)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._table_path = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Removes written tables that nothing reads any more, and lets Spark drop the shuffle files of finished steps."""
+    for df in tables:
+        if path := getattr(df, "_table_path", None):
+            _remove(df.sparkSession, path)
+            df._table_path = None
+    gc.collect()
+    if spark := next((df.sparkSession for df in tables if df is not None), None):
+        spark._jvm.System.gc()
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    with suppress(Exception):
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

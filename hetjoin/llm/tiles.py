@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import arrow_map, small_batches, to_batch, written
+from .shared import arrow_map, discard, small_batches, to_batch, written
 from .wordhash import shingle_set
 
 PERCENT = 80
@@ -206,6 +206,7 @@ def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callabl
     """
     needed = written(pairs.select(F.col("a").alias("sid")).unionAll(tiles.select("sid")).distinct().join(owners.select("sid", "doc", "where"), "sid"), "needed")
     bloom = Bloom(needed.select("where").unionAll(needed.select("doc")), "where")
+    discard(needed)
     rows = laid_out(pairs, tiles).join(texts(bloom), "sid").select("tile", "part", "role", "sid", "one", "text")
     dealt = rows.repartition("tile", "part").sortWithinPartitions("tile", "part", "role", "sid")
 
@@ -298,26 +299,35 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
     def grown(roots: DataFrame | None, pairs: DataFrame, tiles: DataFrame) -> DataFrame | None:
         if pairs.isEmpty():
             return roots
-        pairs = written(sift(pairs, tiles, owners), "sifted")
-        if pairs.isEmpty():
+        sifted = written(sift(pairs, tiles, owners), "sifted")
+        links = None
+        if not sifted.isEmpty():
+            links = written(verify(sifted, tiles.join(sifted.select("tile").distinct(), "tile", "left_semi"), owners, texts), "links")
+        discard(sifted)
+        if links is None or (links.isEmpty() and roots is not None):
             return roots
-        tiles = tiles.join(pairs.select("tile").distinct(), "tile", "left_semi")
-        links = written(verify(pairs, tiles, owners, texts), "links")
-        if roots is not None:
-            if links.isEmpty():
-                return roots
-            links = links.unionAll(roots.select(F.col("id").alias("a"), F.col("root").alias("b")))
-        return written(components(links), "roots")
+        both = links if roots is None else links.unionAll(roots.select(F.col("id").alias("a"), F.col("root").alias("b")))
+        more = components(both)
+        discard(links, roots)
+        return more
 
     met = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).groupBy(F.col("sid").alias("a"), F.col("pivot").alias("b"))
     pairs = met.agg(F.count("*").alias("times"), F.min(F.least(sure_keys("n", 2), sure_keys("pivot_n", 2))).alias("least")).where("times >= least" if complete else "true").select("a", "b")
     start = keys.sparkSession.createDataFrame([], "id long, root long")
-    roots = grown(None, *single(written(pairs, "pairs"))) or start
+    pairs = written(pairs, "pairs")
+    roots = grown(None, *single(pairs)) or start
+    discard(pairs)
     long_runs = keys.groupBy("key").agg(F.count("*").alias("run")).where(F.col("run") > LONG_RUN).select("key")
     for r in range(rounds):
-        roots = grown(roots, *single(written(other_pivots(mixed_rows(keys.join(long_runs, "key", "left_semi"), roots), r), "pairs")))
+        rows = mixed_rows(keys.join(long_runs, "key", "left_semi"), roots)
+        pairs = written(other_pivots(rows, r), "pairs")
+        roots = grown(roots, *single(pairs))
+        discard(rows, pairs)
     if complete:
-        pairs, tiles = cross_tiles(mixed_rows(keys, roots))
+        rows = mixed_rows(keys, roots)
+        pairs, tiles = cross_tiles(rows)
         pairs = written(pairs, "pairs")
         roots = grown(roots, pairs, tiles)
+        discard(rows, pairs)
+    discard(keys)
     return roots
