@@ -12,6 +12,7 @@ import hashlib
 import json
 import re
 import unicodedata
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -173,15 +174,19 @@ def model(path: str) -> BpeModel:
 
 
 class FastEncoder:
-    """Ids only, as uint32 arrays, by a compiled encoder; equal to :class:`BpeModel` and to the tokenizers library.
+    """Ids only, as uint32 arrays, by a compiled encoder.
 
-    ``engine`` is ``tiktoken`` (made from the same JSON vocabulary) or ``tokenizers``.
+    ``engine`` is ``tokenizers``, the library itself, or ``tiktoken``, made from the same JSON
+    vocabulary. With ``tokenizers``, a text is cut before single spaces, where no piece and no
+    added token can span the cut, and new parts again at other such places; the library encodes each
+    that this worker has not met, and the ids of short ones are remembered. Vocabularies without such safe places go through the
+    library text by text.
     """
 
-    def __init__(self, path: str, engine: str = "tiktoken"):
+    def __init__(self, path: str, engine: str = "tokenizers"):
         self.path, self.engine = path, engine
         own = model(path)
-        self.size, self.split_added, self.added = own.size, own.split_added, own.added
+        self.size, self.dtype, self.split_added, self.added = own.size, own.dtype, own.split_added, own.added
         if engine == "tiktoken":
             import public_tokenizers
             import tiktoken
@@ -198,10 +203,15 @@ class FastEncoder:
             self.inner = tokenizers.Tokenizer.from_file(path)
             self.inner.no_truncation()
             self.inner.no_padding()
+            self.cuts, self.code = _cuts_safely(path), "H" if own.dtype.itemsize == 2 else "I"
+            self.known: dict[str, bytes] = {}
+            self.small: dict[str, bytes] = {}
 
     def encode(self, text: str) -> np.ndarray:
         if self.engine != "tiktoken":
-            return np.array(self.inner.encode(text, add_special_tokens=False).ids, np.uint32)
+            if not self.cuts:
+                return np.array(self.inner.encode(text, add_special_tokens=False).ids, np.uint32)
+            return np.frombuffer(b"".join([self._parts(s) for s in segments(text)]), self.dtype).astype(np.uint32)
         out = []
         for k, part in enumerate(self.split_added.split(text) if self.split_added else [text]):
             if k % 2:
@@ -212,9 +222,48 @@ class FastEncoder:
                     out.append(np.array(self.inner.encode_ordinary(s) if len(s) <= 2 * _SEGMENT else model(self.path).encode(s), np.uint32))
         return np.concatenate(out) if out else np.zeros(0, np.uint32)
 
+    def _parts(self, text: str) -> bytes:
+        if "  " in text or _space_before_space.search(text):
+            parts = _part_start.split(text)
+        else:
+            parts = text.split(" ")
+            parts[1:] = [" " + p for p in parts[1:]]
+        known, small = self.known, self.small
+        new = {p: [p] if any(a in p for a in self.added) else _inner_start.split(p) for p in set(parts) if p not in known}
+        if not new:
+            return b"".join([known[p] for p in parts])
+        unseen = list({x for inner in new.values() for x in inner if x not in small})
+        coded = self.inner.encode_batch_fast(unseen, add_special_tokens=False)
+        fresh = {x: array(self.code, c.ids).tobytes() for x, c in zip(unseen, coded)}
+        here = {p: b"".join([small[x] if x in small else fresh[x] for x in inner]) for p, inner in new.items()}
+        out = b"".join([known[p] if p in known else here[p] for p in parts])
+        for memory, ids_of in ((small, fresh), (known, here)):
+            if len(memory) >= _CACHED_WORDS:
+                memory.clear()
+            memory.update((p, ids) for p, ids in ids_of.items() if len(p) <= _CACHED_CHARS)
+        return out
+
+
+_space_before_space = re.compile(r"[\t-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000] ")
+_part_start = re.compile(f"(?<=[^{WHITE_SPACE}])(?= )")
+# A run of letters ends before punctuation; a line end is never in one piece with what is not white space.
+_inner_start = re.compile(f"(?<=[A-Za-zÀ-ÖØ-öø-ÿ])(?=[!-/:-@\\[-`{{-~])|(?<=[^{WHITE_SPACE}])(?=\n)|(?<=\n)(?=[^{WHITE_SPACE}])")
+
+
+@lru_cache(maxsize=2)
+def _cuts_safely(path: str) -> bool:
+    """True if texts may be cut before a space that follows another character: plain byte-level
+    pre-tokenizing, nothing before or after it, and added tokens that neither hold nor strip white space."""
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    before = spec["pre_tokenizer"] or {}
+    plain = before.get("type") == "ByteLevel" and not before.get("add_prefix_space") and before.get("use_regex", True)
+    bare = not any(t["lstrip"] or t["rstrip"] or t["single_word"] or re.search(r"\s", t["content"]) for t in spec["added_tokens"])
+    return bool(plain and bare and not spec["normalizer"])
+
 
 @lru_cache(maxsize=2)
-def fast_encoder(path: str, engine: str = "tiktoken") -> FastEncoder:
+def fast_encoder(path: str, engine: str = "tokenizers") -> FastEncoder:
     return FastEncoder(path, engine)
 
 

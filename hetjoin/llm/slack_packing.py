@@ -68,7 +68,7 @@ def cut(length: int, capacity: int) -> list[tuple[int, int]]:
     return [(0, first)] + [(at, capacity) for at in range(first, length, capacity)]
 
 
-def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tiktoken") -> DataFrame:
+def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tokenizers") -> DataFrame:
     """One row per piece, with its task and its place among that task's pieces of the same length."""
     path = path or vocabulary_path()
 
@@ -119,6 +119,6 @@ def assign(cut_pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     return arrow_map(ranked, place, "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
 
 
-def pack(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tiktoken") -> DataFrame:
+def pack(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tokenizers") -> DataFrame:
     """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece of every document (null text: empty)."""
     return assign(written(pieces(docs, capacity, path, engine), "pieces"), capacity)

@@ -84,7 +84,7 @@ class TokenReader:
         self.source.close()
 
 
-def write(docs: DataFrame, uri: str, path: str | None = None, engine: str = "tiktoken", length: int = SEQUENCE) -> DataFrame:
+def write(docs: DataFrame, uri: str, path: str | None = None, engine: str = "tokenizers", length: int = SEQUENCE) -> DataFrame:
     """Encodes every text (null: empty) and end id into files under ``uri``; returns the index of documents.
 
     Documents are dealt to files by ranges of doc_id (null ids first, equal ids in order of
@@ -156,6 +156,6 @@ def read_checksums(index: DataFrame) -> DataFrame:
     return arrow_map(dealt, run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
-def store_and_read(docs: DataFrame, uri: str | None = None, path: str | None = None, engine: str = "tiktoken") -> DataFrame:
+def store_and_read(docs: DataFrame, uri: str | None = None, path: str | None = None, engine: str = "tokenizers") -> DataFrame:
     uri = uri or new_path(docs.sparkSession, "token-files")
     return read_checksums(with_starts(written(write(docs, uri, path, engine), "token-index")))
