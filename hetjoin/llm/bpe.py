@@ -10,9 +10,9 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import re
 import unicodedata
-from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -178,9 +178,10 @@ class FastEncoder:
 
     ``engine`` is ``tokenizers``, the library itself, or ``tiktoken``, made from the same JSON
     vocabulary. With ``tokenizers``, a text is cut before single spaces, where no piece and no
-    added token can span the cut, and new parts again at other such places; the library encodes each
-    that this worker has not met, and the ids of short ones are remembered. Vocabularies without such safe places go through the
-    library text by text.
+    added token can span the cut. The library encodes the parts that this worker has not met,
+    many in one call with line ends between them, and the ids of short ones are remembered, in
+    an older and a newer half that take turns. Vocabularies without such safe places go
+    through the library text by text. Its threads are off: Spark has a task on every core.
     """
 
     def __init__(self, path: str, engine: str = "tokenizers"):
@@ -198,14 +199,16 @@ class FastEncoder:
                 raise ValueError("ids of this vocabulary do not follow its merges; use engine='tokenizers'")
             self.inner = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
         else:
+            os.environ["TOKENIZERS_PARALLELISM"] = "false"
             import tokenizers
 
             self.inner = tokenizers.Tokenizer.from_file(path)
             self.inner.no_truncation()
             self.inner.no_padding()
-            self.cuts, self.code = _cuts_safely(path), "H" if own.dtype.itemsize == 2 else "I"
+            self.cuts = _cuts_safely(path)
+            self.line_end = self.inner.encode("\n", add_special_tokens=False).ids
             self.known: dict[str, bytes] = {}
-            self.small: dict[str, bytes] = {}
+            self.older: dict[str, bytes] = {}
 
     def encode(self, text: str) -> np.ndarray:
         if self.engine != "tiktoken":
@@ -228,26 +231,40 @@ class FastEncoder:
         else:
             parts = text.split(" ")
             parts[1:] = [" " + p for p in parts[1:]]
-        known, small = self.known, self.small
-        new = {p: [p] if any(a in p for a in self.added) else _inner_start.split(p) for p in set(parts) if p not in known}
-        if not new:
-            return b"".join([known[p] for p in parts])
-        unseen = list({x for inner in new.values() for x in inner if x not in small})
-        coded = self.inner.encode_batch_fast(unseen, add_special_tokens=False)
-        fresh = {x: array(self.code, c.ids).tobytes() for x, c in zip(unseen, coded)}
-        here = {p: b"".join([small[x] if x in small else fresh[x] for x in inner]) for p, inner in new.items()}
-        out = b"".join([known[p] if p in known else here[p] for p in parts])
-        for memory, ids_of in ((small, fresh), (known, here)):
-            if len(memory) >= _CACHED_WORDS:
-                memory.clear()
-            memory.update((p, ids) for p, ids in ids_of.items() if len(p) <= _CACHED_CHARS)
+        found = list(map(self.known.get, parts))
+        if None in found:
+            new, older = {p for p, ids in zip(parts, found) if ids is None}, self.older
+            fresh = {p: older[p] for p in new if p in older}
+            fresh |= self._by_library([p for p in new if p not in fresh])
+            found = [fresh[p] if ids is None else ids for p, ids in zip(parts, found)]
+            if len(self.known) >= _CACHED_WORDS // 2:
+                self.known, self.older = {}, self.known
+            self.known.update((p, ids) for p, ids in fresh.items() if len(p) <= _CACHED_CHARS)
+        return b"".join(found)
+
+    def _by_library(self, parts: list[str]) -> dict[str, bytes]:
+        """The library's ids of each part: of plain parts by one text of all, with a line end after each."""
+        plain = [p for p in parts if not _mixes_with_line_ends.search(p)]
+        text = "\n".join(plain) + "\n"
+        if len(self.line_end) != 1 or (self.split_added and self.split_added.search(text)):
+            plain = []
+        out = {}
+        if plain:
+            ids = np.array(self.inner.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.dtype)
+            ends = np.flatnonzero(ids == self.line_end[0]).tolist()
+            if len(ends) == len(plain):
+                raw, width = ids.tobytes(), ids.itemsize
+                out = {p: raw[(a + 1) * width : b * width] for p, a, b in zip(plain, [-1, *ends], ends)}
+        rest = [p for p in parts if p not in out]
+        for p, coded in zip(rest, self.inner.encode_batch_fast(rest, add_special_tokens=False) if rest else []):
+            out[p] = np.array(coded.ids, self.dtype).tobytes()
         return out
 
 
 _space_before_space = re.compile(r"[\t-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000] ")
 _part_start = re.compile(f"(?<=[^{WHITE_SPACE}])(?= )")
-# A run of letters ends before punctuation; a line end is never in one piece with what is not white space.
-_inner_start = re.compile(f"(?<=[A-Za-zÀ-ÖØ-öø-ÿ])(?=[!-/:-@\\[-`{{-~])|(?<=[^{WHITE_SPACE}])(?=\n)|(?<=\n)(?=[^{WHITE_SPACE}])")
+# Parts whose white space could join a line end before or after them, that hold one, or are empty.
+_mixes_with_line_ends = re.compile(f"\n|^[{WHITE_SPACE}]{{2}}|[{WHITE_SPACE}]\\Z|\\A\\Z")
 
 
 @lru_cache(maxsize=2)
