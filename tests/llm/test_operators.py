@@ -62,6 +62,19 @@ def test_tokens_equal_the_library(mixed):
     assert own.decode([0xE2 % 256, 5]) == lib.decode([0xE2 % 256, 5], skip_special_tokens=False)
 
 
+def test_fast_ids_of_odd_white_space_and_added_tokens():
+    import random
+
+    import tokenizers
+
+    path = bpe.vocabulary_path()
+    lib, fast, draw = tokenizers.Tokenizer.from_file(path), bpe.FastEncoder(path), random.Random(5)
+    bits = ["a", "B", "é", "'s", "1", "٣", " ", "  ", "\n", "\t", "\r\n", "\x85", "\xa0", "\u3000", "\x1f", ".", "_", "日", "🙂", *list(fast.added)[:3]]
+    for _ in range(5000):
+        text = "".join(draw.choice(bits) for _ in range(draw.randint(0, 14)))
+        assert fast.encode(text).tolist() == lib.encode(text, add_special_tokens=False).ids, repr(text)
+
+
 def test_segments_keep_pieces():
     text = " ab  cd\n\n ef " * 50
     assert "".join(bpe.segments(text, 20)) == text
