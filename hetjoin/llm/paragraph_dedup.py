@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import arrow_map, small_batches, to_batch, written
-from .tiles import Bloom, bitmap, linked_classes, shared_keys
+from .tiles import Bloom, bitmap, linked_classes, one_key, shared_keys
 from .wordhash import Units, mix
 
 BANDS, ROWS_PER_BAND, MIN_WORDS, SEED = 10, 3, 25, 31
@@ -139,7 +139,7 @@ def duplicates(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
     owners = arrow_map(classes.select("sid", "first.doc_id", "first.text_hash", "first.number", F.xxhash64("first.doc_id", "first.text_hash").alias("doc"), "n", "bits"), where, "sid long, doc long, where long, n long, bits binary")
     keys = written(shared_keys(band_keys(docs, min_words)), "shared-keys")
-    roots = linked_classes(keys, owners, texts_of(docs, min_words), rounds=1, complete=False)
+    roots = linked_classes(keys, owners, texts_of(docs, min_words), sure=one_key)
     rooted = classes.join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
     groups = rooted.groupBy("root").agg(F.min("first").alias("keep"), F.sum("copies").alias("total")).where("total > 1")
     doomed = rooted.join(groups, "root").select("sid", "keep")

@@ -35,6 +35,11 @@ def sure_keys(n: str, most: int = SHARED):
     return F.least(F.lit(most), F.ceil(F.col(n) * PERCENT / 100))
 
 
+def one_key(n: str, most: int = SHARED):
+    """Column: the same where a single shared key makes a pair a candidate."""
+    return F.lit(1)
+
+
 def shared_keys(rows: DataFrame) -> DataFrame:
     """(key, band, sid, n) to the rows whose key two or more classes have, each with the first class of its key and band.
 
@@ -265,7 +270,7 @@ def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
     return chosen.select(F.col("sid").alias("a"), F.col("z.sid").alias("b"), F.col("n").alias("an"), F.col("z.n").alias("bn")).where(like_sizes("an", "bn")).select("a", "b").distinct()
 
 
-def cross_tiles(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+def cross_tiles(rows: DataFrame, sure: Callable = sure_keys) -> tuple[DataFrame, DataFrame]:
     """(a, tile) for all classes and blocks of other components of like size that share enough keys, and the tiles.
 
     A block is up to about ``TILE`` classes of one component, so two large components of near
@@ -282,18 +287,18 @@ def cross_tiles(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
     singles = ~F.col("one") & (F.col("as") == 1) & ((F.col("low") != F.col("a")) | (F.col("high") != F.col("a")))
     fits = (F.col("n") * 100 >= F.col("least") * PERCENT) & (F.col("most") * 100 >= F.col("n") * PERCENT)
     pairs = left.join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root")))))
-    enough = F.count("*") >= F.min(F.least(sure_keys("n"), sure_keys("least")))
+    enough = F.count("*") >= F.min(F.least(sure("n"), sure("least")))
     pairs = pairs.groupBy("a", "tile").agg(enough.alias("enough")).where("enough").select("a", "tile")
     return pairs, marked.select("tile", "sid", "one").distinct()
 
 
-def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame], rounds: int = 1, complete: bool = True) -> DataFrame:
+def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame], rounds: int = 1, sure: Callable = sure_keys) -> DataFrame:
     """(id, root) of the classes joined by similarity, from a written table of :func:`shared_keys`.
 
     First every class meets the pivot of each of its keys; then, for some rounds, those in
-    long runs meet pivots of other components; last, where ``complete``, all that still lie in
-    different components meet. By then a group of near copies is one component, so it yields
-    few pairs.
+    long runs meet pivots of other components; last, all that still lie in different
+    components meet. By then a group of near copies is one component, so it yields few pairs.
+    ``sure`` tells how many keys similar classes of a size share at least.
     """
 
     def grown(roots: DataFrame | None, pairs: DataFrame, tiles: DataFrame) -> DataFrame | None:
@@ -312,7 +317,7 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
         return more
 
     met = keys.where("sid <> pivot").where(like_sizes("n", "pivot_n")).groupBy(F.col("sid").alias("a"), F.col("pivot").alias("b"))
-    pairs = met.agg(F.count("*").alias("times"), F.min(F.least(sure_keys("n", 2), sure_keys("pivot_n", 2))).alias("least")).where("times >= least" if complete else "true").select("a", "b")
+    pairs = met.agg(F.count("*").alias("times"), F.min(F.least(sure("n", 2), sure("pivot_n", 2))).alias("least")).where("times >= least").select("a", "b")
     start = keys.sparkSession.createDataFrame([], "id long, root long")
     pairs = written(pairs, "pairs")
     roots = grown(None, *single(pairs)) or start
@@ -323,11 +328,10 @@ def linked_classes(keys: DataFrame, owners: DataFrame, texts: Callable[[Bloom],
         pairs = written(other_pivots(rows, r), "pairs")
         roots = grown(roots, *single(pairs))
         discard(rows, pairs)
-    if complete:
-        rows = mixed_rows(keys, roots)
-        pairs, tiles = cross_tiles(rows)
-        pairs = written(pairs, "pairs")
-        roots = grown(roots, pairs, tiles)
-        discard(rows, pairs)
+    rows = mixed_rows(keys, roots)
+    pairs, tiles = cross_tiles(rows, sure)
+    pairs = written(pairs, "pairs")
+    roots = grown(roots, pairs, tiles)
+    discard(rows, pairs)
     discard(keys)
     return roots

@@ -263,6 +263,27 @@ def test_paragraphs(spark, nothing):
     assert paragraph_dedup.recall(0.8) > 0.999
 
 
+def removed_by_brute_force(texts):
+    """How many of these lines are not the first of their component at Jaccard 0.8 or more."""
+    sets, group = [shingle_set(t) for t in texts], list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if similar(sets[i], sets[j]) and group[i] != group[j]:
+                group = [group[j] if g == group[i] else g for g in group]
+    return len(texts) - len(set(group))
+
+
+def test_paragraphs_with_half_similar_pivots(spark):
+    r, texts = random.Random(4), []
+    for _ in range(12):
+        base = words(r, 40).split()
+        changed = lambda v, k: [*v[:k], f"z{r.randrange(10**6)}", *v[k + 1 :]]
+        pair = [changed(changed(base, k), k + 1) for k in (0, 38)]
+        texts += [" ".join(v) for v in (*pair, *(changed(base, k) for k in range(8, 32)))]
+    got = paragraph_dedup.dedup(docs_of(spark, [(i, t, "en", "a") for i, t in enumerate(texts)])).agg(F.sum("n_removed")).first()[0]
+    assert got == removed_by_brute_force(texts) >= 12
+
+
 BASE = [("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), 2, 8), ("access", re.compile("AKIA[A-Z0-9]+"), 0, 16), ("hex", re.compile("[0-9a-f]+"), 0, 32)]
 
 
