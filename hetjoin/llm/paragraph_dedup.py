@@ -2,6 +2,11 @@
 
 Ten bands of three values find two paragraphs of similarity 0.8 with a chance of 0.9992, and
 of similarity 0.5 with one of 0.74; all candidates are then tested on their shingle sets.
+
+Then passages: a run of ``SPAN`` words that also stands elsewhere, wherever lines end, is cut
+but for its first place. Each run of words is named by the least of the hashes of its
+``GRAM``-word parts. Equal runs have equal names, so only runs whose name comes up at
+another place are hashed as a whole and compared.
 """
 
 from __future__ import annotations
@@ -11,11 +16,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import arrow_map, small_batches, to_batch, written
+from .shared import arrow_map, discard, small_batches, to_batch, written
 from .tiles import Bloom, bitmap, linked_classes, one_key, shared_keys
-from .wordhash import Units, mix
+from .wordhash import Units, document_units, mix, words
 
 BANDS, ROWS_PER_BAND, MIN_WORDS, SEED = 10, 3, 25, 31
+SPAN, GRAM = 51, 25
 
 
 def recall(similarity: float, bands: int = BANDS, rows: int = ROWS_PER_BAND) -> float:
@@ -147,18 +153,151 @@ def duplicates(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     return rows.join(doomed, "sid").where(~same).select("doc_id", "text_hash", "number", F.col("keep.doc_id").alias("kept_doc"))
 
 
-def _with_removed(docs: DataFrame, min_words: int) -> DataFrame:
-    gone = duplicates(docs, min_words).groupBy(F.col("doc_id").alias("_id"), "text_hash").agg(F.array_sort(F.collect_set("number")).alias("_gone"), F.array_sort(F.collect_set("kept_doc")).alias("_kept"))
-    joined = docs.join(gone, docs["doc_id"].eqNullSafe(gone["_id"]) & (F.xxhash64(docs["text"]) == gone["text_hash"]), "left")
+def rolled(h: np.ndarray, size: int) -> np.ndarray:
+    """A hash of every run of ``size`` word hashes, by its first word."""
+    out = np.zeros(max(0, len(h) - size + 1), np.uint64)
+    for k in range(size if len(out) else 0):
+        out = out * np.uint64(0x9E3779B97F4A7C15) + h[k : k + len(out)]
+    return mix(out)
+
+
+def least_of(x: np.ndarray, size: int) -> np.ndarray:
+    """The least of every ``size`` neighbouring values."""
+    width = 1
+    while width < size:
+        step = min(width, size - width)
+        x, width = np.minimum(x[:-step], x[step:]), width + step
+    return x
+
+
+def named_runs(docs: DataFrame, span: int = SPAN) -> DataFrame:
+    """A written row (name, doc_id, text_hash, line, start, length) for each stretch of runs that follow one another with one name in one line."""
+    gram = min(GRAM, span)
+
+    def run(batches):
+        for batch in small_batches(batches):
+            units = document_units(batch.column(2))
+            grams, lines, rows, found = rolled(units.hashes, gram), units.lines(), [], []
+            ends = np.searchsorted(np.flatnonzero(units.data == 10), units.starts)
+            for i in np.flatnonzero(units.count >= span).tolist():
+                a, b = units.first[i], units.first[i + 1]
+                names = least_of(grams[a : b - gram + 1], span - gram + 1)
+                line = lines[a : a + len(names)] - ends[i]
+                opens = np.flatnonzero(np.concatenate([[True], (names[1:] != names[:-1]) | (line[1:] != line[:-1])]))
+                rows.append(np.full(len(opens), i))
+                found.append((names[opens].view(np.int64), line[opens], opens, np.diff(np.append(opens, len(names)))))
+            if rows:
+                at = pa.array(np.concatenate(rows))
+                name, line, start, length = (np.concatenate(c) for c in zip(*found))
+                yield to_batch({"name": pa.array(name), "doc_id": batch.column(0).take(at), "text_hash": batch.column(1).take(at)} | {k: pa.array(v.astype(np.int32)) for k, v in (("line", line), ("start", start), ("length", length))})
+
+    chosen = docs.select("doc_id", F.xxhash64("text"), "text").where("text is not null")
+    return written(arrow_map(chosen, run, "name long, doc_id long, text_hash long, line int, start int, length int"), "named-runs")
+
+
+def _beside(docs: DataFrame, table: DataFrame, how: str) -> DataFrame:
+    """Documents with the rows of ``table`` (_id, _hash, ...) about them."""
+    return docs.join(table, docs["doc_id"].eqNullSafe(table["_id"]) & (F.xxhash64(docs["text"]) == table["_hash"]), how)
+
+
+def repeated_runs(docs: DataFrame, lines: DataFrame, gone: DataFrame, span: int = SPAN) -> DataFrame:
+    """A written row (_id, _hash, _starts, _kept): the first words of runs that stand at an earlier place too, and the documents of those.
+
+    Places are ordered by document and word. Runs that touch one of the removed ``lines``
+    (by document in ``gone``) do not count, nor do those that overlap the first place themselves.
+    """
+    named = named_runs(docs, span)
+    same = named["doc_id"].eqNullSafe(lines["doc_id"]) & (named["text_hash"] == lines["text_hash"]) & (named["line"] == lines["number"])
+    live = named.join(lines, same, "left_anti")
+    place = F.xxhash64("doc_id", "text_hash", "start")
+    shared = live.groupBy("name").agg(F.min(place).alias("p0"), F.max(place).alias("p1")).where("p0 <> p1").select("name")
+    stretches = live.join(shared, "name").groupBy(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash")).agg(F.collect_set(F.struct("start", "length")).alias("_runs"))
+    whole = _beside(docs.select("doc_id", "text"), stretches.join(gone.select(F.col("_id").alias("_i"), F.col("_hash").alias("_h"), "_gone"), F.col("_id").eqNullSafe(F.col("_i")) & (F.col("_hash") == F.col("_h")), "left"), "inner")
+
+    def run(batches):
+        for batch in small_batches(batches):
+            units = document_units(batch.column(2))
+            lines, rows, hashes, starts = units.lines(), [], [], []
+            ends = np.searchsorted(np.flatnonzero(units.data == 10), units.starts)
+            for i, (runs, lost) in enumerate(zip(batch.column(3).to_pylist(), batch.column(4).to_pylist())):
+                h = units.hashes[units.first[i] : units.first[i + 1]]
+                begin, length = (np.array([r[k] for r in runs], np.int64) for k in ("start", "length"))
+                chosen = np.repeat(begin - np.cumsum(length) + length, length) + np.arange(length.sum())
+                if lost:
+                    cut = np.isin(lines[units.first[i] : units.first[i + 1]] - ends[i], lost)
+                    before = np.concatenate([[0], np.cumsum(cut)])
+                    chosen = chosen[before[chosen + span] == before[chosen]]
+                rows.append(np.full(len(chosen), i))
+                hashes.append(rolled(h, span)[chosen].view(np.int64))
+                starts.append(chosen.astype(np.int32))
+            at = pa.array(np.concatenate(rows))
+            yield to_batch({"hash": pa.array(np.concatenate(hashes)), "doc_id": batch.column(0).take(at), "text_hash": batch.column(1).take(at), "start": pa.array(np.concatenate(starts))})
+
+    found = written(arrow_map(whole.select("doc_id", "_hash", "text", "_runs", "_gone"), run, "hash long, doc_id long, text_hash long, start int"), "runs")
+    discard(named)
+    by = F.struct("doc_id", "text_hash", "start")
+    firsts = found.groupBy("hash").agg(F.min(by).alias("keep"), F.min(place).alias("p0"), F.max(place).alias("p1")).where("p0 <> p1").select("hash", "keep")
+    inside = F.col("doc_id").eqNullSafe(F.col("keep.doc_id")) & (F.col("text_hash") == F.col("keep.text_hash")) & (F.col("start") - F.col("keep.start") < span)
+    later = found.join(firsts, "hash").where(~inside)
+    out = written(later.groupBy(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash")).agg(F.collect_set("start").alias("_starts"), F.collect_set("keep.doc_id").alias("_kept")), "repeated-runs")
+    discard(found)
+    return out
+
+
+def without(text: str, starts: list[int], lost: list[int], span: int = SPAN) -> tuple[str, list[tuple[int, int]]]:
+    """The text without the ``lost`` lines and the runs of ``span`` words from ``starts`` on, and the first and last word of each cut.
+
+    A word goes with the white space up to the next one in its line, a line with its last word.
+    """
+    data = np.frombuffer(text.encode(), np.uint8)
+    at = words(data, np.zeros(0, np.int64))[0]
+    edge = np.zeros(len(at) + 1, np.int64)
+    np.add.at(edge, starts, 1)
+    np.add.at(edge, np.array(starts) + span, -1)
+    cut = np.cumsum(edge)[:-1] > 0
+    ends = np.append(np.flatnonzero(data == 10), len(data))
+    first = np.searchsorted(at, np.concatenate([[0], ends[:-1] + 1, [len(data) + 1]]))
+    out, gone, raw, begin = [], set(lost), text.encode(), 0
+    for number, end in enumerate(ends.tolist()):
+        a, b = int(first[number]), int(first[number + 1])
+        if number not in gone and not cut[a:b].any():
+            out.append(raw[begin:end])
+        elif number not in gone and not cut[a:b].all():
+            stops = np.append(at[a + 1 : b], end)
+            line = raw[begin : at[a]] + b"".join(raw[at[w] : stops[w - a]] for w in range(a, b) if not cut[w])
+            out.append(line.rstrip(b" ") if cut[b - 1] else line)
+        begin = end + 1
+    turns = np.flatnonzero(np.diff(np.concatenate([[0], cut.astype(np.int8), [0]])))
+    return b"\n".join(out).decode(), [(int(x), int(y) - 1) for x, y in zip(turns[::2], turns[1::2])]
+
+
+def _with_removed(docs: DataFrame, min_words: int, span: int = SPAN) -> DataFrame:
+    removed = written(duplicates(docs, min_words), "removed-lines")
+    gone = removed.groupBy(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash")).agg(F.array_sort(F.collect_set("number")).alias("_gone"), F.collect_set("kept_doc").alias("_kept"))
+    starts = repeated_runs(docs, removed, gone, span)
+    both = gone.select("_id", "_hash", "_gone", F.lit(None).cast("array<int>").alias("_starts"), "_kept").unionAll(starts.select("_id", "_hash", F.lit(None).cast("array<int>"), "_starts", "_kept"))
+    edits = written(both.groupBy("_id", "_hash").agg(F.first("_gone", True).alias("_gone"), F.first("_starts", True).alias("_starts"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("_kept")))).alias("_kept")), "edits")
+    discard(starts)
+
+    def run(batches):
+        for batch in small_batches(batches):
+            done = [without(t, s, g or [], span) for t, s, g in zip(*(batch.column(i).to_pylist() for i in (2, 3, 4)))]
+            yield to_batch({"_id": batch.column(0), "_hash": batch.column(1), "_cut": pa.array([d[0] for d in done], pa.string()), "_spans": pa.array([",".join(f"{a}-{b}" for a, b in d[1]) for d in done], pa.string()), "_n_cut": pa.array([sum(b - a + 1 for a, b in d[1]) for d in done], pa.int64())})
+
+    # Rows equal in id and text are cut alike, so one of them is enough.
+    touched = _beside(docs.select("doc_id", "text"), edits.where("_starts is not null"), "inner").select("_id", "_hash", "text", "_starts", "_gone")
+    cut = written(arrow_map(touched, run, "_id long, _hash long, _cut string, _spans string, _n_cut long"), "cut-texts").dropDuplicates(["_id", "_hash"])
+    cut = cut.select(F.col("_id").alias("_i"), F.col("_hash").alias("_h"), "_cut", "_spans", "_n_cut")
+    joined = _beside(docs, edits.join(cut, F.col("_id").eqNullSafe(F.col("_i")) & (F.col("_hash") == F.col("_h")), "left"), "left")
     lines = F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains("_gone", i))
-    return joined.withColumn("_text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(lines, "\n")))
+    return joined.withColumn("_text", F.when(F.col("_cut").isNotNull(), F.col("_cut")).when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(lines, "\n")))
 
 
 def dedup(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """doc_id, text without removed lines, n_paragraphs, n_removed, removed (line numbers from 0) and kept_in (document ids).
+    """doc_id, text without removed lines, n_paragraphs, n_removed, removed (line numbers from 0), kept_in (document ids), n_cut_words and cut_words (first and last word of each cut passage, from 0).
 
-    Every row comes back. Null texts stay null; lines of fewer than ``min_words`` words always
-    stay. Rows equal in id and text are treated as one document and keep or lose the same lines.
+    Every row comes back. Null texts stay null; lines of fewer than ``min_words`` words stay
+    unless a repeated passage of ``SPAN`` words or more holds them. Rows equal in id and text are treated as one document and keep or lose the same lines.
     """
     size = F.when(F.col("text").isNull(), 0).otherwise(F.size(F.split("text", "\n", -1)))
     none = F.array().cast("array<int>")
@@ -169,6 +308,8 @@ def dedup(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
         F.size(F.coalesce("_gone", none)).alias("n_removed"),
         F.array_join(F.coalesce("_gone", none).cast("array<string>"), ",").alias("removed"),
         F.coalesce("_kept", F.array().cast("array<bigint>")).alias("kept_in"),
+        F.coalesce("_n_cut", F.lit(0).cast("long")).alias("n_cut_words"),
+        F.coalesce("_spans", F.lit("")).alias("cut_words"),
     )
 
 

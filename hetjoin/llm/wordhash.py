@@ -76,9 +76,14 @@ class Units:
         """``starts``: where each unit begins, and the end of the last one."""
         self.starts = starts
         at, self.hashes = words(data, starts[:-1]) if len(data) else (np.zeros(0, np.int64), np.zeros(0, np.uint64))
+        self.data, self.at = data, at
         self.first = np.searchsorted(at, starts)
         self.count = np.diff(self.first)
 
+    def lines(self) -> np.ndarray:
+        """The number of line ends in the buffer before each word."""
+        return np.searchsorted(np.flatnonzero(self.data == 10), self.at)
+
     def sequence_ids(self) -> np.ndarray:
         """A hash of each unit's words in order; 0 for units without words."""
         out, full = np.zeros(len(self.count), np.uint64), np.flatnonzero(self.count)

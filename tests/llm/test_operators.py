@@ -284,6 +284,29 @@ def test_paragraphs_with_half_similar_pivots(spark):
     assert got == removed_by_brute_force(texts) >= 12
 
 
+def test_passages_inside_lines_and_across_line_ends(spark):
+    r = random.Random(12)
+    a, b, c, d, short, near = (words(r, n, 10**6) for n in (60, 70, 55, 51, 50, 30))
+    own = [words(r, 80, 10**6) for _ in range(9)]
+    b1, b2 = (" ".join(b.split()[x:y]) for x, y in ((0, 33), (33, 70)))
+    texts = [
+        f"{own[0]} {a} {own[1]}",
+        f"{own[2]} {a.upper()}\n{near}",
+        f"{own[3]} {b1}\n{b2} {own[4]}",
+        f"{b} {own[5]}",
+        " ".join(c.split() * 3) + f"\n{own[6]} {short}",
+        f"{d}\n{own[7]} {short}\n{near}",
+        f"x {' '.join(d.split()[:20])}\n{' '.join(d.split()[20:])}\n\n{own[8]}",
+    ]
+    got = {x["doc_id"]: x for x in paragraph_dedup.dedup(docs_of(spark, [*((i, t, "en", "a") for i, t in enumerate(texts)), (6, texts[6], "en", "a"), (7, None, None, None)])).collect()}
+    want = [texts[0], f"{own[2]}\n{near}", texts[2], own[5], c + f"\n{own[6]} {short}", f"{d}\n{own[7]} {short}", f"x\n\n{own[8]}", None]
+    assert [got[i]["text"] for i in range(8)] == want
+    assert (got[1]["cut_words"], got[3]["n_cut_words"], got[6]["cut_words"]) == ("80-139", 70, "1-51") and got[3]["kept_in"] == [2]
+    assert got[4]["n_cut_words"] == 110 and got[5]["removed"] == "2" and got[5]["n_cut_words"] == 0
+    clean = {x["doc_id"]: x for x in paragraph_dedup.cleaned(docs_of(spark, [(i, t, "en", "a") for i, t in enumerate(texts)])).collect()}
+    assert [clean[i]["text"] for i in range(7)] == want[:7] and all(x["n_chars"] == len(x["text"]) for x in clean.values())
+
+
 BASE = [("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), 2, 8), ("access", re.compile("AKIA[A-Z0-9]+"), 0, 16), ("hex", re.compile("[0-9a-f]+"), 0, 32)]
 
 
