@@ -64,7 +64,7 @@ def paragraphs(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
 
 def band_keys(docs: DataFrame, min_words: int = MIN_WORDS, bands: int = BANDS, rows: int = ROWS_PER_BAND, seed: int = SEED) -> DataFrame:
-    """(key, band, sid, n): the band hashes of every distinct paragraph of a task; n is its number of shingles."""
+    """(key, band, sid, n): the band hashes of every distinct paragraph of a task; n is its number of distinct shingles."""
     draws = np.random.default_rng(seed).integers(0, 1 << 63, bands * rows).astype(np.uint64)
 
     def run(batches):
@@ -83,9 +83,10 @@ def band_keys(docs: DataFrame, min_words: int = MIN_WORDS, bands: int = BANDS, r
             if not fresh:
                 continue
             fresh = np.array(fresh)
-            sizes = begins[fresh + 1] - begins[fresh]
+            sets = [np.unique(shingles[begins[i] : begins[i + 1]]) for i in fresh.tolist()]
+            sizes = np.array([len(x) for x in sets])
             at = np.concatenate([[0], np.cumsum(sizes)])[:-1]
-            values = shingles[np.arange(sizes.sum()) - np.repeat(at, sizes) + np.repeat(begins[fresh], sizes)]
+            values = np.concatenate(sets)
             keys = []
             for b in range(bands):
                 key = np.full(len(fresh), b + 1, np.uint64)

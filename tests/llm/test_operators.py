@@ -307,6 +307,13 @@ def test_passages_inside_lines_and_across_line_ends(spark):
     assert [clean[i]["text"] for i in range(7)] == want[:7] and all(x["n_chars"] == len(x["text"]) for x in clean.values())
 
 
+def test_repetitive_lines_have_sets_of_like_size(spark):
+    phrase = "five words that come again "
+    rows = [(1, (phrase * 6).strip(), "en", "a"), (2, (phrase * 10).strip(), "en", "a")]
+    assert {x["n"] for x in paragraph_dedup.band_keys(docs_of(spark, rows)).collect()} == {5}
+    assert sorted(x["n_removed"] for x in paragraph_dedup.dedup(docs_of(spark, rows)).collect()) == [0, 1]
+
+
 BASE = [("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), 2, 8), ("access", re.compile("AKIA[A-Z0-9]+"), 0, 16), ("hex", re.compile("[0-9a-f]+"), 0, 32)]
 
 
