@@ -234,14 +234,32 @@ def repeated_runs(docs: DataFrame, lines: DataFrame, gone: DataFrame, span: int
             at = pa.array(np.concatenate(rows))
             yield to_batch({"hash": pa.array(np.concatenate(hashes)), "doc_id": batch.column(0).take(at), "text_hash": batch.column(1).take(at), "start": pa.array(np.concatenate(starts))})
 
-    found = written(arrow_map(whole.select("doc_id", "_hash", "text", "_runs", "_gone"), run, "hash long, doc_id long, text_hash long, start int"), "runs")
+    def later(batches):
+        held = [np.zeros(1, np.int64)] * 5  # hash, document, whether it is null, text and first word of the open run's first place
+        started = False
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            null = np.asarray(batch.column(1).is_null().cast(pa.int8()))
+            rows = [np.asarray(batch.column(i).fill_null(0)).astype(np.int64) for i in range(4)]
+            rows = [*rows[:2], null.astype(np.int64), *rows[2:]]
+            new = rows[0] != np.concatenate([held[0], rows[0][:-1]])
+            new[0] |= not started
+            started = True
+            at = np.maximum.accumulate(np.where(new, np.arange(len(new)), -1))
+            keep = [np.where(at >= 0, c[at], h) for c, h in zip(rows, held)]
+            held = [c[-1:] for c in keep]
+            inside = (rows[1] == keep[1]) & (rows[2] == keep[2]) & (rows[3] == keep[3]) & (rows[4] - keep[4] < span)
+            out = pa.array(np.flatnonzero(~inside))
+            kept = pa.array(keep[1], mask=keep[2] == 1)
+            yield to_batch({"_id": batch.column(1).take(out), "_hash": batch.column(2).take(out), "start": batch.column(3).take(out), "kept": kept.take(out)})
+
+    found = arrow_map(whole.select("doc_id", "_hash", "text", "_runs", "_gone"), run, "hash long, doc_id long, text_hash long, start int")
+    ordered = found.repartition("hash").sortWithinPartitions("hash", "doc_id", "text_hash", "start")
+    again = written(arrow_map(ordered, later, "_id long, _hash long, start int, kept long"), "later-runs")
     discard(named)
-    by = F.struct("doc_id", "text_hash", "start")
-    firsts = found.groupBy("hash").agg(F.min(by).alias("keep"), F.min(place).alias("p0"), F.max(place).alias("p1")).where("p0 <> p1").select("hash", "keep")
-    inside = F.col("doc_id").eqNullSafe(F.col("keep.doc_id")) & (F.col("text_hash") == F.col("keep.text_hash")) & (F.col("start") - F.col("keep.start") < span)
-    later = found.join(firsts, "hash").where(~inside)
-    out = written(later.groupBy(F.col("doc_id").alias("_id"), F.col("text_hash").alias("_hash")).agg(F.collect_set("start").alias("_starts"), F.collect_set("keep.doc_id").alias("_kept")), "repeated-runs")
-    discard(found)
+    out = written(again.groupBy("_id", "_hash").agg(F.collect_set("start").alias("_starts"), F.collect_set("kept").alias("_kept")), "repeated-runs")
+    discard(again)
     return out
 
 
