@@ -8,11 +8,9 @@ from pyspark.sql import functions as F
 from hetjoin.llm import jaccard_join, language_id, paragraph_dedup, secret_scan, slack_packing
 from hetjoin.llm.shared import new_path
 
-MIN_SCORE = 0.05
-
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents of undetermined language: no letter, or hardly nearer to any language than chance.
+    """Drops documents of undetermined language: those without a letter. Short texts score low by chance and stay.
 
     Learns from the labelled documents that are not held out. Where no document has a label,
     nothing can be judged but the lack of letters.
@@ -21,7 +19,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     if not prototypes:
         return docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"\p{L}"))
     labelled = language_id.predict(docs, prototypes, keep=tuple(docs.columns), body="text")
-    return labelled.where((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= MIN_SCORE)).select(*docs.columns)
+    return labelled.where(F.col("lang_pred") != language_id.UNDETERMINED).select(*docs.columns)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

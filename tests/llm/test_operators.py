@@ -407,6 +407,17 @@ def test_pages_held_out():
     assert np.mean(right) > 0.95
 
 
+def test_language_stage_keeps_short_texts(spark):
+    import corpus_pipeline
+
+    r = random.Random(3)
+    long = [(i, words(r, 30) + " plain prose of a language", "en", "a") for i in range(6)]
+    short = [(100 + i, "".join(r.choice("qxzvkj") for _ in range(2)) + ".", None, "a") for i in range(40)]
+    rows = [*long, *short, (900, "12 !", "en", "a"), (901, None, "en", "a")]
+    kept = corpus_pipeline.identify_language(spark, docs_of(spark, rows), "").collect()
+    assert {x["doc_id"] for x in kept} == {x[0] for x in long + short}
+
+
 def test_pipeline_stages(spark, mixed, nothing):
     import corpus_pipeline
 
