@@ -1,8 +1,11 @@
 """Secret scan with corpus-wide ownership: who else has this value tells an example from a live credential.
 
 All of it is DataFrame expressions. Each kind's matches and the gaps between them give the
-places of the matches; hashes of the values are counted by owner (the column ``source``),
-first per owner and then over owners, so a value that everyone copies costs one row per owner.
+places of the matches. Hashes of the values are counted by distinct repositories, then by
+owner, then over owners, so a value that everyone copies costs one row per owner in the last
+step. A value that many owners have, or many repositories, is a widely copied example; the
+others look live. The owner is the column ``source``; where no column names the repository,
+each document is one of its owner's repositories.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ HEX = r"([0-9a-f]{32,})"
 MIXED = r"([A-Za-z0-9_-]{20,})"
 KINDS = [("assign", ASSIGN, 2, 8), ("access", ACCESS, 1, 16), ("hex", HEX, 1, 32), ("owned", MIXED, 1, 20)]
 BASE = 3
-MAX_OWNERS = 2
+MAX_OWNERS, MAX_REPOSITORIES = 2, 20
 
 
 def _found(text: Column, number: int) -> Column:
@@ -37,37 +40,44 @@ def _found(text: Column, number: int) -> Column:
     return F.when(text.rlike(pattern), rows).otherwise(none)
 
 
-def candidates(docs: DataFrame, owner: str = "source", extra: tuple[str, ...] = ()) -> DataFrame:
-    """A written row for every document: ``_row``, doc_id, owner and all matches, but not its text."""
+def candidates(docs: DataFrame, owner: str = "source", repository: str = "doc_id") -> DataFrame:
+    """A written row for every document: ``_row``, doc_id, owner, repository and all matches, but not its text."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    owner_of = F.coalesce(F.col(owner).cast("string"), F.lit("")) if owner in docs.columns else F.lit("")
-    chosen = docs.select(F.monotonically_increasing_id().alias("_row"), "doc_id", owner_of.alias("_owner"), F.xxhash64(text).alias("_text"), F.concat(*[_found(text, k) for k in range(len(KINDS))]).alias("_found"))
+    named = lambda c: F.coalesce(F.col(c).cast("string"), F.lit("")) if c in docs.columns else F.lit("")
+    chosen = docs.select(F.monotonically_increasing_id().alias("_row"), "doc_id", named(owner).alias("_owner"), named(repository).alias("_repository"), F.xxhash64(text).alias("_text"), F.concat(*[_found(text, k) for k in range(len(KINDS))]).alias("_found"))
     return written(chosen, "secret-candidates")
 
 
 def placed(found: DataFrame) -> DataFrame:
-    """One row per fitting match: _row, _owner, kind, start, end (code points, end exclusive) and hash."""
+    """One row per fitting match: _row, _owner, _repository, kind, start, end (code points, end exclusive) and hash."""
     w = Window.partitionBy("_row", "kind").orderBy("nth")
-    rows = found.where(F.size("_found") > 0).select("_row", "_owner", F.inline("_found"))
-    return rows.withColumn("end", F.sum(F.col("gap") + F.col("size")).over(w)).where("fit").select("_row", "_owner", "kind", (F.col("end") - F.col("size")).alias("start"), "end", "hash")
+    rows = found.where(F.size("_found") > 0).select("_row", "_owner", "_repository", F.inline("_found"))
+    return rows.withColumn("end", F.sum(F.col("gap") + F.col("size")).over(w)).where("fit").select("_row", "_owner", "_repository", "kind", (F.col("end") - F.col("size")).alias("start"), "end", "hash")
 
 
 def ownership(matches: DataFrame) -> DataFrame:
-    """hash, n_copies, n_owners over the whole corpus."""
-    return matches.groupBy("hash", "_owner").agg(F.count("*").alias("_n")).groupBy("hash").agg(F.sum("_n").alias("n_copies"), F.count("*").alias("n_owners"))
+    """hash, n_copies, n_repositories, n_owners over the whole corpus; a repository is one of its owner's."""
+    by_repository = matches.groupBy("hash", "_owner", "_repository").agg(F.count("*").alias("_n"))
+    by_owner = by_repository.groupBy("hash", "_owner").agg(F.sum("_n").alias("_n"), F.count("*").alias("_r"))
+    return by_owner.groupBy("hash").agg(F.sum("_n").alias("n_copies"), F.sum("_r").alias("n_repositories"), F.count("*").alias("n_owners"))
 
 
-def judged(found: DataFrame, max_owners: int = MAX_OWNERS) -> DataFrame:
+def judged(found: DataFrame, max_owners: int = MAX_OWNERS, max_repositories: int = MAX_REPOSITORIES) -> DataFrame:
     """Per document with matches: ``spans`` sorted by start and kind, each with kind, start, end and ``live``.
 
-    Base matches all stay. A long mixed string is added where at most ``max_owners`` owners
-    have it and no base match overlaps it. ``live`` says that few owners have the value.
+    Base matches all stay. A long mixed string is added where its value is live and no base
+    match overlaps it. ``live``: at most so many owners and repositories have the value.
     """
     matches = written(placed(found), "secret-matches")
-    seen = matches.join(ownership(matches), "hash").withColumn("live", F.col("n_owners") <= max_owners).where((F.col("kind") < BASE) | F.col("live"))
-    per_doc = seen.groupBy("_row").agg(F.sort_array(F.collect_list(F.struct("start", "kind", "end", "live"))).alias("all"))
-    overlaps = lambda x, y: (y["kind"] < BASE) & (x["start"] < y["end"]) & (y["start"] < x["end"])
-    return per_doc.select("_row", F.filter("all", lambda x: (x["kind"] < BASE) | ~F.exists("all", lambda y: overlaps(x, y))).alias("spans"))
+    live = (F.col("n_owners") <= max_owners) & (F.col("n_repositories") <= max_repositories)
+    seen = matches.join(ownership(matches).select("hash", live.alias("live")), "hash").where((F.col("kind") < BASE) | F.col("live"))
+    base = F.col("kind") < BASE
+    # Running extremes from either end: the base span that reaches farthest, and the next that begins.
+    reach = F.max(F.when(base, F.col("end"))).over(Window.partitionBy("_row").orderBy("start"))
+    following = F.min(F.when(base, F.col("start"))).over(Window.partitionBy("_row").orderBy(F.desc("start")))
+    free = ~F.coalesce(F.col("_reach") > F.col("start"), F.lit(False)) & ~F.coalesce(F.col("_next") < F.col("end"), F.lit(False))
+    kept = seen.withColumn("_reach", reach).withColumn("_next", following).where(base | free)
+    return kept.groupBy("_row").agg(F.sort_array(F.collect_list(F.struct("start", "kind", "end", "live"))).alias("spans"))
 
 
 def _told(spans: Column) -> Column:
@@ -75,35 +85,42 @@ def _told(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.element_at(names, x["kind"] + 1), x["start"], x["end"])), ",")
 
 
-def scan(docs: DataFrame, owner: str = "source", max_owners: int = MAX_OWNERS) -> DataFrame:
+def scan(docs: DataFrame, owner: str = "source", repository: str = "doc_id", max_owners: int = MAX_OWNERS, max_repositories: int = MAX_REPOSITORIES) -> DataFrame:
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_owned, n_live, n_example for every document.
 
-    Null and empty texts have no spans. ``n_live`` counts base and added spans whose value few
-    owners have, ``n_example`` the base spans whose value is widely copied.
+    Null and empty texts have no spans; null owners count as one owner without a name; rows that
+    repeat an id come out as often. An empty table gives no rows, other columns of the input play
+    no part. ``n_live`` counts base and added spans whose value looks live, ``n_example`` the base
+    spans whose value is widely copied.
     """
-    found = candidates(docs, owner)
-    rows = found.select("_row", "doc_id").join(judged(found, max_owners), "_row", "left")
+    found = candidates(docs, owner, repository)
+    rows = found.select("_row", "doc_id").join(judged(found, max_owners, max_repositories), "_row", "left")
     spans = F.coalesce(F.col("spans"), F.array().cast("array<struct<start:bigint,kind:int,end:bigint,live:boolean>>"))
     count = lambda test: F.size(F.filter("_s", test)).cast("long")
+
+    def of_kind(number: int):
+        # A second parameter of the lambda would be the index of the element.
+        return lambda x: x["kind"] == number
+
     return rows.withColumn("_s", spans).select(
         "doc_id",
-        *[count(lambda x, k=k: x["kind"] == k).alias(f"n_{KINDS[k][0]}") for k in range(BASE)],
+        *[count(of_kind(k)).alias(f"n_{KINDS[k][0]}") for k in range(BASE)],
         F.sha2(_told(F.filter("_s", lambda x: x["kind"] < BASE)), 256).alias("base_sha256"),
         _told(F.col("_s")).alias("spans"),
-        count(lambda x: x["kind"] == BASE).alias("n_owned"),
+        count(of_kind(BASE)).alias("n_owned"),
         count(lambda x: x["live"]).alias("n_live"),
         count(lambda x: ~x["live"]).alias("n_example"),
     )
 
 
-def redact(docs: DataFrame, owner: str = "source", max_owners: int = MAX_OWNERS, mask: str = "[SECRET]") -> DataFrame:
+def redact(docs: DataFrame, owner: str = "source", repository: str = "doc_id", mask: str = "[SECRET]") -> DataFrame:
     """The documents with their live spans masked; ``n_chars``, where present, follows. No row goes.
 
     Spans come back by id and text, so equal rows stay equal and repeated ids are no problem.
     Overlapping spans become one mask.
     """
-    found = candidates(docs, owner)
-    live = judged(found, max_owners).select("_row", F.filter("spans", lambda x: x["live"]).alias("_spans")).where(F.size("_spans") > 0)
+    found = candidates(docs, owner, repository)
+    live = judged(found).select("_row", F.filter("spans", lambda x: x["live"]).alias("_spans")).where(F.size("_spans") > 0)
     keyed = found.select("_row", "doc_id", "_text").join(live, "_row").groupBy(F.col("doc_id").alias("_id"), "_text").agg(F.first("_spans").alias("_spans"))
     text = F.coalesce(F.col("text"), F.lit(""))
     begin = F.struct(F.lit("").alias("out"), F.lit(0).cast("bigint").alias("at"))
