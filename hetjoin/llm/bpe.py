@@ -17,6 +17,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from .shared import arrow_map, small_batches, to_batch
@@ -24,7 +25,7 @@ from .shared import arrow_map, small_batches, to_batch
 END_ID, DEFAULT_VOCABULARY = 2, "byte_bpe_50k.json"
 # The white space of Unicode, as in the pattern of the vocabulary's pre-tokenizer.
 WHITE_SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
-_SEGMENT, _CACHED_CHARS, _CACHED_WORDS = 1 << 20, 48, 800_000
+_SEGMENT, _CACHED_CHARS, _CACHED_WORDS = 1 << 20, 48, 600_000
 
 
 def vocabulary_path(name: str = DEFAULT_VOCABULARY) -> str:
@@ -33,13 +34,15 @@ def vocabulary_path(name: str = DEFAULT_VOCABULARY) -> str:
     return public_tokenizers.path(name)
 
 
-@lru_cache(maxsize=1)
-def piece_pattern() -> re.Pattern:
-    """Contractions, letter runs, number runs, other runs (each with a space before it) and white space."""
+@lru_cache(maxsize=2)
+def piece_pattern(end: int = 0x110000) -> re.Pattern:
+    """Contractions, letter runs, number runs, other runs (each with a space before it) and white space.
+
+    For texts whose characters all lie below ``end``; short classes match faster."""
     spans: dict[str, list[str]] = {"L": [], "N": []}
     start, kind = 0, ""
-    for c in range(0x110001):
-        k = unicodedata.category(chr(c))[0] if c < 0x110000 else ""
+    for c in range(end + 1):
+        k = unicodedata.category(chr(c))[0] if c < end else ""
         if k != kind:
             if kind in spans:
                 spans[kind].append(f"\\U{start:08x}-\\U{c - 1:08x}")
@@ -153,7 +156,7 @@ class BpeModel:
 
     def id_arrays(self, text: str):
         """Token ids of a whole text, in arrays of bounded size."""
-        known, pattern = self.cache.get, piece_pattern()
+        known, pattern = self.cache.get, piece_pattern(0x110000 if _not_plain.search(text) else _PLAIN)
         for k, part in enumerate(self.split_added.split(text) if self.split_added else [text]):
             if k % 2:
                 yield np.array([self.added[part]], self.dtype)
@@ -177,11 +180,12 @@ class FastEncoder:
     """Ids only, as uint32 arrays, by a compiled encoder.
 
     ``engine`` is ``tokenizers``, the library itself, or ``tiktoken``, made from the same JSON
-    vocabulary. With ``tokenizers``, a text is cut before single spaces, where no piece and no
-    added token can span the cut. The library encodes the parts that this worker has not met,
-    many in one call with line ends between them, and the ids of short ones are remembered, in
-    an older and a newer half that take turns. Vocabularies without such safe places go
-    through the library text by text. Its threads are off: Spark has a task on every core.
+    vocabulary. With ``tokenizers``, a batch of texts is cut where no piece and no added token
+    can span the cut (see :func:`part_starts`). Arrow finds the distinct parts of the batch; the
+    ids of those that this worker has not met come from the library, and those of short ones are
+    remembered, in an older and a newer half that take turns. Vocabularies without such safe
+    places, and texts with added tokens in them, go through the library as a whole. Its threads
+    are off: Spark has a task on every core.
     """
 
     def __init__(self, path: str, engine: str = "tokenizers"):
@@ -205,16 +209,45 @@ class FastEncoder:
             self.inner = tokenizers.Tokenizer.from_file(path)
             self.inner.no_truncation()
             self.inner.no_padding()
+            self.merges = self.inner.model
             self.cuts = _cuts_safely(path)
-            self.line_end = self.inner.encode("\n", add_special_tokens=False).ids
-            self.known: dict[str, bytes] = {}
-            self.older: dict[str, bytes] = {}
+            self.letters = dict(enumerate(byte_letters()))
+            self.known: dict[bytes, bytes] = {}
+            self.older: dict[bytes, bytes] = {}
 
     def encode(self, text: str) -> np.ndarray:
+        return self.encode_all(pa.array([text], pa.large_string()))[0]
+
+    def encode_all(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts (null: empty) one after another, and where each text's begin, with the end of the last."""
+        flat = pc.fill_null(texts, "").cast(pa.large_binary())
+        offsets = np.frombuffer(flat.buffers()[1], np.int64)[flat.offset : flat.offset + len(flat) + 1]
+        data = np.frombuffer(flat.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]
+        offsets = offsets - offsets[0]
+        raw = data.tobytes()
+        if self.engine == "tiktoken" or not self.cuts or any(t.encode() in raw for t in self.added):
+            each = [self._whole(raw[a:b].decode()) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
+            return np.concatenate([np.zeros(0, np.uint32), *each]), np.concatenate([[0], np.cumsum([len(x) for x in each])]).astype(np.int64)
+        starts = part_starts(data, offsets)
+        ends = np.append(starts, len(data)).astype(np.int64)
+        parts = pa.Array.from_buffers(pa.large_binary(), len(starts), [None, pa.py_buffer(ends), pa.py_buffer(raw)])
+        found, lengths = [np.zeros(0, self.dtype)], []
+        blocks = np.unique(np.append(np.searchsorted(starts, np.arange(0, len(data), _SEGMENT * 4)), len(starts))).tolist()
+        for a, b in zip(blocks, blocks[1:]):
+            own = parts.slice(a, b - a).dictionary_encode()
+            coded, at = self._ids_of(own.dictionary.to_pylist()), np.asarray(own.indices)
+            sizes = np.array([len(x) for x in coded], np.int64) // self.dtype.itemsize
+            each = sizes[at]
+            stops = np.cumsum(each)
+            rows = np.repeat((np.cumsum(sizes) - sizes)[at] - stops + each, each) + np.arange(stops[-1])
+            found.append(np.frombuffer(b"".join(coded), self.dtype)[rows])
+            lengths.append(each)
+        stops = np.cumsum(np.concatenate([np.zeros(1, np.int64), *lengths]))
+        return np.concatenate(found).astype(np.uint32), stops[np.searchsorted(starts, offsets)]
+
+    def _whole(self, text: str) -> np.ndarray:
         if self.engine != "tiktoken":
-            if not self.cuts:
-                return np.array(self.inner.encode(text, add_special_tokens=False).ids, np.uint32)
-            return np.frombuffer(b"".join([self._parts(s) for s in segments(text)]), self.dtype).astype(np.uint32)
+            return np.array(self.inner.encode(text, add_special_tokens=False).ids, np.uint32)
         out = []
         for k, part in enumerate(self.split_added.split(text) if self.split_added else [text]):
             if k % 2:
@@ -225,46 +258,89 @@ class FastEncoder:
                     out.append(np.array(self.inner.encode_ordinary(s) if len(s) <= 2 * _SEGMENT else model(self.path).encode(s), np.uint32))
         return np.concatenate(out) if out else np.zeros(0, np.uint32)
 
-    def _parts(self, text: str) -> bytes:
-        if "  " in text or _space_before_space.search(text):
-            parts = _part_start.split(text)
-        else:
-            parts = text.split(" ")
-            parts[1:] = [" " + p for p in parts[1:]]
+    def _ids_of(self, parts: list[bytes]) -> list[bytes]:
         found = list(map(self.known.get, parts))
         if None in found:
-            new, older = {p for p, ids in zip(parts, found) if ids is None}, self.older
-            fresh = {p: older[p] for p in new if p in older}
-            fresh |= self._by_library([p for p in new if p not in fresh])
-            found = [fresh[p] if ids is None else ids for p, ids in zip(parts, found)]
+            new = [i for i, ids in enumerate(found) if ids is None]
+            if self.older:
+                for i in new:
+                    found[i] = self.older.get(parts[i])
+                fresh = {parts[i]: found[i] for i in new if found[i] is not None}
+                new = [i for i in new if found[i] is None]
+            else:
+                fresh = {}
+            for i, ids in zip(new, self._by_library([parts[i] for i in new])):
+                found[i] = ids
+                if len(parts[i]) <= _CACHED_CHARS:
+                    fresh[parts[i]] = ids
             if len(self.known) >= _CACHED_WORDS // 2:
                 self.known, self.older = {}, self.known
-            self.known.update((p, ids) for p, ids in fresh.items() if len(p) <= _CACHED_CHARS)
-        return b"".join(found)
-
-    def _by_library(self, parts: list[str]) -> dict[str, bytes]:
-        """The library's ids of each part: of plain parts by one text of all, with a line end after each."""
-        plain = [p for p in parts if not _mixes_with_line_ends.search(p)]
-        text = "\n".join(plain) + "\n"
-        if len(self.line_end) != 1 or (self.split_added and self.split_added.search(text)):
-            plain = []
-        out = {}
-        if plain:
-            ids = np.array(self.inner.encode_batch_fast([text], add_special_tokens=False)[0].ids, self.dtype)
-            ends = np.flatnonzero(ids == self.line_end[0]).tolist()
-            if len(ends) == len(plain):
-                raw, width = ids.tobytes(), ids.itemsize
-                out = {p: raw[(a + 1) * width : b * width] for p, a, b in zip(plain, [-1, *ends], ends)}
-        rest = [p for p in parts if p not in out]
-        for p, coded in zip(rest, self.inner.encode_batch_fast(rest, add_special_tokens=False) if rest else []):
-            out[p] = np.array(coded.ids, self.dtype).tobytes()
-        return out
-
-
-_space_before_space = re.compile(r"[\t-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000] ")
-_part_start = re.compile(f"(?<=[^{WHITE_SPACE}])(?= )")
-# Parts whose white space could join a line end before or after them, that hold one, or are empty.
-_mixes_with_line_ends = re.compile(f"\n|^[{WHITE_SPACE}]{{2}}|[{WHITE_SPACE}]\\Z|\\A\\Z")
+            self.known.update(fresh)
+        return found
+
+    def _by_library(self, parts: list[bytes]) -> list[bytes]:
+        """The library's merges of the pieces of each part.
+
+        The pieces of most parts are found together, in one text with a line end after each
+        part. Parts with white space within, and those with characters on whose class Unicode's
+        versions may differ, are cut into pieces by the library, too.
+        """
+        texts = [p.decode() for p in parts]
+        joined = [t for t in texts if _one_plain_run.fullmatch(t)]
+        pieces = piece_pattern(_PLAIN).findall("\n".join(joined) + "\n")
+        merge, ids, ends = self.merges.tokenize, [], []
+        for piece in "\n".join(pieces).encode().decode("latin-1").translate(self.letters | {10: "\n"}).split("\n"):
+            if piece:
+                ids += [t.id for t in merge(piece)]
+            else:
+                ends.append(len(ids))
+        # A line end between two others leaves two empty places.
+        width, raw, ends = self.dtype.itemsize, np.array(ids, self.dtype).tobytes(), ends[::2]
+        out = dict(zip(joined, [raw[a * width : b * width] for a, b in zip([0, *ends], ends)]))
+        return [out[t] if t in out else np.array(self.inner.encode(t, add_special_tokens=False).ids, self.dtype).tobytes() for t in texts]
+
+
+# Characters whose class no version of Unicode has changed.
+_PLAIN = 0x250
+_one_plain_run = re.compile(" ?[^\\t-\\r \\x85\\xa0\\u0250-\\U0010ffff]+")
+_not_plain = re.compile("[\\u0250-\\U0010ffff]")
+_letter, _mark, _white = (np.zeros(256, bool) for _ in range(3))
+_letter[[*range(65, 91), *range(97, 123)]] = True
+_mark[[*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]] = True
+_white[[9, 10, 11, 12, 13, 32]] = True
+
+
+def part_starts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Bytes at which parts begin: places that no piece can span, in texts that begin at ``offsets``.
+
+    These are a space or line end after anything but white space, an ASCII mark after an ASCII
+    letter, and what follows a single line end, if that is no white space. Texts must be free
+    of added tokens.
+    """
+    begin = np.zeros(len(data) + 1, bool)
+    if len(data) > 1:
+        before, own = data[:-1], data[1:]
+        begin[1:-1] = _letter[before] & _mark[own]
+        at = np.flatnonzero(((own == 32) | (own == 10)) & ~_white[before]) + 1
+        last = data[at - 1]
+        odd = np.flatnonzero(last >= 128)
+        if len(odd):
+            x, y, z = last[odd], data[np.maximum(at[odd] - 2, 0)], data[np.maximum(at[odd] - 3, 0)]
+            white = ((y == 0xC2) & ((x == 0x85) | (x == 0xA0))) | ((z == 0xE1) & (y == 0x9A) & (x == 0x80)) | ((z == 0xE3) & (y == 0x80) & (x == 0x80))
+            white |= (z == 0xE2) & (((y == 0x80) & ((x <= 0x8A) | (x == 0xA8) | (x == 0xA9) | (x == 0xAF))) | ((y == 0x81) & (x == 0x9F)))
+            at = np.delete(at, odd[white])
+        begin[at] = True
+        line = at[data[at] == 10] + 1
+        line = line[line < len(data)]
+        # A printable ASCII character, or one of the letters and signs of the lead byte C3.
+        line = line[((data[line] > 32) & (data[line] < 127)) | (data[line] == 0xC3)]
+        begin[line] = True
+        # The place before a text's first byte belongs to another text, so what was found there does not count.
+        first = offsets[1:-1][offsets[1:-1] + 1 < len(data)]
+        lone = first[data[first] == 10] + 1
+        begin[lone[~np.isin(lone, offsets)]] = False
+    begin[offsets] = True
+    return np.flatnonzero(begin[:-1])
 
 
 @lru_cache(maxsize=2)
@@ -284,6 +360,12 @@ def fast_encoder(path: str, engine: str = "tokenizers") -> FastEncoder:
     return FastEncoder(path, engine)
 
 
+def ended(texts: pa.Array, encoder: FastEncoder) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of all texts, each followed by the end id, and where each text's begin, with the end of the last."""
+    ids, begins = encoder.encode_all(texts)
+    return np.insert(ids, begins[1:], np.uint32(END_ID)), begins + np.arange(len(begins))
+
+
 def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
     """Encodes every text (null: empty), decodes the ids, and returns doc_id, n_tokens and both SHA-256 digests."""
     path = path or vocabulary_path()

@@ -15,7 +15,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import END_ID, fast_encoder, vocabulary_path
+from .bpe import ended, fast_encoder, vocabulary_path
 from .shared import arrow_map, small_batches, to_batch, written
 
 CAPACITY = 1024
@@ -60,12 +60,13 @@ def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[int,
     return bins
 
 
-def cut(length: int, capacity: int) -> list[tuple[int, int]]:
-    """(start, length) of a document's pieces: only the first may be shorter than ``capacity``."""
-    if length <= capacity:
-        return [(0, length)]
-    first = length % capacity or capacity
-    return [(0, first)] + [(at, capacity) for at in range(first, length, capacity)]
+def cut(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, ...]:
+    """Row, number, start and length of the pieces of documents of these lengths: only the first piece may be shorter than ``capacity``."""
+    parts = -(-lengths // capacity)
+    row = np.repeat(np.arange(len(lengths)), parts)
+    number = np.arange(len(row)) - np.repeat(np.cumsum(parts) - parts, parts)
+    first = (lengths - (parts - 1) * capacity)[row]
+    return row, number, np.where(number > 0, first + (number - 1) * capacity, 0), np.where(number > 0, capacity, first)
 
 
 def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tokenizers") -> DataFrame:
@@ -74,16 +75,17 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, e
 
     def run(batches):
         task, seen = TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
-        for batch in small_batches(batches):
-            encoder = fast_encoder(path, engine)
-            ids_of, rows = batch.column(0).to_pylist(), []
-            for doc_id, text in zip(ids_of, batch.column(1).to_pylist()):
-                ids = np.append(encoder.encode(text or ""), np.uint32(END_ID)).astype("<u4")
-                for k, (at, n) in enumerate(cut(len(ids), capacity)):
-                    rows.append((doc_id, k, at, n, zlib.crc32(ids[at : at + n].tobytes()), seen[n]))
-                    seen[n] += 1
-            d, k, at, n, crc, place = zip(*rows)
-            yield to_batch({"doc_id": pa.array(d, pa.int64()), "piece": pa.array(k, pa.int32()), "start": pa.array(at, pa.int64()), "length": pa.array(n, pa.int64()), "ids_crc32": pa.array(crc, pa.int64()), "task": pa.array([task] * len(rows), pa.int32()), "place": pa.array(place, pa.int64())})
+        for batch in small_batches(batches, rows=4096, size=4 << 20):
+            ids, begins = ended(batch.column(1), fast_encoder(path, engine))
+            raw, total = ids.astype("<u4").tobytes(), np.diff(begins)
+            row, k, start, length = cut(total, capacity)
+            at = (begins[row] + start).tolist()
+            crc = [zlib.crc32(raw[4 * a : 4 * (a + n)]) for a, n in zip(at, length.tolist())]
+            order, counts = np.argsort(length, kind="stable"), np.bincount(length, minlength=capacity + 1)
+            place = np.empty(len(row), np.int64)
+            place[order] = np.arange(len(row)) + (seen - np.cumsum(counts) + counts)[length[order]]
+            seen += counts
+            yield to_batch({"doc_id": batch.column(0).take(pa.array(row)), "piece": pa.array(k.astype(np.int32)), "start": pa.array(start), "length": pa.array(length), "ids_crc32": pa.array(crc, pa.int64()), "task": pa.array(np.full(len(row), task, np.int32)), "place": pa.array(place)})
 
     return arrow_map(docs.select("doc_id", "text"), run, "doc_id long, piece int, start long, length long, ids_crc32 long, task int, place long")
 

@@ -12,7 +12,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import END_ID, fast_encoder, vocabulary_path
+from .bpe import ended, fast_encoder, vocabulary_path
 from .shared import arrow_map, new_path, small_batches, to_batch, written
 
 SEQUENCE, ROWS_PER_BATCH = 2048, 64
@@ -100,21 +100,17 @@ def write(docs: DataFrame, uri: str, path: str | None = None, engine: str = "tok
         name = f"{shard:06d}-{uuid.uuid4().hex}.arrow"
         out = sink = None
         at = 0
-        for batch in small_batches(batches):
+        for batch in small_batches(batches, rows=4096, size=4 << 20):
             encoder = fast_encoder(path, engine)
             if out is None:
                 store.create_dir(root, recursive=True)
                 sink = store.open_output_stream(f"{root}/{name}")
                 out = TokenWriter(sink, pa.uint16() if encoder.size <= 1 << 16 else pa.uint32(), length)
-            starts, counts = [], []
-            for text in batch.column(1).to_pylist():
-                ids = np.append(encoder.encode(text or ""), np.uint32(END_ID))
-                out.add(ids)
-                starts.append(at)
-                counts.append(len(ids))
-                at += len(ids)
+            ids, begins = ended(batch.column(1), encoder)
+            out.add(ids)
             n = batch.num_rows
-            yield to_batch({"doc_id": batch.column(0), "shard": pa.array([shard] * n, pa.int32()), "file": pa.array([f"{uri}/{name}"] * n), "local_start": pa.array(starts, pa.int64()), "n_tokens": pa.array(counts, pa.int64())})
+            yield to_batch({"doc_id": batch.column(0), "shard": pa.array([shard] * n, pa.int32()), "file": pa.array([f"{uri}/{name}"] * n), "local_start": pa.array(begins[:-1] + at), "n_tokens": pa.array(np.diff(begins))})
+            at += len(ids)
         if out is not None:
             out.close()
             sink.close()

@@ -75,6 +75,20 @@ def test_fast_ids_of_odd_white_space_and_added_tokens():
         assert fast.encode(text).tolist() == lib.encode(text, add_special_tokens=False).ids, repr(text)
 
 
+def test_batches_of_texts_equal_the_library(monkeypatch):
+    import tokenizers
+
+    path = bpe.vocabulary_path()
+    lib, fast, draw = tokenizers.Tokenizer.from_file(path), bpe.FastEncoder(path), random.Random(6)
+    bits = ["a", "Bc", "é", "'s", "'re", "'", "1", "\u0663", " ", "  ", "\n", "\n", "\r\n", "\x85", "\xa0", "\u3000", "\u2005", "\u1680", "\u2028", "\x1f", ".", ",%", "日", "ß", "e\u0301", "<|", *fast.added]
+    monkeypatch.setattr(bpe, "_SEGMENT", 8)
+    monkeypatch.setattr(bpe, "_CACHED_WORDS", 200)
+    for n in range(600):
+        texts = [*("".join(draw.choice(bits if n % 5 == 0 else bits[: -len(fast.added)]) for _ in range(draw.randint(0, 14))) for _ in range(12)), None, ""]
+        ids, begins = fast.encode_all(pa.array(texts))
+        assert [ids[a:b].tolist() for a, b in zip(begins, begins[1:])] == [lib.encode(t or "", add_special_tokens=False).ids for t in texts], texts
+
+
 def test_segments_keep_pieces():
     text = " ab  cd\n\n ef " * 50
     assert "".join(bpe.segments(text, 20)) == text
@@ -161,6 +175,13 @@ def test_packing_query(mixed, nothing):
             assert offset == at
             at += length
         assert at <= 1024
+    lib, want, texts = bpe.fast_encoder(bpe.vocabulary_path()), [], [r[1] or "" for r in rows]
+    for (i, *_), t in zip(rows, texts):
+        ids = np.append(lib._whole(t), 2).astype("<u4")
+        first = len(ids) - (-(-len(ids) // 1024) - 1) * 1024
+        starts = [0, *range(first, len(ids), 1024)]
+        want += [(i, k, a, b - a, zlib.crc32(ids[a:b].tobytes())) for k, (a, b) in enumerate(zip(starts, [*starts[1:], len(ids)]))]
+    assert sorted(map(str, want)) == sorted(str((r["doc_id"], r["piece"], r["start"], r["length"], r["ids_crc32"])) for r in got)
     total = sum(r["length"] for r in got)
     assert len(by) <= 1.05 * -(-total // 1024) + 1
     assert sum(r["doc_id"] == 0 for r in got) == 1 and slack_packing.pack(nothing).count() == 0
@@ -333,12 +354,42 @@ def test_secrets(spark, nothing):
     for x in got:
         spans = sorted((m.start(), k, m.end()) for k, (_, p, g, least) in enumerate(BASE) for m in p.finditer(texts[x["doc_id"]]) if len(m[g]) >= least)
         assert x["base_sha256"] == hashlib.sha256(",".join(f"{BASE[k][0]}:{a}:{b}" for a, k, b in spans).encode()).hexdigest()
+        assert [x["n_assign"], x["n_access"], x["n_hex"]] == [sum(s[1] == k for s in spans) for k in range(3)]
+        assert [s for s in x["spans"].split(",") if s and not s.startswith("owned")] == [f"{BASE[k][0]}:{a}:{b}" for a, k, b in spans]
     by = {x["doc_id"]: x for x in got}
     assert by[4]["spans"] == "owned:4:27" and by[10]["n_owned"] == 0 and by[10]["n_example"] == 1 and by[2]["n_live"] == 3
     masked = {x["doc_id"]: x["text"] for x in secret_scan.redact(docs_of(spark, rows)).collect()}
     assert masked[0] is None and "hunter2" not in masked[2] and masked[2].endswith(" end") and masked[10] == texts[10] and masked[4] == "key [SECRET] here"
 
 
+def test_secrets_of_many_owners_or_repositories_are_examples(spark):
+    r, rows, alphabet = random.Random(8), [], "abcXYZ0189_-"
+    for i in range(400):
+        parts = []
+        for _ in range(r.randint(0, 5)):
+            value = f"Aa1{'bcde'[r.randrange(4)] * 20}{r.randrange(12)}"
+            parts.append(r.choice([value, f"token={value}", "".join(r.choice(alphabet) for _ in range(r.randint(10, 30))), "plain words", "token: " + "f0" * 20]))
+        rows.append((i, " é ".join(parts), "en", f"s{r.randrange(r.choice([1, 40]))}"))
+    mixed = re.compile("[A-Za-z0-9_-]{20,}")
+    found, owners, places = {}, {}, {}
+    for i, t, _, o in rows:
+        spans = [(m.start(), k, m.end(), m[g]) for k, (_, p, g, least) in enumerate(BASE) for m in p.finditer(t) if len(m[g]) >= least]
+        spans += [(m.start(), 3, m.end(), m[0]) for m in mixed.finditer(t) if re.search("[0-9]", m[0]) and re.search("[a-z]", m[0]) and re.search("[A-Z]", m[0])]
+        found[i] = sorted(spans)
+        for *_, v in spans:
+            owners.setdefault(v, set()).add(o)
+            places.setdefault(v, set()).add((o, i))
+    live = {v for v in owners if len(owners[v]) <= secret_scan.MAX_OWNERS and len(places[v]) <= secret_scan.MAX_REPOSITORIES}
+    names = ["assign", "access", "hex", "owned"]
+    got = {x["doc_id"]: x for x in secret_scan.scan(docs_of(spark, rows)).collect()}
+    for i, spans in found.items():
+        base = [s for s in spans if s[1] < 3]
+        kept = [s for s in spans if s[1] < 3 or (s[3] in live and not any(b[0] < s[2] and s[0] < b[2] for b in base))]
+        assert got[i]["spans"] == ",".join(f"{names[k]}:{a}:{b}" for a, k, b, _ in kept)
+        assert (got[i]["n_owned"], got[i]["n_live"], got[i]["n_example"]) == (len(kept) - len(base), sum(s[3] in live for s in kept), sum(s[3] not in live for s in kept))
+    assert any(x["n_example"] for x in got.values()) and any(x["n_owned"] for x in got.values())
+
+
 def test_neighbours(spark):
     r = np.random.default_rng(3)
     v = r.standard_normal((3000, 16)).astype(np.float32)
