@@ -3,11 +3,10 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import tempfile
 import uuid
 import zipfile
-from contextlib import suppress
+from contextlib import contextmanager, suppress
 from pathlib import Path
 
 import pyarrow as pa
@@ -42,25 +41,42 @@ def _remove_made() -> None:
         _remove(spark, path)
 
 
+# While a table is written: Arrow batches stay small, and the shuffle files of the step go when it ends.
+_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2048", "spark.sql.execution.arrow.maxBytesPerBatch": "8m"}
+
+
+@contextmanager
+def _settings(spark: SparkSession, wanted: dict[str, str]):
+    before = {k: spark.conf.get(k, None) for k in wanted}
+    for k, v in wanted.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            if v is None:
+                spark.conf.unset(k)
+            else:
+                spark.conf.set(k, v)
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """Cuts the lineage: writes ``df`` into the shared folder and reads it back."""
     spark = df.sparkSession
     path = new_path(spark, tag)
-    df.write.parquet(path)
+    with _settings(spark, _WRITING):
+        df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._table_path = path
     return out
 
 
 def discard(*tables: DataFrame | None) -> None:
-    """Removes written tables that nothing reads any more, and lets Spark drop the shuffle files of finished steps."""
+    """Removes written tables that nothing reads any more."""
     for df in tables:
         if path := getattr(df, "_table_path", None):
             _remove(df.sparkSession, path)
             df._table_path = None
-    gc.collect()
-    if spark := next((df.sparkSession for df in tables if df is not None), None):
-        spark._jvm.System.gc()
 
 
 def _remove(spark: SparkSession, path: str) -> None:
@@ -73,7 +89,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
-def small_batches(batches, rows: int = 512, size: int = 8 << 20):
+def small_batches(batches, rows: int = 1024, size: int = 4 << 20):
     """Cuts Arrow batches so that one step holds at most ``rows`` rows and about ``size`` bytes."""
     for batch in batches:
         step = max(1, min(rows, int(batch.num_rows * size / max(batch.nbytes, 1)))) if batch.num_rows else 1

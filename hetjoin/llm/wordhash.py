@@ -12,7 +12,7 @@ _space[[9, 10, 11, 12, 13, 32]] = True
 _value = np.arange(256, dtype=np.uint64) + np.uint64(1)
 _value[65:91] += np.uint64(32)  # A-Z as a-z
 _value[_space] = 0
-_powers = np.ones(1, np.uint64)
+_powers = {False: np.ones(1, np.uint64), True: np.ones(1, np.uint64)}
 # Odd multipliers by place within a shingle.
 _place = np.random.default_rng(9).integers(0, 1 << 62, SHINGLE + 1).astype(np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -25,13 +25,15 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def powers(n: int) -> np.ndarray:
-    global _powers
-    if len(_powers) < n:
-        grown = np.full(max(n, 2 * len(_powers)), _BASE, np.uint64)
+def powers(n: int, inverse: bool = False) -> np.ndarray:
+    """Powers of the base modulo 2^64, or of its inverse."""
+    known = _powers[inverse]
+    if len(known) < n:
+        base = pow(int(_BASE), -1, 1 << 64) if inverse else int(_BASE)
+        grown = np.full(max(n, 2 * len(known)), np.uint64(base))
         grown[0] = 1
-        _powers = np.cumprod(grown, dtype=np.uint64)
-    return _powers
+        known = _powers[inverse] = np.cumprod(grown, dtype=np.uint64)
+    return known
 
 
 def _words(data: np.ndarray, breaks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -121,6 +123,42 @@ def document_units(texts) -> Units:
     return Units(data, offsets - offsets[0])
 
 
+def sorted_units(shingles: np.ndarray, begins: np.ndarray, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The shingles of the chosen units (none of them empty), sorted within each, where each unit's begin, and the numbers of distinct ones."""
+    lengths = (begins[1:] - begins[:-1])[chosen]
+    starts = np.cumsum(lengths) - lengths
+    values = shingles[np.arange(int(lengths.sum())) + np.repeat(begins[:-1][chosen] - starts, lengths)]
+    for a, b in zip(starts.tolist(), (starts + lengths).tolist()):
+        values[a:b].sort()
+    return values, starts, np.add.reduceat(first_of_equal(values, starts), starts, dtype=np.int64) if len(starts) else np.zeros(0, np.int64)
+
+
+def first_of_equal(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """For sorted units: whether a value is the first of its kind in its unit."""
+    first = np.ones(len(values), bool)
+    first[1:] = values[1:] != values[:-1]
+    first[starts] = True
+    return first
+
+
+def packed_bitmaps(values: np.ndarray, starts: np.ndarray, n: np.ndarray, chosen: np.ndarray):
+    """A bitmap for each chosen unit, null for the others: one bit for each element by the first bits of
+    its hash, in a width of two to four times the number of elements, at least 64."""
+    import pyarrow as pa
+
+    exponent = np.where(chosen, np.maximum(6, np.frexp(2.0 * n)[1]), 0).astype(np.int64)
+    width = np.where(chosen, np.left_shift(1, exponent), 0)
+    ends = np.cumsum(width)
+    lengths = np.diff(np.append(starts, len(values)))
+    held = np.repeat(chosen, lengths)
+    shift = np.repeat(64 - exponent, lengths)[held].astype(np.uint64)
+    bits = np.zeros(int(ends[-1]) if len(ends) else 0, bool)
+    bits[np.repeat(ends - width, lengths)[held] + (values[held] >> shift).astype(np.int64)] = True
+    offsets = np.concatenate([[0], ends // 8]).astype(np.int32)
+    valid = np.packbits(chosen, bitorder="little").tobytes()
+    return pa.Array.from_buffers(pa.binary(), len(chosen), [pa.py_buffer(valid), pa.py_buffer(offsets), pa.py_buffer(np.packbits(bits).tobytes())])
+
+
 def shingle_set(text: str) -> np.ndarray:
     """The sorted distinct shingle hashes of one text."""
     data = np.frombuffer(text.encode(), np.uint8)

@@ -331,7 +331,7 @@ def test_passages_inside_lines_and_across_line_ends(spark):
 def test_repetitive_lines_have_sets_of_like_size(spark):
     phrase = "five words that come again "
     rows = [(1, (phrase * 6).strip(), "en", "a"), (2, (phrase * 10).strip(), "en", "a")]
-    assert {x["n"] for x in paragraph_dedup.band_keys(docs_of(spark, rows)).collect()} == {5}
+    assert {x["n"] for x in paragraph_dedup.paragraphs(docs_of(spark, rows)).collect()} == {5}
     assert sorted(x["n_removed"] for x in paragraph_dedup.dedup(docs_of(spark, rows)).collect()) == [0, 1]
 
 
