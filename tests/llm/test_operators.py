@@ -413,6 +413,20 @@ def test_neighbours(spark):
     assert projected_nn.search(few, few.where("vec_id = 100")).count() == 1
 
 
+def test_the_search_stops_early():
+    r = np.random.default_rng(11)
+    v = r.standard_normal((6000, 64)) + 2 * r.standard_normal((60, 64))[r.integers(0, 60, 6000)]
+    tree = projected_nn.ProjectedTree(np.arange(6000), v)
+    limit, right = projected_nn.chi_square_quantile(projected_nn.CONFIDENCE, projected_nn.DIMENSIONS), 0
+    groups = [far for _, far in tree.nearby(v[0] @ tree.matrix)]
+    assert sum(map(len, groups)) == 6000 and (np.diff(np.concatenate(groups)) >= 0).all()
+    for i in range(0, 6000, 100):
+        d = ((v - v[i]) ** 2).sum(1)
+        want = [j for j in np.argsort(d, kind="stable") if j != i][:10]
+        right += len({*tree.search(i, v[i], 10, limit)[0].tolist()} & set(want))
+    assert right >= 0.9 * 600 and tree.verified < 0.6 * 60 * 6000
+
+
 def test_chi_square_quantile():
     assert projected_nn.chi_square_quantile(0.95, 8) == pytest.approx(15.507, abs=1e-3)
 
