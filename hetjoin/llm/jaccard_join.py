@@ -14,21 +14,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import arrow_map, small_batches, to_batch, written
-from .tiles import PERCENT, SHARED, Bloom, bitmap, linked_classes, shared_keys
-from .wordhash import document_units
+from .shared import arrow_map, discard, small_batches, to_batch, written
+from .tiles import PERCENT, SHARED, Bloom, linked_classes, shared_keys
+from .wordhash import document_units, first_of_equal, packed_bitmaps, sorted_units
 
 SKETCH, COMMON_SHARE, COMMON_LEAST, COMMON_MOST = 1 << 16, 2e-4, 24, 100_000
 
 
-def band_of(n: np.ndarray) -> np.ndarray:
-    """Sets that can be similar lie in the same size band or in neighbouring ones."""
-    return np.floor(np.log(np.maximum(n, 1)) / np.log(100 / PERCENT) + 1e-9).astype(np.int64)
-
-
 def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
     """A written row (doc_id, n, sid, bits, doc) for every document, and the sorted hashes of common shingles.
 
+    Of documents with equal words, a task gives ``bits`` to the first it meets, and as a rule to that only.
+
     Every task also keeps a Misra-Gries summary of its shingles: ``SKETCH`` counters miss
     none whose share of the task's shingles is over 1 / SKETCH. Only the order of shingles
     depends on it, never the result.
@@ -36,16 +33,27 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
 
     def run(batches):
         keys, counts, seen = np.zeros(0, np.uint64), np.zeros(0, np.int64), 0
-        for batch in small_batches(batches, rows=1024):
+        done: set[int] = set()
+        for batch in small_batches(batches):
             units = document_units(batch.column(1))
-            shingles, begins = units.shingles()
-            distinct = [np.unique(shingles[a:b]) for a, b in zip(begins[:-1], begins[1:])]
-            sid = units.sequence_ids()
-            none = units.count == 0
-            seen += batch.num_rows
-            yield to_batch({"doc_id": batch.column(0), "n": pa.array([len(d) for d in distinct], pa.int64()), "sid": pa.array(sid, mask=none), "bits": pa.array([bitmap(d).tobytes() for d in distinct], pa.binary()), "seen": pa.array(np.zeros(len(sid), np.int64), mask=np.ones(len(sid), bool))})
-            if len(shingles):
-                new, how_many = np.unique(np.concatenate(distinct), return_counts=True)
+            sid, none, rows = units.sequence_ids(), units.count == 0, batch.num_rows
+            full = np.flatnonzero(~none)
+            values, starts, sizes = sorted_units(*units.shingles(), full)
+            n = np.zeros(rows, np.int64)
+            n[full] = sizes
+            fresh = np.zeros(len(full), bool)
+            for i, x in enumerate(sid[full].tolist()):
+                if x not in done:
+                    fresh[i] = True
+                    done.add(x)
+            if len(done) >= 1 << 18:
+                done.clear()
+            at = np.zeros(rows, np.int64)
+            at[full] = np.arange(len(full))
+            seen += rows
+            yield to_batch({"doc_id": batch.column(0), "n": pa.array(n), "sid": pa.array(sid, mask=none), "bits": packed_bitmaps(values, starts, sizes, fresh).take(pa.array(at, mask=none)), "seen": pa.nulls(rows, pa.int64())})
+            if len(values):
+                new, how_many = np.unique(values[first_of_equal(values, starts)], return_counts=True)
                 merged, inverse = np.unique(np.concatenate([keys, new]), return_inverse=True)
                 total = np.zeros(len(merged), np.int64)
                 np.add.at(total, inverse, np.concatenate([counts, how_many]))
@@ -64,35 +72,37 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
 
 
 def prefixes(docs: DataFrame, common: np.ndarray) -> DataFrame:
-    """(key, band, sid, n): the prefix of each distinct text in a task."""
+    """(key, sid, n): the prefix of each distinct text in a task."""
     sent = docs.sparkSession.sparkContext.broadcast(common)
 
     def run(batches):
         late, done = sent.value, set()
         for batch in small_batches(batches):
             units = document_units(batch.column(0))
-            shingles, begins = units.shingles()
-            found = []
-            for i, sid in enumerate(units.sequence_ids().tolist()):
-                if not units.count[i] or sid in done:
-                    continue
-                if len(done) >= 1 << 18:
-                    done.clear()
-                done.add(sid)
-                values = np.unique(shingles[begins[i] : begins[i + 1]])
-                n = len(values)
-                if len(late):
-                    is_late = late[np.minimum(np.searchsorted(late, values), len(late) - 1)] == values
-                    values = np.concatenate([values[~is_late], values[is_late]])
-                length = min(n, n - -(-PERCENT * n // 100) + SHARED)
-                found.append((values[:length], sid, n))
-            lengths = [len(f[0]) for f in found]
-            n = np.array([f[2] for f in found], np.int64)
-            repeated = [np.repeat(x, lengths) for x in (band_of(n), np.array([f[1] for f in found], np.int64), n)]
-            keys = np.concatenate([f[0] for f in found]).view(np.int64) if found else np.zeros(0, np.int64)
-            yield to_batch(dict(zip(("key", "band", "sid", "n"), map(pa.array, (keys, *repeated)))))
-
-    return arrow_map(docs.select("text"), run, "key long, band long, sid long, n long")
+            sids, fresh = units.sequence_ids(), []
+            for i, sid in enumerate(sids.tolist()):
+                if units.count[i] and sid not in done:
+                    done.add(sid)
+                    fresh.append(i)
+            if len(done) >= 1 << 18:
+                done.clear()
+            if not fresh:
+                continue
+            values, starts, n = sorted_units(*units.shingles(), np.array(fresh))
+            first = first_of_equal(values, starts)
+            values, of = values[first], np.repeat(np.arange(len(n)), n)
+            is_late = late[np.minimum(np.searchsorted(late, values), len(late) - 1)] == values if len(late) else np.zeros(len(values), bool)
+            # Place in the order: by hash, the common ones last.
+            begins = np.cumsum(n) - n
+            lates = np.cumsum(is_late)
+            before = lates - is_late - (lates - is_late)[begins][of]
+            place = np.arange(len(values)) - begins[of]
+            place = np.where(is_late, n[of] - np.add.reduceat(is_late.astype(np.int64), begins)[of] + before, place - before)
+            kept = place < np.minimum(n, n - -(-PERCENT * n // 100) + SHARED)[of]
+            of = of[kept]
+            yield to_batch({"key": pa.array(values[kept].view(np.int64)), "sid": pa.array(sids[np.array(fresh)][of]), "n": pa.array(n[of].astype(np.int32))})
+
+    return arrow_map(docs.select("text"), run, "key long, sid long, n int")
 
 
 def texts_of(docs: DataFrame):
@@ -120,11 +130,12 @@ def join(docs: DataFrame) -> DataFrame:
     repeat an id come out as often; a null id never names a component unless nothing else can.
     """
     rows, common = sets(docs)
-    owners = rows.where("sid is not null").groupBy("sid").agg(F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("bits").alias("bits")).withColumn("where", F.col("doc"))
-    keys = written(shared_keys(prefixes(docs, common)), "shared-keys")
+    classes = written(rows.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("least"), F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("bits", True).alias("bits")), "classes")
+    owners = classes.select("sid", "doc", "n", "bits", F.col("doc").alias("where"))
+    keys = written(shared_keys(prefixes(docs, common), by_size=True), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs))
-    classes = rows.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("least"))
-    rooted = classes.join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    named = rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("sid", "component_id")
+    rooted = classes.select("sid", "least").join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
+    named = written(rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("sid", "component_id"), "named-classes")
+    discard(classes, roots)
     full = rows.where("sid is not null").join(named, "sid").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     return full.unionAll(rows.where("sid is null").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id")))

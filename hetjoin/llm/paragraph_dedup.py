@@ -141,7 +141,7 @@ def duplicates(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     first = F.min(F.struct("doc_id", "number", "text_hash", "place")).alias("first")
     classes = written(rows.groupBy("sid").agg(first, F.count("*").alias("copies"), F.first("n").alias("n"), F.first("bits", True).alias("bits")), "classes")
     owners = classes.select("sid", F.xxhash64("first.doc_id", "first.text_hash").alias("doc"), F.col("first.place").alias("where"), "n", "bits")
-    keys = written(shared_keys(rows.select(F.explode("keys").alias("key"), F.lit(0).cast("long").alias("band"), "sid", "n")), "shared-keys")
+    keys = written(shared_keys(rows.select(F.explode("keys").alias("key"), "sid", F.col("n").cast("int"))), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs, min_words), sure=one_key)
     rooted = classes.select("sid", "first", "copies").join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
     groups = rooted.groupBy("root").agg(F.min("first").alias("keep"), F.sum("copies").alias("total")).where("total > 1")

@@ -40,10 +40,16 @@ def one_key(n: str, most: int = SHARED):
     return F.lit(1)
 
 
-def shared_keys(rows: DataFrame) -> DataFrame:
-    """(key, band, sid, n) to the rows whose key two or more classes have, each with the first class of its key and band.
+def band_of(n: np.ndarray) -> np.ndarray:
+    """Sets that can be similar lie in the same size band or in neighbouring ones."""
+    return np.floor(np.log(np.maximum(n, 1)) / np.log(100 / PERCENT) + 1e-9).astype(np.int64)
 
-    A stream over rows sorted by key holds one row at a time, whatever the length of a key's run.
+
+def shared_keys(rows: DataFrame, by_size: bool = False) -> DataFrame:
+    """(key, band, sid, n) of the rows (key, sid, n) whose key two or more classes have, each with the first class of its key and band.
+
+    ``by_size`` bands classes by their sizes; else there is one band. A stream over rows sorted
+    by key holds one row at a time, whatever the length of a key's run.
     """
 
     def run(batches):
@@ -52,9 +58,10 @@ def shared_keys(rows: DataFrame) -> DataFrame:
         pivot = np.zeros(2, np.int64)  # sid and n of the open band's first row
         started = False
         for batch in batches:
-            key, band, sid, n = (np.asarray(batch.column(i)).astype(np.int64) for i in range(4))
+            key, sid, n = (np.asarray(batch.column(i)).astype(np.int64) for i in range(3))
             if not len(key):
                 continue
+            band = band_of(n) if by_size else np.zeros(len(key), np.int64)
             before = [np.concatenate([[last[i]], c[:-1]]) for i, c in enumerate((key, band, sid))]
             new_key = key != before[0]
             new_band = new_key | (band != before[1])
@@ -88,7 +95,7 @@ def shared_keys(rows: DataFrame) -> DataFrame:
                 out = [np.concatenate([e, c]) for e, c in zip(extra, out)]
             yield to_batch(dict(zip(("key", "band", "sid", "n", "pivot", "pivot_n"), map(pa.array, out))))
 
-    ordered = rows.repartition("key").sortWithinPartitions("key", "band", "sid")
+    ordered = rows.select("key", "sid", "n").repartition("key").sortWithinPartitions("key", "n", "sid")
     return arrow_map(ordered, run, "key long, band long, sid long, n long, pivot long, pivot_n long")
 
 
