@@ -68,11 +68,21 @@ def tail_trials(routed_for_seed, seeds: Sequence[int], shares: Mapping[tuple[int
     return out
 
 
-def runtime(df: DataFrame) -> float:
-    """Seconds to compute all of it."""
+def runtime(df: DataFrame) -> dict[str, float]:
+    """Seconds to compute all of ``df``, and the bytes that its stages shuffled and spilled to disk."""
+    context = df.sparkSession.sparkContext
+
+    def stages():
+        made = context._jsc.sc().statusStore().stageList(None, False, False, context._gateway.new_array(context._jvm.double, 0), context._jvm.java.util.ArrayList())
+        return [made.apply(i) for i in range(made.size())]
+
+    last = max((s.stageId() for s in stages()), default=-1)
     start = time.perf_counter()
     df.write.format("noop").mode("overwrite").save()
-    return time.perf_counter() - start
+    took = time.perf_counter() - start
+    context._jsc.sc().listenerBus().waitUntilEmpty()
+    own = [s for s in stages() if s.stageId() > last]
+    return {"seconds": took, "shuffle_bytes": float(sum(s.shuffleWriteBytes() for s in own)), "spill_bytes": float(sum(s.diskBytesSpilled() for s in own))}
 
 
 def rollup(loads: DataFrame) -> DataFrame:
@@ -80,6 +90,16 @@ def rollup(loads: DataFrame) -> DataFrame:
     return loads.rollup("machine", "atom").agg(F.sum("tuples").alias("tuples"))
 
 
+def cube(loads: DataFrame) -> DataFrame:
+    """The same, and totals by atom."""
+    return loads.cube("machine", "atom").agg(F.sum("tuples").alias("tuples"))
+
+
+def grouping_sets(loads: DataFrame, sets: Sequence[Sequence[str]]) -> DataFrame:
+    """Totals over chosen sets of ``machine`` and ``atom``."""
+    return loads.groupingSets([[F.col(c) for c in s] for s in sets], "machine", "atom").agg(F.sum("tuples").alias("tuples"))
+
+
 def rank(loads: DataFrame) -> DataFrame:
     """Each machine's place by atom, percentile, the next larger count and the running share."""
     w = Window.partitionBy("atom").orderBy(F.desc("tuples"), "machine")

@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 from collections.abc import Mapping, Sequence
-from functools import reduce
+from math import prod
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.coords import Coordinate
 from ..plans import lp
 from ..plans.query import FullCQ
 from .execute import exchange, join_order, local_join
@@ -20,32 +21,24 @@ def shares(cq: FullCQ, m: Mapping[str, int], p: int, method: str = "enumerate")
         cover = lp.min_vertex_cover(cq)
         total = sum(cover.values())
         return {x: max(1, int(p ** float(cover[x] / total) + 1e-9)) for x in cq.vars}
-    best: tuple[float, dict[str, int]] | None = None
+    return min(grids(cq.vars, p), key=lambda g: sum(m[a.name] / prod(g[x] for x in a.vars) for a in cq.atoms))
 
-    def grow(left: list[str], room: int, grid: dict[str, int]):
-        nonlocal best
-        if not left:
-            load = sum(m[a.name] / reduce(lambda n, x: n * grid[x], a.vars, 1) for a in cq.atoms)
-            if best is None or load < best[0] - 1e-12:
-                best = load, dict(grid)
-            return
-        for n in range(1, room + 1):
-            grow(left[1:], room // n, grid | {left[0]: n})
 
-    grow(list(cq.vars), p, {})
-    return best[1]
-
-
-def grid_route(df: DataFrame, cq: FullCQ, atom: str, grid: Mapping[str, int], seed: int = 1) -> DataFrame:
-    """Every tuple to all grid points that agree with the hashes of its variables."""
+def grid_route(df: DataFrame, cq: FullCQ, atom: str, grid: Mapping[str, int], seed: int = 1, coordinates: Mapping[str, Coordinate] | None = None) -> DataFrame:
+    """Every tuple to all grid points that agree with the hashes, or else the coordinates, of its variables."""
     own = cq.atom(atom).vars
     number, out = F.lit(0), df
     free = [x for x in cq.vars if x not in own and grid[x] > 1]
     for x in free:
         out = out.withColumn(f"_g_{x}", F.explode(F.sequence(F.lit(0), F.lit(grid[x] - 1))))
+
+    def cell(x: str):
+        if coordinates is None:
+            return F.pmod(F.xxhash64(F.col(x), F.lit(f"{seed}:{x}")), F.lit(grid[x])).cast("int")
+        return F.floor(coordinates[x].of(F.col(x), x) * F.lit(grid[x]) / F.lit(coordinates[x].size)).cast("int")
+
     for x in cq.vars:
-        at = F.pmod(F.xxhash64(F.col(x), F.lit(f"{seed}:{x}")), F.lit(grid[x])).cast("int") if x in own else F.col(f"_g_{x}") if x in free else F.lit(0)
-        number = number * F.lit(grid[x]) + at
+        number = number * F.lit(grid[x]) + (cell(x) if x in own else F.col(f"_g_{x}") if x in free else F.lit(0))
     return out.withColumn("machine", number).drop(*[f"_g_{x}" for x in free])
 
 
@@ -58,16 +51,25 @@ def hypercube(cq: FullCQ, relations: Mapping[str, DataFrame], p: int, m: Mapping
 
 def grid_load(cq: FullCQ, m: Mapping[str, int], grid: Mapping[str, int], w: Sequence[float]) -> float:
     """Planned load of a grid on the machines of these weights, the slowest in use counting."""
-    points = reduce(lambda a, b: a * b, grid.values(), 1)
-    per_point = sum(m[a.name] / reduce(lambda n, x: n * grid[x], a.vars, 1) for a in cq.atoms)
-    return per_point / sorted(w, reverse=True)[points - 1]
+    return sum(m[a.name] / prod(grid[x] for x in a.vars) for a in cq.atoms) / sorted(w, reverse=True)[prod(grid.values()) - 1]
+
+
+def grids(vars: Sequence[str], most: int):
+    """All grids of at most so many points."""
+    if not vars:
+        yield {}
+        return
+    for n in range(1, most + 1):
+        for rest in grids(vars[1:], most // n):
+            yield {vars[0]: n} | rest
 
 
 def fastest_grid(cq: FullCQ, m: Mapping[str, int], w: Sequence[float]) -> tuple[dict[str, int], float]:
     """The best grid on the q fastest machines, over all q."""
-    tried = ((grid_load(cq, m, g := shares(cq, m, q), w), g) for q in sorted({*range(1, min(len(w), 64) + 1), len(w)}))
-    load, grid = min(tried, key=lambda t: t[0])
-    return grid, load
+    by_speed = sorted(w, reverse=True)
+    load = lambda g: sum(m[a.name] / prod(g[x] for x in a.vars) for a in cq.atoms) / by_speed[prod(g.values()) - 1]
+    grid = min(grids(cq.vars, len(w)), key=load)
+    return grid, load(grid)
 
 
 def hypercube_fastest(cq: FullCQ, relations: Mapping[str, DataFrame], w: Sequence[float], m: Mapping[str, int], seed: int = 1) -> tuple[DataFrame, dict[str, DataFrame]]:

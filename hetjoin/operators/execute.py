@@ -5,11 +5,15 @@ from __future__ import annotations
 from collections.abc import Mapping, Sequence
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import coords
+from ..functions import coords, profile
 from ..functions.coords import Coordinate
+from ..functions.measure import ratio
 from ..plans import bounds, lp, pack, sides
 from ..plans.cost import CostFunction, Linear
 from ..plans.pack import Packing
@@ -28,14 +32,11 @@ class Plan:
     coordinates: dict[str, Coordinate]
     notes: dict[str, str] = field(default_factory=dict)
 
-    @property
-    def weights(self) -> list[float]:
-        return [getattr(c, "w", 1.0) for c in self.costs]
-
     def report(self, spark) -> DataFrame:
-        """key, value: bound, planned load, replication, machines used, stretch."""
+        """key, value: bound, planned load and its ratio to the bound, replication, machines used, figures of the packing."""
         p = self.packing
-        rows = {"bound": self.bound, "planned_load": p.planned_load(self.cq, self.sizes, self.weights), "replication": p.replication(self.cq, self.sizes)}
+        rows = {"bound": self.bound, "planned_load": p.planned_load(self.cq, self.sizes, self.costs), "replication": p.replication(self.cq, self.sizes)}
+        rows["ratio"] = ratio(rows["planned_load"], self.bound)
         rows |= {k: float(v) for k, v in p.stats().items()} | {f"cover_{x}": float(v) for x, v in lp.min_vertex_cover(self.cq).items()} | {f"size_{a}": float(n) for a, n in self.sizes.items()}
         return spark.createDataFrame([(k, float(v)) for k, v in rows.items()], "key string, value double")
 
@@ -56,12 +57,15 @@ def plan(cq: FullCQ, sizes: Mapping[str, int], costs: Sequence[CostFunction], mo
     coordinates = dict(coordinates or {x: coords.xx(seed, grid_bits) for x in cq.vars})
     notes = {}
     u = float(sum(lp.max_edge_packing(cq).values()))
+    even = len(set(sizes.values())) == 1
     if mode == "general":
-        bound = bounds.lower_general(largest, costs, u)
-        made = sides.general(cq, costs, largest, bound)
-        # The planned load of equal-size plans is counted with weights in place of costs.
+        made = sides.general(cq, costs, largest)
+        # Where sizes differ, relations cut down to the least size still have to be joined.
+        bound = bounds.lower_general(min(sizes.values()), costs, u)
+        if not even:
+            notes["bound"] = "of relations of the least size"
     elif mode in ("uniform", "padded"):
-        bound = bounds.lower_uniform(largest, w, u)
+        bound = bounds.lower_uniform(largest, w, u) if even else bounds.lower_mixed(cq, sizes, w)[0]
         made = sides.uniform(cq, w, cover)
     else:
         bound = bounds.lower_mixed(cq, sizes, w)[0]
@@ -69,14 +73,16 @@ def plan(cq: FullCQ, sizes: Mapping[str, int], costs: Sequence[CostFunction], mo
             made, notes["dual"] = sides.dual(cq, sizes, w, bound)
         else:
             made = {"cartesian": sides.cartesian, "join": sides.binary_join, "star": sides.star, "triangle": sides.triangle}[mode](cq, sizes, w, bound)
+    if not linear and mode != "general":
+        notes["bound"] = "of linear costs of the same weights"
     domain = {x: coordinates[x].size for x in cq.vars}
     split = [x for x in cq.vars if any(s[x] < 1 for s in made)]
     if rounding == "search" and len(split) <= 1:
         packing = pack.intervals(cq, made, domain)
     else:
-        packing = pack.pack(cq, made, domain, rounding=rounding, grid_bits=max(grid_bits, max(domain.values()).bit_length()), m=sizes, w=w)
+        packing = pack.pack(cq, made, domain, rounding=rounding, grid_bits=max(grid_bits, max(domain.values()).bit_length()), m=sizes, w=costs)
         if rounding == "search":
-            packing = pack.refine(packing, cq, sizes, w)
+            packing = pack.refine(packing, cq, sizes, costs)
     return Plan(cq, sizes, costs, mode, bound, packing, coordinates, notes)
 
 
@@ -85,11 +91,6 @@ def exchange(df: DataFrame, machines: int) -> DataFrame:
     return df.repartitionById(machines, F.col("machine"))
 
 
-def sub_split(df: DataFrame, var: str, parts: int) -> DataFrame:
-    """Machines larger than a task: partition machine * parts + hash of a variable that all atoms have."""
-    return df.withColumn("machine", F.col("machine") * F.lit(parts) + F.pmod(F.xxhash64(F.col(var)), F.lit(parts)).cast("int"))
-
-
 def join_order(cq: FullCQ, sizes: Mapping[str, int]) -> list[str]:
     """Smallest atom first, then always one that shares a variable, if there is one."""
     left, out, known = {a.name: set(a.vars) for a in cq.atoms}, [], set()
@@ -115,6 +116,20 @@ def local_join(parts: Mapping[str, DataFrame], cq: FullCQ, sizes: Mapping[str, i
     return out
 
 
+def _range_of(column: np.ndarray, spans: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """For each span of rows, in which ``column`` is sorted, the rows that have the value: binary search in all spans at once."""
+    out = np.empty_like(spans)
+    for side in (0, 1):
+        low, high = spans[:, 0].copy(), spans[:, 1].copy()
+        while (open_ := low < high).any():
+            mid = (low + high) // 2
+            at = column[np.minimum(mid, len(column) - 1)]
+            right = open_ & ((at < values) if side == 0 else (at <= values))
+            low, high = np.where(right, mid + 1, low), np.where(open_ & ~right, mid, high)
+        out[:, side] = low
+    return out
+
+
 def local_generic_join(parts: Mapping[str, DataFrame], cq: FullCQ, machines: int) -> DataFrame:
     """Variable by variable inside each machine: candidates of a variable are met by all its atoms at once.
 
@@ -127,41 +142,44 @@ def local_generic_join(parts: Mapping[str, DataFrame], cq: FullCQ, machines: int
         rows = parts[a.name].select("machine", F.lit(a.name).alias("_atom"), F.array(*[F.col(x).cast("long") for x in ordered]).alias("_key"))
         tagged = rows if tagged is None else tagged.unionAll(rows)
 
-    def run(frame):
-        import pandas as pd
-
-        roots = []
-        for name, _ in atoms:
-            root: dict = {}
-            counts: dict[tuple, int] = {}
-            for key in frame.loc[frame["_atom"] == name, "_key"]:
-                key = tuple(int(k) for k in key)
-                counts[key] = counts.get(key, 0) + 1
-            for key, n in counts.items():
-                at = root
-                for k in key[:-1]:
-                    at = at.setdefault(k, {})
-                at[key[-1]] = n
-            roots.append(root)
-        out: list[tuple] = []
-
-        def walk(i: int, at: list, row: tuple, times: int) -> None:
-            if i == len(vars_):
-                out.extend([row] * times)
-                return
-            using = [j for j, (_, own) in enumerate(atoms) if i in own]
-            for value in set(min((at[j] for j in using), key=len)).intersection(*[at[j] for j in using]):
-                below, more = list(at), times
-                for j in using:
-                    below[j] = at[j][value]
-                    if isinstance(below[j], int):
-                        more *= below[j]
-                walk(i + 1, below, (*row, value), more)
-
-        walk(0, roots, (), 1)
-        return pd.DataFrame(out, columns=list(vars_), dtype="int64").assign(machine=int(frame["machine"].iloc[0]))[["machine", *vars_]]
-
-    return exchange(tagged, machines).groupBy("machine").applyInPandas(run, "machine int, " + ", ".join(f"{x} long" for x in vars_))
+    # Level by level: rows of each atom are sorted by its variables in order, and every partial answer holds a
+    # range of rows in each atom. The atom with the fewest rows left offers values, the others look them up.
+    def run(table: pa.Table) -> pa.Table:
+        names, keys = table.column("_atom"), table.column("_key")
+        sorted_rows, spans = [], []
+        for name, own in atoms:
+            at = keys.filter(pc.equal(names, name)).combine_chunks()
+            rows = np.asarray(at.flatten()).reshape(-1, len(own))
+            sorted_rows.append(rows[np.lexsort(rows.T[::-1])])
+            spans.append(np.array([[0, len(rows)]], np.int64))
+        found = np.zeros((1, 0), np.int64)
+        for i in range(len(vars_)):
+            using = [(j, own.index(i)) for j, (_, own) in enumerate(atoms) if i in own]
+            widths = np.stack([spans[j][:, 1] - spans[j][:, 0] for j, _ in using])
+            least, parts = widths.argmin(0), []
+            for k, (j, level) in enumerate(using):
+                mine = np.flatnonzero(least == k)
+                first, count = spans[j][mine, 0], widths[k][mine]
+                of = np.repeat(mine, count)
+                row = np.arange(count.sum()) + np.repeat(first - np.cumsum(count) + count, count)
+                value = sorted_rows[j][row, level]
+                # One offer for each distinct value of a range.
+                new = np.ones(len(of), bool)
+                new[1:] = (of[1:] != of[:-1]) | (value[1:] != value[:-1])
+                parts.append((of[new], value[new]))
+            of, value = (np.concatenate(c) for c in zip(*parts))
+            alive, held = np.ones(len(of), bool), {}
+            for j, level in using:
+                held[j] = _range_of(sorted_rows[j][:, level], spans[j][of], value)
+                alive &= held[j][:, 1] > held[j][:, 0]
+            found = np.column_stack([found[of[alive]], value[alive]])
+            spans = [held[j][alive] if j in held else span[of[alive]] for j, span in enumerate(spans)]
+        times = np.prod([span[:, 1] - span[:, 0] for span in spans], axis=0)
+        found = np.repeat(found, times, axis=0)
+        machine = pa.array(np.full(len(found), table.column("machine")[0].as_py(), np.int32))
+        return pa.table([machine, *[pa.array(np.ascontiguousarray(found[:, i])) for i in range(len(vars_))]], names=["machine", *vars_])
+
+    return exchange(tagged, machines).groupBy("machine").applyInArrow(run, "machine int, " + ", ".join(f"{x} long" for x in vars_))
 
 
 @dataclass
@@ -171,27 +189,52 @@ class Result:
     routed: dict[str, DataFrame]
 
 
-def evaluate(cq: FullCQ, relations: Mapping[str, DataFrame], costs: Sequence[CostFunction], mode: str = "auto", sizes: Mapping[str, int] | None = None, strategy: str = "auto", local: str = "merge", hybrid: Sequence[str] = (), sub: int = 1, **options) -> Result:
+HYBRID_ROWS = 1_000_000
+
+
+def evaluate(
+    cq: FullCQ,
+    relations: Mapping[str, DataFrame],
+    costs: Sequence[CostFunction],
+    mode: str = "auto",
+    sizes: Mapping[str, int] | None = None,
+    strategy: str = "auto",
+    local: str = "merge",
+    hybrid: Sequence[str] = (),
+    sub: int = 1,
+    sub_by: Sequence[str] | None = None,
+    classify: bool = False,
+    **options,
+) -> Result:
     """Answers with a column ``machine`` and every variable.
 
-    Sizes are counted unless given: one small aggregate for each atom. Atoms in ``hybrid`` are
-    broadcast instead of routed; the caller answers for their size, and every machine pays for them.
+    Sizes are counted unless given: one small aggregate for each atom. With ``classify``, a profile
+    of every atom gives them, and says where keys are dense enough to be their own coordinates.
+    Atoms in ``hybrid`` are broadcast instead of routed, up to ``HYBRID_ROWS`` rows each; every
+    machine pays for them. ``sub`` cuts each machine's box into that many tasks, along the
+    variables in ``sub_by`` if given; ``routed`` has each tuple once for a machine all the same.
     """
+    notes = {}
+    if classify:
+        classes = profile.classify(cq, relations)
+        sizes = sizes or {a: c.rows for a, c in classes.items()}
+        options["coordinates"] = {x: coords.xx(options.get("seed", 1), options.get("grid_bits", pack.GRID_BITS)) for x in cq.vars} | profile.dense_coordinates(cq, classes) | dict(options.get("coordinates") or {})
+        notes |= {f"class_{a}": c.kind for a, c in classes.items()}
     sizes = dict(sizes or {a.name: relations[a.name].count() for a in cq.atoms})
+    if too_large := [a for a in hybrid if sizes[a] > HYBRID_ROWS]:
+        raise ValueError(f"too large to broadcast: {too_large}")
     made = plan(cq, sizes, costs, mode, **options)
-    routed = {a.name: route(relations[a.name], a, made.packing, made.coordinates, strategy) for a in cq.atoms if a.name not in hybrid}
-    n = len(made.costs)
+    made.notes |= notes
+    inner = FullCQ(tuple(a for a in cq.atoms if a.name not in hybrid))
+    routed = {a.name: route(relations[a.name], a, made.packing, made.coordinates, strategy) for a in inner.atoms}
+    tasks, dealt = len(made.costs) * sub, routed
     if sub > 1:
-        shared = next((x for x in cq.vars if all(x in cq.atom(a).vars for a in routed)), None)
-        if shared is None:
-            raise ValueError("sub-splitting needs a variable that all routed atoms have")
-        routed = {a: sub_split(df, shared, sub) for a, df in routed.items()}
-        n *= sub
+        boxes = pack.subdivide(made.packing, inner, sizes, sub, sub_by)
+        dealt = {a.name: route(relations[a.name], a, boxes, made.coordinates, strategy) for a in inner.atoms}
     if local == "generic":
-        return Result(local_generic_join(routed, cq, n), made, routed)
-    parts = {a: exchange(df, n) for a, df in routed.items()}
-    inner = FullCQ(tuple(a for a in cq.atoms if a.name in parts))
-    answers = local_join(parts, inner, sizes, local)
+        answers = local_generic_join(dealt, inner, tasks)
+    else:
+        answers = local_join({a: exchange(df, tasks) for a, df in dealt.items()}, inner, sizes, local)
     known = set(inner.vars)
     for a in cq.atoms:
         if a.name in hybrid:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from bisect import bisect_right
 from collections.abc import Mapping
 from itertools import product
+from math import prod
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -14,6 +15,7 @@ from ..plans.pack import Packing
 from ..plans.query import Atom
 
 LITERAL_CELLS = 4096
+LOOKUP_ROWS = 1_000_000
 
 
 def boxes_frame(spark, packing: Packing) -> DataFrame:
@@ -108,11 +110,16 @@ def route(df: DataFrame, atom: Atom, packing: Packing, coordinates: Mapping[str,
     placed = df.select("*", *[c.alias(f"_c_{x}") for x, c in own.items()])
     if strategy == "nested":
         return box_join(placed, _wide(df.sparkSession, packing, atom), atom).select(*df.columns, "machine")
-    step = {x: max(1, -(-packing.domain[x] // coarse)) for x in atom.vars}
+    # A wide grid of coarse cells finds machines faster, but its table must stay small enough to be broadcast.
+    while True:
+        step = {x: max(1, -(-packing.domain[x] // coarse)) for x in atom.vars}
+        ranges = {c: [range(packing.boxes[c][x][0] // step[x], (packing.boxes[c][x][1] - 1) // step[x] + 1) for x in atom.vars] for c in packing.used()}
+        if coarse == 1 or sum(prod(map(len, r)) for r in ranges.values()) <= LOOKUP_ROWS:
+            break
+        coarse //= 2
     rows = []
-    for c in packing.used():
-        ranges = [range(packing.boxes[c][x][0] // step[x], (packing.boxes[c][x][1] - 1) // step[x] + 1) for x in atom.vars]
-        for cell in product(*ranges):
+    for c, own_cells in ranges.items():
+        for cell in product(*own_cells):
             number = 0
             for k in cell:
                 number = number * coarse + k
@@ -124,5 +131,5 @@ def route(df: DataFrame, atom: Atom, packing: Packing, coordinates: Mapping[str,
     inside = F.lit(True)
     for x in atom.vars:
         inside = inside & (F.col(f"_c_{x}") >= F.col(f"_lo_{x}")) & (F.col(f"_c_{x}") < F.col(f"_hi_{x}"))
-    # One row for each machine and coarse cell, whatever the data.
+    # At most a row for each machine and coarse cell, and LOOKUP_ROWS or one for each machine, whatever the data.
     return placed.withColumn("_cell", number).join(F.broadcast(table), "_cell").where(inside).select(*df.columns, "machine")

@@ -8,7 +8,7 @@ stretched where it is short of the space.
 from __future__ import annotations
 
 import math
-from collections.abc import Mapping, Sequence
+from collections.abc import Callable, Mapping, Sequence
 from dataclasses import dataclass, field
 from itertools import product
 
@@ -19,6 +19,13 @@ from .sides import Sides
 
 GRID_BITS = 20
 Shape = tuple[int, ...]
+Costs = Sequence[float | Callable[[float], float]]
+
+
+def cost_of(costs: Costs, machine: int, amount: float) -> float:
+    """What ``amount`` costs a machine; a number stands for the weight of a linear cost."""
+    c = costs[machine]
+    return c(amount) if callable(c) else amount / c
 
 
 @dataclass
@@ -39,6 +46,8 @@ class Packing:
     root: Node | None = None
     stretch: dict[str, float] = field(default_factory=dict)
     block: dict[str, int] = field(default_factory=dict)
+    # Boxes of the last shape before doubling, the volume of one, and of the final block, in parts of the space.
+    last: tuple[int, float, float] | None = None
 
     def used(self) -> list[int]:
         return sorted(c for c, b in self.boxes.items() if all(hi > lo for lo, hi in b.values()))
@@ -53,15 +62,22 @@ class Packing:
         """Final over planned share, by machine and atom."""
         return {(c, a.name): self.share(c, a.vars) / math.prod(self.planned[c][x] for x in a.vars) for c in self.used() for a in cq.atoms if all(self.planned[c][x] for x in a.vars)}
 
-    def planned_load(self, cq: FullCQ, m: Mapping[str, int], w: Sequence[float]) -> float:
-        return max(sum(m[a.name] * self.share(c, a.vars) for a in cq.atoms) / w[c] for c in self.used())
+    def planned_load(self, cq: FullCQ, m: Mapping[str, int], w: Costs) -> float:
+        """The worst machine's cost of all that it is to receive."""
+        return max(cost_of(w, c, sum(m[a.name] * self.share(c, a.vars) for a in cq.atoms)) for c in self.used())
 
     def replication(self, cq: FullCQ, m: Mapping[str, int]) -> float:
         return sum(m[a.name] * self.share(c, a.vars) for c in self.used() for a in cq.atoms) / sum(m.values())
 
     def stats(self) -> dict[str, float]:
+        """Figures of the packing. Where boxes were merged, ``block_share`` is over 1/2 and ``last_shapes_share``,
+        of the boxes of the last shape and one more of them, over 1; ``stretch`` is at most 2 to the number of variables and one."""
         used = self.used()
-        return {"machines": self.machines, "used": len(used), "volume": sum(self.share(c, self.vars) for c in used), "stretch": math.prod(self.stretch.values()) if self.stretch else 1.0}
+        out = {"machines": self.machines, "used": len(used), "volume": sum(self.share(c, self.vars) for c in used), "stretch": math.prod(self.stretch.values()) if self.stretch else 1.0}
+        if self.last:
+            count, one, block = self.last
+            out |= {"block_share": block, "last_shapes_share": (1 + count) * one}
+        return out
 
 
 def round_up(sides: Sides, vars: Sequence[str], bits: int) -> dict[int, Shape]:
@@ -132,7 +148,7 @@ def stretch(root: Node, shape: Shape, vars: Sequence[str], domain: Mapping[str,
     return boxes, {x: max(f, 1.0) if not shrink else f for x, f in factor.items()}
 
 
-def pack(cq: FullCQ, sides: Sides, domain: Mapping[str, int] | None = None, rounding: str = "up", grid_bits: int = GRID_BITS, stop_when_covered: bool = True, shrink: bool = False, m: Mapping[str, int] | None = None, w: Sequence[float] | None = None) -> Packing:
+def pack(cq: FullCQ, sides: Sides, domain: Mapping[str, int] | None = None, rounding: str = "up", grid_bits: int = GRID_BITS, stop_when_covered: bool = True, shrink: bool = False, m: Mapping[str, int] | None = None, w: Costs | None = None) -> Packing:
     """``up`` rounds every side up. ``search`` also tries common offsets of each variable with rounding
     down and keeps the packing of least planned load; it is never worse than ``up``."""
     domain = dict(domain or {x: 1 << grid_bits for x in cq.vars})
@@ -167,9 +183,11 @@ def pack(cq: FullCQ, sides: Sides, domain: Mapping[str, int] | None = None, roun
 
 
 def _packed(vars, sides, shapes, domain, bits, stop, shrink) -> Packing:
-    shape, root = double(*promote(buckets(shapes)), bits, stop)
+    last, nodes = promote(buckets(shapes))
+    shape, root = double(last, nodes, bits, stop)
     boxes, factors = stretch(root, shape, vars, domain, bits, shrink)
-    return Packing(tuple(vars), dict(domain), boxes, len(sides), sides, root, factors, {x: 1 << shape[i] for i, x in enumerate(vars)})
+    part = lambda exponents: 2.0 ** (sum(exponents) - bits * len(exponents))
+    return Packing(tuple(vars), dict(domain), boxes, len(sides), sides, root, factors, {x: 1 << shape[i] for i, x in enumerate(vars)}, (len(nodes), part(last), part(shape)))
 
 
 def intervals(cq: FullCQ, sides: Sides, domain: Mapping[str, int] | None = None, grid_bits: int = GRID_BITS) -> Packing:
@@ -190,19 +208,26 @@ def intervals(cq: FullCQ, sides: Sides, domain: Mapping[str, int] | None = None,
     return Packing(cq.vars, domain, boxes, len(sides), sides)
 
 
-def refine(packing: Packing, cq: FullCQ, m: Mapping[str, int], w: Sequence[float]) -> Packing:
-    """Gives unused machines a part of the box of the machine with most load, while that lowers the load."""
+def refine(packing: Packing, cq: FullCQ, m: Mapping[str, int], w: Costs) -> Packing:
+    """Gives unused machines a part of the box of the machine with most cost, while that lowers the cost."""
     boxes = {c: dict(b) for c, b in packing.boxes.items()}
-    out = Packing(packing.vars, packing.domain, boxes, packing.machines, packing.planned, None, packing.stretch, packing.block)
-    cost = lambda c: sum(m[a.name] * out.share(c, a.vars) for a in cq.atoms) / w[c]
-    for free in sorted(set(range(packing.machines)) - set(packing.used()), key=lambda c: -w[c]):
+    out = Packing(packing.vars, packing.domain, boxes, packing.machines, packing.planned, None, packing.stretch, packing.block, packing.last)
+    total = sum(m.values())
+    cost = lambda c: cost_of(w, c, sum(m[a.name] * out.share(c, a.vars) for a in cq.atoms))
+    for free in sorted(set(range(packing.machines)) - set(packing.used()), key=lambda c: cost_of(w, c, total)):
         worst = max(out.used(), key=cost)
         before, whole, tries = cost(worst), dict(boxes[worst]), []
         for x, (lo, hi) in whole.items():
-            cut = lo + round((hi - lo) * w[worst] / (w[worst] + w[free]))
-            if lo < cut < hi:
+            low, high = lo, hi
+            # The place at which both parts cost the same.
+            while high - low > 1:
+                cut = (low + high) // 2
                 boxes[worst], boxes[free] = whole | {x: (lo, cut)}, whole | {x: (cut, hi)}
-                tries.append((max(cost(worst), cost(free)), boxes[worst], boxes[free]))
+                low, high = (cut, high) if cost(worst) <= cost(free) else (low, cut)
+            for cut in (low, high):
+                if lo < cut < hi:
+                    boxes[worst], boxes[free] = whole | {x: (lo, cut)}, whole | {x: (cut, hi)}
+                    tries.append((max(cost(worst), cost(free)), boxes[worst], boxes[free]))
         boxes[worst] = whole
         boxes.pop(free, None)
         if tries and (best := min(tries, key=lambda t: t[0]))[0] < before:
@@ -210,6 +235,37 @@ def refine(packing: Packing, cq: FullCQ, m: Mapping[str, int], w: Sequence[float
     return out
 
 
+def _primes(n: int) -> list[int]:
+    out, k = [], 2
+    while n > 1:
+        while n % k == 0:
+            out.append(k)
+            n //= k
+        k += 1
+    return out[::-1]
+
+
+def subdivide(packing: Packing, cq: FullCQ, m: Mapping[str, int], parts: int, by: Sequence[str] | None = None) -> Packing:
+    """Every box cut into ``parts`` inner boxes, those of machine c numbered from c * parts on.
+
+    Each prime factor of ``parts`` goes to the variable that leaves least in an inner box, or
+    only to those in ``by``: variables that few tuples share split heavy values of the others.
+    """
+    boxes = {}
+    for c in packing.used():
+        box = packing.boxes[c]
+        grid = dict.fromkeys(packing.vars, 1)
+        inner = lambda g: sum(m[a.name] * math.prod((box[x][1] - box[x][0]) / packing.domain[x] / g[x] for x in a.vars) for a in cq.atoms)  # noqa: E731, B023
+        for prime in _primes(parts):
+            room = [x for x in by or packing.vars if (box[x][1] - box[x][0]) // (grid[x] * prime) >= 1]
+            if room:
+                best = min(room, key=lambda x: (inner(grid | {x: grid[x] * prime}), packing.vars.index(x)))
+                grid[best] *= prime
+        for number, at in enumerate(product(*[range(grid[x]) for x in packing.vars])):
+            boxes[c * parts + number] = {x: tuple(box[x][0] + (box[x][1] - box[x][0]) * (i + k) // grid[x] for k in (0, 1)) for x, i in zip(packing.vars, at)}
+    return Packing(packing.vars, packing.domain, boxes, packing.machines * parts, [s for s in packing.planned for _ in range(parts)])
+
+
 def covers(packing: Packing) -> bool:
     """Every point lies in exactly one box: volumes add up and no two boxes overlap."""
     used = packing.used()

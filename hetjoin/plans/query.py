@@ -5,6 +5,7 @@ from __future__ import annotations
 import re
 from collections.abc import Mapping, Sequence
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -73,7 +74,8 @@ def _as_key(df: DataFrame, column: str):
     if isinstance(kind, T.DecimalType):
         return (c * F.lit(10**kind.scale).cast("decimal(38,0)")).cast("long")
     if isinstance(kind, T.StructType):
-        return F.xxhash64(c)
+        # A key with a part missing is no key.
+        return F.when(reduce(lambda a, b: a & b, [c[f.name].isNotNull() for f in kind.fields], c.isNotNull()), c)
     raise TypeError(f"{column}: {kind.simpleString()} cannot be a join variable")
 
 
@@ -83,6 +85,12 @@ def bind(df: DataFrame, columns: Mapping[str, str], payload: Sequence[str] = ())
     return df.select(*keys, *payload).dropna(subset=list(columns.values()))
 
 
+def null_keys(df: DataFrame, columns: Mapping[str, str]) -> DataFrame:
+    """rows, dropped: how many there are, and how many :func:`bind` drops for a null key."""
+    missing = reduce(lambda a, b: a | b, [_as_key(df, c).isNull() for c in columns])
+    return df.agg(F.count("*").alias("rows"), F.coalesce(F.sum(missing.cast("long")), F.lit(0)).alias("dropped"))
+
+
 def restrict(df: DataFrame, predicate) -> DataFrame:
     """A selection; it belongs before statistics and planning, outside the query."""
     return df.filter(predicate)

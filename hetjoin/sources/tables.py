@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -24,3 +26,16 @@ def sink_placed(df: DataFrame, path: str, mode: str = "error") -> None:
 
 def sink_report(df: DataFrame, path: str, mode: str = "error") -> None:
     df.coalesce(1).write.mode(mode).json(path)
+
+
+def stored(df: DataFrame) -> DataFrame:
+    """A derived relation that is counted and then routed, computed once: checkpointed into ``spark.checkpoint.dir``.
+
+    In local mode without such a folder, a temporary one is used.
+    """
+    context = df.sparkSession.sparkContext
+    if context.getConf().get("spark.checkpoint.dir", None) is None and context.getCheckpointDir() is None:
+        if not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir is not set")
+        context.setCheckpointDir(tempfile.mkdtemp(prefix="hetjoin-"))
+    return df.checkpoint()

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Mapping
+from collections.abc import Callable, Mapping, Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -28,6 +28,20 @@ def join_static(events: DataFrame, name: str, cq: FullCQ, static: Mapping[str, D
     return events.writeStream.foreachBatch(one)
 
 
+def join_streams(left: DataFrame, right: DataFrame, on: Sequence[str], ts: tuple[str, str], within: str, late: str = "1 hour") -> DataFrame:
+    """Two routed streams, joined inside each machine: rows of equal ``on`` whose times lie at most ``within`` apart.
+
+    Both have ``machine``. Rows later than the watermark are dropped; state older than both is, too.
+    """
+    a, b = left.withWatermark(ts[0], late).alias("a"), right.withWatermark(ts[1], late).alias("b")
+    near = F.expr(f"b.{ts[1]} >= a.{ts[0]} - INTERVAL {within} AND b.{ts[1]} <= a.{ts[0]} + INTERVAL {within}")
+    same = near
+    for c in ("machine", *on):
+        same = same & (F.col(f"a.{c}") == F.col(f"b.{c}"))
+    kept = [F.col(f"b.{c}") for c in right.columns if c not in ("machine", *on)]
+    return a.join(b, same).select("a.*", *kept)
+
+
 def load_windows(routed: DataFrame, ts: str, size: str, slide: str | None = None, gap: str | None = None, late: str = "1 hour") -> DataFrame:
     """Tuples by machine and time: tumbling, sliding (``slide``) or session (``gap``) windows; rows later than the watermark are dropped."""
     window = F.session_window(ts, gap) if gap else F.window(ts, size, slide) if slide else F.window(ts, size)

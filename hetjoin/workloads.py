@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Sequence
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,10 +12,10 @@ from .functions import coords, measure, profile
 from .operators import baselines
 from .operators.execute import evaluate, plan
 from .plans import bounds, lp, pack, sides
-from .plans.cost import CostFunction, Linear, Power
-from .plans.query import FullCQ, bind, parse_cq
+from .plans.cost import CostFunction, Linear, Power, Tabulated
+from .plans.query import FullCQ, bind, null_keys, parse_cq
 from .sources import datagen
-from .sources.tables import table
+from .sources.tables import stored, table
 
 # The machine weights of the worked example.
 EXAMPLE = [4.0, 4.0, 3.0, 2.0, 2.0, 2.0] + [1.0] * 11
@@ -76,6 +77,18 @@ def cartesian_equal(spark, d):
     return out.groupBy((F.col("x") % 100).alias("x100")).agg(F.count("*").alias("n"), F.sum("y").alias("total"))
 
 
+WHOLE = "(SELECT least((SELECT count(*) FROM customer), (SELECT count(*) FROM part)))"
+
+
+@workload(f"SELECT c_custkey % 100 AS x100, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM customer, part WHERE c_custkey < {WHOLE} AND p_partkey < {WHOLE} GROUP BY 1")
+def cartesian_equal_whole(spark, d):
+    """All keys that both sides have; every box is cut into two tasks."""
+    c, p = keys(spark, d, "customer", "c_custkey", "x"), keys(spark, d, "part", "p_partkey", "y")
+    n = min(c.count(), p.count())
+    out = evaluate(CARTESIAN, {"R": c.where(F.col("x") < n), "S": p.where(F.col("y") < n)}, LINEAR, mode="uniform", sub=2, classify=True).answers
+    return out.groupBy((F.col("x") % 100).alias("x100")).agg(F.count("*").alias("n"), F.sum("y").alias("total"))
+
+
 def part_supplier(spark, d):
     return {"R": keys(spark, d, "part", "p_partkey", "x"), "S": keys(spark, d, "supplier", "s_suppkey", "y")}
 
@@ -85,6 +98,12 @@ def cartesian_unequal(spark, d):
     return summed(evaluate(CARTESIAN, part_supplier(spark, d), LINEAR).answers, "y", "x")
 
 
+@workload("SELECT s_suppkey AS y, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM part, supplier GROUP BY 1")
+def cartesian_sub(spark, d):
+    """Every machine's box in four tasks."""
+    return summed(evaluate(CARTESIAN, part_supplier(spark, d), LINEAR, sub=4).answers, "y", "x")
+
+
 @workload("SELECT r_regionkey::BIGINT AS x, n_nationkey::BIGINT AS y FROM region, nation")
 def cartesian_small(spark, d):
     rel = {"R": keys(spark, d, "region", "r_regionkey", "x"), "S": keys(spark, d, "nation", "n_nationkey", "y")}
@@ -146,6 +165,17 @@ def join_dense(spark, d):
     return evaluate(JOIN, rel, LINEAR).answers.select("x", "y", "z")
 
 
+@workload(
+    "WITH r AS (SELECT s_suppkey AS x, n_nationkey::BIGINT AS z FROM supplier, nation WHERE (s_suppkey * 7919 + n_nationkey * 104729) % 100 < 50),"
+    " s AS (SELECT c_custkey AS y, n_nationkey::BIGINT AS z FROM customer, nation WHERE (c_custkey * 104729 + n_nationkey * 7919) % 100 < 20) SELECT z, count(*) AS n, sum(x + y)::BIGINT AS total FROM r JOIN s USING (z) GROUP BY 1"
+)
+def join_dense_whole(spark, d):
+    """All customers; heavy nations are split by the keys that go with them."""
+    nation = keys(spark, d, "nation", "n_nationkey", "z")
+    rel = {"R": datagen.dense(keys(spark, d, "supplier", "s_suppkey", "x"), nation, "x", "z", (7919, 104729, 0), 0.5), "S": datagen.dense(keys(spark, d, "customer", "c_custkey", "y"), nation, "y", "z", (104729, 7919, 0), 0.2)}
+    return evaluate(JOIN, rel, LINEAR, sub=4, sub_by=("x", "y")).answers.groupBy("z").agg(F.count("*").alias("n"), F.sum(F.col("x") + F.col("y")).alias("total"))
+
+
 @workload("SELECT d.doc_id AS x, l.quality::BIGINT AS y, d.lang AS z FROM labels l JOIN documents d USING (doc_id)")
 def labels_documents(spark, d):
     cq = parse_cq("q(x, y, z) :- R(x, y), S(x, z)")
@@ -171,7 +201,7 @@ def star_nation(spark, d):
 @workload("SELECT c_custkey AS z, count(*) AS n, sum(o_orderkey + event_id)::BIGINT AS total FROM customer JOIN orders ON o_custkey = c_custkey JOIN events ON user_id = c_custkey GROUP BY 1")
 def star_customer(spark, d):
     rel = {"R": arm(spark, d, "customer", "c_nationkey", "c_custkey", "a"), "S": arm(spark, d, "orders", "o_orderkey", "o_custkey", "b"), "T": arm(spark, d, "events", "event_id", "user_id", "c")}
-    return evaluate(STAR, rel, LINEAR, sub=2).answers.groupBy("z").agg(F.count("*").alias("n"), F.sum(F.col("b") + F.col("c")).alias("total"))
+    return evaluate(STAR, rel, LINEAR, sub=4, sub_by=("b", "c")).answers.groupBy("z").agg(F.count("*").alias("n"), F.sum(F.col("b") + F.col("c")).alias("total"))
 
 
 @workload(f"WITH o AS ({I}), r AS (SELECT i AS a, {PA} AS z FROM o), s AS (SELECT i AS b, {PB} AS z FROM o WHERE i < {NORDERS} // 2), t AS (SELECT i AS c, {PD} AS z FROM o WHERE i < {NORDERS} // 4) SELECT a, b, c, z FROM r JOIN s USING (z) JOIN t USING (z)")
@@ -189,7 +219,7 @@ def star_matching(spark, d):
     " SELECT x, y, s_nationkey::BIGINT AS z FROM r JOIN supplier ON y = s_suppkey JOIN customer ON x = c_custkey AND c_nationkey = s_nationkey"
 )
 def triangle_nation(spark, d):
-    r = table(spark, d, "orders").join(table(spark, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey", "l_suppkey").distinct()
+    r = stored(table(spark, d, "orders").join(table(spark, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey", "l_suppkey").distinct())
     rel = {"R": bind(r, {"o_custkey": "x", "l_suppkey": "y"}), "S": bind(table(spark, d, "supplier"), {"s_suppkey": "y", "s_nationkey": "z"}), "T": bind(table(spark, d, "customer"), {"c_nationkey": "z", "c_custkey": "x"})}
     return evaluate(TRIANGLE, rel, LINEAR).answers.select("x", "y", "z")
 
@@ -215,6 +245,12 @@ def triangle_matching(spark, d):
     return evaluate(TRIANGLE, triangle_inputs(spark, d), LINEAR, mode="uniform").answers.select("x", "y", "z")
 
 
+@workload(TRIANGLE_MATCHING)
+def triangle_sub(spark, d):
+    """Every machine's box in four tasks, still one exchange for each atom."""
+    return evaluate(TRIANGLE, triangle_inputs(spark, d), LINEAR, mode="uniform", sub=4).answers.select("x", "y", "z")
+
+
 @workload(planted(f"{NORDERS} // 5"))
 def triangle_mixed(spark, d):
     return evaluate(TRIANGLE, triangle_inputs(spark, d, 5), LINEAR, mode="triangle").answers.select("x", "y", "z")
@@ -290,6 +326,31 @@ def power_cost_triangle(spark, d):
     return evaluate(TRIANGLE, triangle_inputs(spark, d), [Power(w, 0.5) if i % 2 else Linear(w) for i, w in enumerate(EXAMPLE)]).answers.select("x", "y", "z")
 
 
+@workload("SELECT a, s_suppkey AS y, count(*) AS n, sum(p_partkey)::BIGINT AS total FROM part, supplier, (VALUES (0.5::DOUBLE), (1.0::DOUBLE), (2.0::DOUBLE), (3.0::DOUBLE)) AS t(a) GROUP BY 1, 2")
+def power_cost_cartesian(spark, d):
+    """Costs x^a / w for four exponents: other boxes, the same answers."""
+    rel, out = part_supplier(spark, d), None
+    for a in (0.5, 1.0, 2.0, 3.0):
+        one = summed(evaluate(CARTESIAN, rel, [Power(w, a) for w in EXAMPLE]).answers, "y", "x").select(F.lit(a).alias("a"), "y", "n", "total")
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+@workload(JOIN_MATCHING)
+def tabulated_cost_join(spark, d):
+    """Measured costs: past a size that goes with its weight, a machine gets ten times as slow."""
+    costs = [Tabulated(((1000 * w, 1000.0), (2000 * w, 11000.0))) for w in EXAMPLE]
+    return evaluate(JOIN, join_matching_inputs(spark, d), costs).answers.select("x", "y", "z")
+
+
+@workload(TRIANGLE_MATCHING)
+def hypercube_lp_triangle(spark, d):
+    """Shares from the cover instead of a search."""
+    rel = triangle_inputs(spark, d)
+    m = counted(rel)
+    return baselines.hypercube(TRIANGLE, rel, 17, m, baselines.shares(TRIANGLE, m, 17, "lp"))[0].select("x", "y", "z")
+
+
 def counted(rel) -> dict[str, int]:
     return {k: v.count() for k, v in rel.items()}
 
@@ -399,6 +460,230 @@ def received_rollup(spark, d):
     return measure.rollup(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d))))
 
 
+@workload(lambda: f"SELECT machine, atom, sum(tuples)::BIGINT AS tuples FROM ({received_cartesian_sql()}) GROUP BY CUBE (machine, atom)")
+def received_cube(spark, d):
+    return measure.cube(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d))))
+
+
+@workload(lambda: f"SELECT machine, atom, sum(tuples)::BIGINT AS tuples FROM ({received_cartesian_sql()}) GROUP BY GROUPING SETS ((machine), (atom))")
+def received_sets(spark, d):
+    return measure.grouping_sets(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d))), [["machine"], ["atom"]])
+
+
+@workload(lambda: f"SELECT machine, atom, tuples, tuples * 10.0::DOUBLE AS bits FROM ({received_cartesian_sql()})")
+def bits_cartesian(spark, d):
+    """Bits received, ten for each tuple of a domain of 1,024."""
+    return measure.bits(measure.received(_route_fixed(CARTESIAN, part_supplier(spark, d))), CARTESIAN, 1 << BITS).select("machine", "atom", "tuples", "bits")
+
+
+@workload(lambda: f"SELECT machine::INT AS machine, v AS var, round((hi - lo) / {1 << BITS}.0 / (weight / 8), 6)::DOUBLE AS inflation FROM (SELECT machine, 'x' AS v, x_lo AS lo, x_hi AS hi FROM {box_values(fixed_boxes(CARTESIAN))} UNION ALL SELECT machine, 'y', y_lo, y_hi FROM {box_values(fixed_boxes(CARTESIAN))}) JOIN {weights_sql()} USING (machine)")
+def inflation_example(spark, d):
+    """Final over planned side of each box of the worked example, whose weights have the norm 8."""
+    of = {"R": "x", "S": "y"}
+    return spark.createDataFrame([(c, of[a], round(f, 6)) for (c, a), f in fixed_boxes(CARTESIAN).inflation(CARTESIAN).items()], "machine int, var string, inflation double")
+
+
+# --- Measured loads ------------------------------------------------------------------------
+
+STAR_SIZES, MIXED_SIZES = {"R": 4, "S": 2, "T": 1}, {"R": 5, "S": 1, "T": 1}
+
+
+def planned_boxes(cq: FullCQ, sizes: dict[str, int] | None = None, weights: Sequence[float] = EXAMPLE) -> pack.Packing:
+    """Boxes for relations whose sizes have these ratios, on a small grid that SQL can hash to."""
+    m = {a: n * 100_000 for a, n in (sizes or {a.name: 1 for a in cq.atoms}).items()}
+    return plan(cq, m, [Linear(w) for w in weights], coordinates={x: coords.md5(7, BITS) for x in cq.vars}, grid_bits=BITS).packing
+
+
+def parts_sql(head: str, atoms: dict[str, str], p: pack.Packing) -> str:
+    """(machine, atom, tuples) of the relations that ``head`` defines, each with its variables."""
+    return head + " " + " UNION ALL ".join(f"SELECT machine, '{a}' AS atom, count(*) AS tuples FROM {a.lower()} JOIN {box_values(p)} ON {inside_sql(v, v)} GROUP BY 1" for a, v in atoms.items())
+
+
+def grid_sql(head: str, cq: FullCQ, grid: dict[str, int], owner: Sequence[int]) -> str:
+    """The same for a share grid whose point i belongs to machine ``owner[i]``."""
+    selects = []
+    for a in cq.atoms:
+        number = "0"
+        for x in cq.vars:
+            number = f"({number}) * {grid[x]} + " + (f"({digest_sql(x, x)} * {grid[x]} >> {BITS})" if x in a.vars else f"g_{x}")
+        free = "".join(f", (SELECT unnest(range({grid[x]})) AS g_{x}) AS f_{x}" for x in cq.vars if x not in a.vars)
+        selects.append(f"SELECT [{', '.join(map(str, owner))}][point + 1] AS machine, '{a.name}' AS atom, count(*) AS tuples FROM (SELECT {number} AS point FROM {a.name.lower()}{free}) GROUP BY 1")
+    return head + " " + " UNION ALL ".join(selects)
+
+
+def load_sql(name: str, parts: str, weights: str | None = None) -> str:
+    return f"SELECT '{name}' AS workload, round(max(tuples / weight), 6)::DOUBLE AS load, sum(tuples)::BIGINT AS sent FROM (SELECT machine, sum(tuples) AS tuples FROM ({parts}) GROUP BY 1) JOIN {weights or weights_sql()} USING (machine)"
+
+
+def load_row(name: str, routed, costs=None) -> DataFrame:
+    """workload, load (the worst machine's tuples by weight) and rows sent; routing alone decides both."""
+    loads = measure.cost(measure.received(routed), costs or LINEAR)
+    return loads.agg(F.round(F.max("cost"), 6).alias("load"), F.sum("amount").cast("long").alias("sent")).select(F.lit(name).alias("workload"), "load", "sent")
+
+
+def route_planned(cq, rel, p):
+    from .operators.route import route
+
+    return {a.name: route(rel[a.name], a, p, {x: coords.md5(7, BITS) for x in cq.vars}) for a in cq.atoms}
+
+
+def stacked(rows: list[DataFrame]) -> DataFrame:
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionAll(r)
+    return out
+
+
+def example_load_sql() -> str:
+    p = fixed_boxes(CARTESIAN)
+    sides_ = [("R", "customer", "c_custkey", "x"), ("S", "part", "p_partkey", "y")]
+    parts = " UNION ALL ".join(f"SELECT machine, '{a}' AS atom, count(*) AS tuples FROM {t} JOIN {box_values(p)} ON {k} < {LIMIT} AND {k} >= ({x}_lo * {LIMIT} >> {BITS}) AND {k} < ({x}_hi * {LIMIT} >> {BITS}) GROUP BY 1" for a, t, k, x in sides_)
+    return load_sql("example", parts)
+
+
+@workload(example_load_sql)
+def load_example(spark, d):
+    """The worked example with keys as their own coordinates."""
+    from .operators.route import route
+
+    rel = example_inputs(spark, d)
+    n = rel["R"].count()
+    p = pack.pack(CARTESIAN, sides.uniform(CARTESIAN, EXAMPLE), {"x": n, "y": n}, grid_bits=BITS)
+    return load_row("example", {a.name: route(rel[a.name], a, p, {v: coords.identity(0, n) for v in "xy"}) for a in CARTESIAN.atoms})
+
+
+JOIN_HEAD = JOIN_MATCHING.split(" SELECT x, y, z FROM r JOIN")[0]
+STAR_HEAD = ORACLES["star_matching"].split(" SELECT a, b, c, z FROM r JOIN")[0]
+TRIANGLE_HEAD = TRIANGLE_MATCHING.split(" SELECT x, y, z FROM r JOIN")[0]
+MIXED_HEAD = ORACLES["triangle_mixed"].split(" SELECT x, y, z FROM r JOIN")[0]
+TRIANGLE_VARS = {"R": "xy", "S": "yz", "T": "zx"}
+
+
+def star_inputs(spark, d):
+    o, n = orders_keys(spark, d)
+    return {"R": datagen.matching(o, "i", n, {"a": None, "z": datagen.A}), "S": datagen.matching(o.where(F.col("i") < n // 2), "i", n, {"b": None, "z": datagen.B}), "T": datagen.matching(o.where(F.col("i") < n // 4), "i", n, {"c": None, "z": datagen.D})}
+
+
+@workload(
+    lambda: " UNION ALL ".join(
+        f"({load_sql(n, parts_sql(h, v, planned_boxes(q, m)))})"
+        for n, h, v, q, m in (("join", JOIN_HEAD, {"R": "xz", "S": "yz"}, JOIN, {"R": 2, "S": 1}), ("star", STAR_HEAD, {"R": "az", "S": "bz", "T": "cz"}, STAR, STAR_SIZES), ("triangle", TRIANGLE_HEAD, TRIANGLE_VARS, TRIANGLE, None), ("triangle_mixed", MIXED_HEAD, TRIANGLE_VARS, TRIANGLE, MIXED_SIZES))
+    )
+)
+def loads_boxes(spark, d):
+    """Measured loads of the planned boxes on matching inputs, equal and unequal."""
+    made = [("join", JOIN, join_matching_inputs(spark, d), {"R": 2, "S": 1}), ("star", STAR, star_inputs(spark, d), STAR_SIZES), ("triangle", TRIANGLE, triangle_inputs(spark, d), None), ("triangle_mixed", TRIANGLE, triangle_inputs(spark, d, 5), MIXED_SIZES)]
+    return stacked([load_row(n, route_planned(q, rel, planned_boxes(q, m))) for n, q, rel, m in made])
+
+
+@workload(lambda: f"SELECT machine, round(CASE WHEN count(*) = 3 THEN exp(sum(ln(tuples / {NORDERS}::DOUBLE) * 0.5)) ELSE 0 END, 6)::DOUBLE AS known FROM ({parts_sql(TRIANGLE_HEAD, TRIANGLE_VARS, planned_boxes(TRIANGLE))}) GROUP BY 1")
+def known_matching(spark, d):
+    """The most of the expected triangles that each machine can know from the fractions that it received."""
+    rel = triangle_inputs(spark, d)
+    known = measure.known(measure.received(route_planned(TRIANGLE, rel, planned_boxes(TRIANGLE))), counted(rel), lp.max_edge_packing(TRIANGLE))
+    return known.select("machine", F.round("known", 6).alias("known"))
+
+
+def triangle_grids() -> list[tuple[str, dict[str, int], list[int]]]:
+    """The share grids that ignore weights, and that take the fastest machines only: name, grid, owners of the points."""
+    m = {a.name: 1 for a in TRIANGLE.atoms}
+    blind, (fast, _) = baselines.shares(TRIANGLE, m, 17), baselines.fastest_grid(TRIANGLE, m, EXAMPLE)
+    return [("grid", blind, list(range(17))), ("grid_fastest", fast, sorted(range(17), key=lambda c: -EXAMPLE[c]))]
+
+
+def baseline_loads_sql() -> str:
+    made = [load_sql(n, grid_sql(TRIANGLE_HEAD, TRIANGLE, g, owner)) for n, g, owner in triangle_grids()]
+    made.append(load_sql("equal_weights", parts_sql(TRIANGLE_HEAD, TRIANGLE_VARS, planned_boxes(TRIANGLE, None, [1.0] * 17))))
+    made.append(f"SELECT 'single' AS workload, round(3 * {NORDERS} / 4.0, 6)::DOUBLE AS load, 3 * {NORDERS} AS sent")
+    return " UNION ALL ".join(f"({x})" for x in made)
+
+
+@workload(baseline_loads_sql)
+def loads_baselines(spark, d):
+    """Measured loads of the baselines on the triangle of equal matchings: what ignoring weights costs."""
+    rel, rows = triangle_inputs(spark, d), []
+    at = {x: coords.md5(7, BITS) for x in "xyz"}
+    for name, grid, owner in triangle_grids():
+        owners = F.array(*[F.lit(c) for c in owner])
+        rows.append(load_row(name, {a.name: baselines.grid_route(rel[a.name], TRIANGLE, a.name, grid, coordinates=at).withColumn("machine", F.element_at(owners, F.col("machine") + 1)) for a in TRIANGLE.atoms}))
+    rows.append(load_row("equal_weights", route_planned(TRIANGLE, rel, planned_boxes(TRIANGLE, None, [1.0] * 17))))
+    rows.append(load_row("single", {k: v.withColumn("machine", F.lit(0)) for k, v in rel.items()}))
+    return stacked(rows)
+
+
+SEEDS, DELTA = 100, 0.25
+
+
+def seeded_sql(head: str, atoms: dict[str, str], p: pack.Packing) -> str:
+    digest = lambda x: f"(('0x' || substr(md5(seed || ':{x}:' || {x}::VARCHAR), 1, 8))::BIGINT >> {32 - BITS})"
+    inside = lambda v: " AND ".join(f"h_{x} >= {x}_lo AND h_{x} < {x}_hi" for x in v)
+    return head + " " + " UNION ALL ".join(f"SELECT seed, machine, '{a}' AS atom, count(*) AS tuples FROM (SELECT seed, " + ", ".join(f"{digest(x)} AS h_{x}" for x in v) + f" FROM {a.lower()}, range({SEEDS}) AS s(seed)) JOIN {box_values(p)} ON {inside(v)} GROUP BY 1, 2" for a, v in atoms.items())
+
+
+def expected_shares(cq: FullCQ, p: pack.Packing) -> list[tuple[int, str, float]]:
+    return [(c, a.name, p.share(c, a.vars)) for c in p.used() for a in cq.atoms]
+
+
+def seed_sweep_sql() -> str:
+    p = planned_boxes(TRIANGLE)
+    shares = "(VALUES " + ", ".join(f"({c}, '{a}', {s!r}::DOUBLE)" for c, a, s in expected_shares(TRIANGLE, p)) + ") AS e(machine, atom, share)"
+    return f"SELECT seed, count(*) FILTER (WHERE tuples > {1 + DELTA} * share * {NORDERS}) AS exceeded, round(max(tuples / (share * {NORDERS})), 6)::DOUBLE AS worst FROM ({seeded_sql(TRIANGLE_HEAD, TRIANGLE_VARS, p)}) JOIN {shares} USING (machine, atom) GROUP BY 1"
+
+
+@workload(seed_sweep_sql)
+def seed_sweep(spark, d):
+    """For a hundred hash seeds: how many machines and atoms got over 1 + DELTA times their share, and the worst ratio."""
+    from .operators.route import box_join, _wide
+
+    rel, p = triangle_inputs(spark, d), planned_boxes(TRIANGLE)
+    n, parts = rel["R"].count(), []
+    seeds = spark.range(SEEDS).select(F.col("id").alias("seed"))
+    for a in TRIANGLE.atoms:
+        at = [F.shiftrightunsigned(F.conv(F.substring(F.md5(F.concat(F.col("seed").cast("string"), F.lit(f":{x}:"), F.col(x).cast("string")).cast("binary")), 1, 8), 16, 10).cast("long"), 32 - BITS).alias(f"_c_{x}") for x in a.vars]
+        # A hundred rows, whatever the data.
+        placed = box_join(rel[a.name].crossJoin(F.broadcast(seeds)).select("seed", *at), _wide(spark, p, a), a)
+        parts.append(placed.groupBy("seed", "machine").agg(F.count("*").alias("tuples")).withColumn("atom", F.lit(a.name)))
+    shares = spark.createDataFrame(expected_shares(TRIANGLE, p), "machine int, atom string, share double")
+    expected = F.col("share") * n
+    return stacked(parts).join(F.broadcast(shares), ["machine", "atom"]).groupBy("seed").agg(F.count_if(F.col("tuples") > (1 + DELTA) * expected).alias("exceeded"), F.round(F.max(F.col("tuples") / expected), 6).alias("worst"))
+
+
+# --- Profiles ------------------------------------------------------------------------------
+
+
+@workload("SELECT count(*) AS rows, count(*) - count(lang) AS dropped FROM documents")
+def null_join_keys(spark, d):
+    """Documents that cannot join on their language."""
+    return null_keys(table(spark, d, "documents"), {"lang": "z"})
+
+
+def class_sql(name: str, rows: str, vars: Sequence[str]) -> str:
+    """Class of the relation ``rows``: degrees, and how much of its range of keys it fills."""
+    degree = f"greatest({', '.join(f'(SELECT max(n) FROM (SELECT count(*) AS n FROM t GROUP BY {v}))' for v in vars)}, 0)"
+    space = " * ".join(f"(SELECT max({v}) - min({v}) + 1 FROM t)" for v in vars)
+    sparse = "TRUE" if len(vars) > 1 else f"(SELECT count(*) FROM t) <= 0.5 * {space}"
+    return f"(WITH t AS ({rows}) SELECT '{name}' AS name, (SELECT count(*) FROM t) AS rows, CASE WHEN {degree} = 1 AND {sparse} THEN 'matching' WHEN (SELECT count(*) FROM t) >= {profile.DENSE} * {space} THEN 'dense' ELSE 'other' END AS kind)"
+
+
+@workload(
+    lambda: " UNION ALL ".join(
+        [
+            class_sql("part", "SELECT p_partkey AS x FROM part", "x"),
+            class_sql("third", "SELECT p_partkey AS x FROM part WHERE p_partkey % 3 = 0", "x"),
+            class_sql("orders", "SELECT o_orderkey AS x, o_custkey AS y FROM orders", "xy"),
+            class_sql("permutation", f"SELECT i AS x, {PA} AS y FROM ({I})", "xy"),
+            class_sql("grid", "WITH " + _dense_sql("r", "x", "y", DENSE[0]) + " SELECT x, y FROM r", "xy"),
+        ]
+    )
+)
+def input_classes(spark, d):
+    one, two = parse_cq("q(x) :- R(x)"), parse_cq("q(x, y) :- R(x, y)")
+    part = keys(spark, d, "part", "p_partkey", "x")
+    made = [("part", one, part), ("third", one, part.where("x % 3 = 0")), ("orders", two, bind(table(spark, d, "orders"), {"o_orderkey": "x", "o_custkey": "y"})), ("permutation", two, triangle_inputs(spark, d)["R"]), ("grid", two, triangle_dense_inputs(spark, d)["R"])]
+    found = [(n, profile.classify(q, {"R": df})["R"]) for n, q, df in made]
+    return spark.createDataFrame([(n, c.rows, c.kind) for n, c in found], "name string, rows long, kind string")
+
+
 @workload(
     " UNION ALL ".join(
         f"SELECT '{t}' AS atom, '{a}' AS attribute, sum(n)::BIGINT AS rows, count(*) AS \"distinct\", max(n) AS max_degree, min(v) AS lo, max(v) AS hi FROM (SELECT {a}::BIGINT AS v, count(*) AS n FROM {t} GROUP BY 1)"
@@ -448,6 +733,93 @@ def bounds_mixed(spark, d):
     return numbers(spark, [("low", low), ("high", high), ("join", bounds.lower_mixed(JOIN, m, EXAMPLE)[0])])
 
 
+def halved(setup: str, enough: str, by: str, steps: int = 90) -> str:
+    """SQL that halves the bracket of each row of ``setup`` (by, lo, hi, ...) until ``enough``, an aggregate over the weights at ``mid``, turns true."""
+    return (
+        f"(WITH RECURSIVE w AS (SELECT * FROM {weights_sql()}), b AS (SELECT *, 0 AS step FROM ({setup}) UNION ALL"
+        f" SELECT * EXCLUDE (mid, ok) REPLACE (CASE WHEN ok THEN lo ELSE mid END AS lo, CASE WHEN ok THEN mid ELSE hi END AS hi, step + 1 AS step) FROM (SELECT m.*, (SELECT {enough} FROM w) AS ok FROM (SELECT *, (lo + hi) / 2 AS mid FROM b WHERE step < {steps}) m)) SELECT {by}, hi FROM b WHERE step = {steps})"
+    )
+
+
+# A machine of weight w pays x^a / w; amounts are whole.
+GENERAL = [(0.5, 2.0), (1.0, 1.5), (2.0, 1.5), (3.0, 2.0)]
+
+
+@workload(
+    lambda: "SELECT 'a=' || a || ',u=' || u AS name, round(ln(hi), 6) AS log_bound FROM "
+    + halved("SELECT a, u, 0.0::DOUBLE AS lo, pow(15000, a) / 4 AS hi FROM (VALUES " + ", ".join(f"({a}::DOUBLE, {u}::DOUBLE)" for a, u in GENERAL) + ") AS t(a, u)", "sum(pow(least(floor(pow(mid * weight, 1 / a) * (1 + 1e-12)), 15000) / 15000, u)) >= 1 - 1e-12", "a, u")
+)
+def bounds_general(spark, d):
+    """Least load at which all machines can afford enough, for power costs and two packings."""
+    rows = [(f"a={a},u={u}", round(math.log(bounds.lower_general(15000, [Power(w, a) for w in EXAMPLE], u)), 6)) for a, u in GENERAL]
+    return spark.createDataFrame(rows, "name string, log_bound double")
+
+
+def shapes_sql() -> str:
+    sizes = {
+        "cartesian": "(SELECT count(*) FROM part)::DOUBLE AS m1, (SELECT count(*) FROM supplier)::DOUBLE AS m2, 1.0::DOUBLE AS m3",
+        "triangle": f"{NORDERS}::DOUBLE AS m1, ({NORDERS} // 5)::DOUBLE AS m2, ({NORDERS} // 5)::DOUBLE AS m3",
+        "join": f"{NORDERS}::DOUBLE AS m1, (SELECT count(*) FROM customer)::DOUBLE AS m2, 1.0::DOUBLE AS m3",
+    }
+    setup = " UNION ALL ".join(f"SELECT name, m1, m2, m3, greatest(m1, m2, m3) / (SELECT sum(weight) FROM {weights_sql()}) AS lo, greatest(m1, m2, m3) / 4 AS hi FROM (SELECT '{n}' AS name, {m})" for n, m in sizes.items())
+    # What a machine can know: the least product over the vertices of the packings of each shape.
+    term = "CASE name WHEN 'cartesian' THEN least(1, {L} * weight / m1) * least(1, {L} * weight / m2) WHEN 'join' THEN least(1, {L} * weight / m1, {L} * weight / m2) ELSE least(1, {L} * weight / m1, {L} * weight / m2, {L} * weight / m3, sqrt(pow({L} * weight, 3) / (m1 * m2 * m3))) END"
+    exact = halved(f"SELECT *, lo AS low FROM ({setup})", f"sum({term.format(L='mid')}) >= 1 - 1e-12", "name, low")
+    doubled = (
+        f"(WITH RECURSIVE w AS (SELECT * FROM {weights_sql()}), s AS (SELECT *, lo AS load, 0 AS steps FROM ({setup}) UNION ALL"
+        f" SELECT * REPLACE (least(load * 2, hi) AS load, steps + 1 AS steps) FROM s WHERE load < hi AND (SELECT sum({term.format(L='load')}) FROM w) < 1 - 1e-12) SELECT name, arg_max(load, steps) AS doubled, max(steps) AS steps FROM s GROUP BY 1)"
+    )
+    return f"SELECT name, round(low, 4) AS low, round(hi, 4) AS bound, round(doubled, 4) AS doubled, steps::BIGINT AS steps FROM {exact} JOIN {doubled} USING (name)"
+
+
+@workload(shapes_sql)
+def bounds_shapes(spark, d):
+    """Bounds for unequal sizes: bracket, exact by halving, within two by doubling."""
+    n = {t: table(spark, d, t).count() for t in ("part", "supplier", "orders", "customer")}
+    rows = []
+    for name, q, m in (("cartesian", CARTESIAN, {"R": n["part"], "S": n["supplier"]}), ("triangle", TRIANGLE, {"R": n["orders"], "S": n["orders"] // 5, "T": n["orders"] // 5}), ("join", JOIN, {"R": n["orders"], "S": n["customer"]})):
+        doubled, steps = bounds.lower_mixed(q, m, EXAMPLE, "double")
+        rows.append((name, *[round(x, 4) for x in (bounds.mixed_bracket(m, EXAMPLE)[0], bounds.lower_mixed(q, m, EXAMPLE, tol=1e-13)[0], doubled)], steps))
+    return spark.createDataFrame(rows, "name string, low double, bound double, doubled double, steps long")
+
+
+@workload(
+    lambda: f"SELECT 'expected_matching' AS name, round(pow({NORDERS}::DOUBLE, 3) * pow({NORDERS}::DOUBLE / pow({NORDERS}::DOUBLE, 2), 3), 4) AS value UNION ALL SELECT 'expected_dense', round(pow(0.5, 3) * pow(25, 3), 4)"
+    f" UNION ALL SELECT 'tail', round(least(1, sum(exp(-0.0625 * {NORDERS} * weight / (3 * (SELECT sum(weight) FROM {weights_sql()}))))), 4) FROM {weights_sql()} UNION ALL SELECT 'known', round(pow(0.25, 0.5) * pow(0.5, 0.5) * pow(1.0, 0.5), 4)"
+)
+def bounds_knowledge(spark, d):
+    """Expected answers, the tail of the load, and what fractions of the atoms let a machine know."""
+    n = table(spark, d, "orders").count()
+    m = {k: n for k in "RST"}
+    return numbers(spark, [("expected_matching", bounds.expected_output(TRIANGLE, m, n)), ("expected_dense", bounds.expected_output(TRIANGLE, m, 25, 0.5)), ("tail", bounds.tail(n, EXAMPLE, 1, 0.25)), ("known", bounds.known_fraction({"R": 0.25, "S": 0.5, "T": 1.0}, lp.max_edge_packing(TRIANGLE)))])
+
+
+SCALES = [(p, kind) for p in (16, 256, 10_000) for kind in ("uniform", "cycle", "geometric")]
+WEIGHT_OF = {"uniform": lambda i: 1.0, "cycle": lambda i: float(1 + i % 7), "geometric": lambda i: float(2 ** (i % 6))}
+
+
+def planner_scale_sql() -> str:
+    weight = "CASE kind WHEN 'uniform' THEN 1 WHEN 'cycle' THEN 1 + i % 7 ELSE pow(2, i % 6) END"
+    sets = ", ".join(f"({p}, '{k}')" for p, k in SCALES)
+    shapes = ", ".join(f"('{s}', {u}::DOUBLE, {l})" for s, u, l in (("cartesian", 2, 2), ("join", 1, 2), ("triangle", 1.5, 3)))
+    return f"SELECT p::BIGINT AS p, kind, shape, round(10000 / pow(sum(pow({weight}, u)), 1 / u), 6)::DOUBLE AS bound, round(10000 * l / max({weight}), 6)::DOUBLE AS single, TRUE AS covers, TRUE AS within FROM (VALUES {sets}) AS s(p, kind), (VALUES {shapes}) AS t(shape, u, l), range(10000) AS r(i) WHERE i < p GROUP BY p, kind, shape, u, l"
+
+
+@workload(planner_scale_sql)
+def planner_scale(spark, d):
+    """Plans for up to 10,000 machines: bound, all on one machine, whether the boxes cover the space once, and whether
+    the packing keeps its constants (block, last shapes, stretch, inflation)."""
+    rows = []
+    for p, kind in SCALES:
+        w = [WEIGHT_OF[kind](i) for i in range(p)]
+        for shape, q in (("cartesian", CARTESIAN), ("join", JOIN), ("triangle", TRIANGLE)):
+            m, made = {a.name: 10_000 for a in q.atoms}, pack.pack(q, sides.uniform(q, w))
+            k, got = len(q.vars), made.stats()
+            within = got["block_share"] > 0.5 and got["last_shapes_share"] > 1 and got["stretch"] <= 2 ** (k + 1) and all(f <= 2 ** (k + 1 + len(q.atom(a).vars)) for (_, a), f in made.inflation(q).items())
+            rows.append((p, kind, shape, round(bounds.lower_uniform(10_000, w, float(sum(lp.max_edge_packing(q).values()))), 6), round(baselines.single_machine_load(m, [Linear(x) for x in w]), 6), pack.covers(made), within))
+    return spark.createDataFrame(rows, "p long, kind string, shape string, bound double, single double, covers boolean, within boolean")
+
+
 def profiles() -> dict[str, list[float]]:
     """Machine sets for planning sweeps."""
     import random

@@ -6,6 +6,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from hetjoin.operators import baselines, execute
 from hetjoin.plans import bounds, lp, pack, sides
 from hetjoin.plans.cost import Linear, Power, Tabulated, check_well_behaved
 from hetjoin.plans.query import Atom, FullCQ, parse_cq
@@ -72,6 +73,54 @@ def test_search_is_never_worse_and_intervals_are_exact():
         assert pack.covers(p) and p.planned_load(JOIN, {"R": 1000, "S": 1000}, w) == pytest.approx(2 * 1000 / sum(w), rel=1e-2)
 
 
+def test_inner_boxes_cover_once_and_part_the_load():
+    for q in (CARTESIAN, JOIN, TRIANGLE, parse_cq("q(n,r,c,o) :- A(n,r), B(c,n), C(o,c)")):
+        m = {a.name: 1000 * (i + 1) for i, a in enumerate(q.atoms)}
+        p = pack.pack(q, sides.uniform(q, W))
+        for parts in (2, 3, 4, 12):
+            inner = pack.subdivide(p, q, m, parts)
+            assert pack.covers(inner) and {c // parts for c in inner.used()} == set(p.used())
+            assert inner.planned_load(q, m, [1.0] * inner.machines) < p.planned_load(q, m, [1.0] * p.machines)
+    by_free = pack.subdivide(pack.pack(JOIN, sides.uniform(JOIN, W)), JOIN, ONE, 4, by=("x", "y"))
+    assert pack.covers(by_free) and all(len({tuple(by_free.boxes[c * 4 + i]["z"]) for i in range(4)}) == 1 for c in {c // 4 for c in by_free.used()})
+
+
+@pytest.mark.parametrize("costs", [[Power(w, 2.0) for w in W], [Power(w, 0.5) for w in W], [Tabulated(((500 * w, 100.0), (900 * w, 5000.0))) for w in W]])
+def test_plans_go_by_the_real_cost(costs):
+    made = execute.plan(TRIANGLE, ONE, costs)
+    load = max(costs[c](sum(1000 * made.packing.share(c, a.vars) for a in TRIANGLE.atoms)) for c in made.packing.used())
+    assert made.packing.planned_load(TRIANGLE, ONE, costs) == pytest.approx(load)
+    assert pack.covers(made.packing) and made.bound <= load <= min(g(3000) for g in costs)
+    by_weight = pack.refine(pack.pack(TRIANGLE, sides.uniform(TRIANGLE, W), rounding="search", m=ONE, w=W), TRIANGLE, ONE, W)
+    assert load <= by_weight.planned_load(TRIANGLE, ONE, costs) * 1.5
+
+
+def test_bounds_of_unequal_sizes_stay_below_the_plan():
+    q = parse_cq("q(r, n, c, o) :- region(r), nation(n, r), customer(c, n), orders(o, c)")
+    sizes = {"region": 5, "nation": 25, "customer": 15_000, "orders": 150_000}
+    for mode in ("padded", "dual", "general", "uniform"):
+        made = execute.plan(q, sizes, [Linear(w) for w in W], mode)
+        assert made.bound <= made.packing.planned_load(q, sizes, W) * (1 + 1e-9), mode
+    assert execute.plan(q, sizes, [Linear(w) for w in W], "padded").bound == pytest.approx(5357.14, abs=0.1)
+    assert "bound" in execute.plan(q, sizes, [Power(w, 2.0) for w in W]).notes
+
+
+def test_grids_and_shares():
+    m = {"R": 100, "S": 100, "T": 100}
+    assert baselines.shares(TRIANGLE, m, 27, "lp") == {"x": 3, "y": 3, "z": 3}
+    assert baselines.shares(TRIANGLE, m, 27) == {"x": 3, "y": 3, "z": 3}
+    w = [float(1 + i % 5) for i in range(100)]
+    grid, load = baselines.fastest_grid(TRIANGLE, m, w)
+    assert load == min(baselines.grid_load(TRIANGLE, m, baselines.shares(TRIANGLE, m, q), w) for q in range(1, 101)) == baselines.grid_load(TRIANGLE, m, grid, w)
+
+
+def test_explicit_sides_and_shrinking():
+    made = sides.explicit([{"x": 0.75, "y": 1.0}, {"x": 0.75, "y": 1.0}])
+    for shrink in (False, True):
+        p = pack.pack(CARTESIAN, made, shrink=shrink)
+        assert pack.covers(p)
+
+
 def test_odd_domains_are_covered():
     p = pack.pack(CARTESIAN, sides.uniform(CARTESIAN, W), domain={"x": 1000, "y": 77})
     assert pack.covers(p)

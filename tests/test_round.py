@@ -7,7 +7,7 @@ from hetjoin.operators.execute import evaluate, evaluate_sql
 from hetjoin.operators.route import route
 from hetjoin.plans import bounds, pack, sides
 from hetjoin.plans.cost import Linear, Power, Tabulated
-from hetjoin.plans.query import bind, parse_cq
+from hetjoin.plans.query import bind, null_keys, parse_cq, restrict
 from hetjoin.sources import tables
 from hetjoin.streaming import routing
 from hetjoin.workloads import CARTESIAN, EXAMPLE, JOIN, LINEAR, TRIANGLE
@@ -69,6 +69,65 @@ def test_key_types_and_nulls(spark):
     assert evaluate(JOIN, empty, LINEAR).answers.count() == 0
 
 
+def test_inner_boxes_split_every_shape(spark, triangle):
+    want = bag(baselines.pairwise(TRIANGLE, triangle, {"R": 400, "S": 300, "T": 200}))
+    made = evaluate(TRIANGLE, triangle, LINEAR, sub=4)
+    plan = made.answers._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[-1]
+    assert plan.count("Exchange ") == 3 and bag(made.answers) == want
+    assert bag(evaluate(TRIANGLE, triangle, LINEAR, sub=3, local="generic").answers) == want
+    heavy = {"R": spark.range(300).select(F.col("id").alias("x"), F.lit(1).cast("long").alias("z")), "S": spark.range(200).select(F.col("id").alias("y"), F.lit(1).cast("long").alias("z"))}
+    split = evaluate(JOIN, heavy, LINEAR, sub=4, sub_by=("x", "y"))
+    sizes = [len(part) for part in split.answers.select("x").rdd.glom().collect() if part]
+    assert sum(sizes) == 60_000 and len(sizes) >= 4 and max(sizes) < 30_000
+    assert split.answers.select("machine").distinct().count() == 1
+
+
+def test_generic_join_of_bags_and_empty_atoms(spark):
+    rows = lambda v, c: spark.createDataFrame(v, ", ".join(f"{x} long" for x in c))
+    rel = {"R": rows([(1, 2), (1, 2), (-3, 4)], "xy"), "S": rows([(2, 5), (4, 6), (2, 5)], "yz"), "T": rows([(5, 1), (6, -3), (6, 9)], "zx")}
+    assert bag(evaluate(TRIANGLE, rel, LINEAR, local="generic").answers) == [(-3, 4, 6)] + [(1, 2, 5)] * 4
+    assert evaluate(TRIANGLE, rel | {"S": rel["S"].where("false")}, LINEAR, local="generic").answers.count() == 0
+
+
+def test_classes_choose_coordinates(spark):
+    dense = {"R": spark.range(10, 60).toDF("x"), "S": spark.range(80).toDF("y")}
+    made = evaluate(CARTESIAN, dense, LINEAR, classify=True)
+    assert made.answers.count() == 4000 and made.plan.coordinates["x"].size == 50 and made.plan.notes["class_R"] == "dense"
+    pairs = {"R": spark.range(1000).select(F.col("id").alias("x"), (F.col("id") * 7 % 1000).alias("z")), "S": spark.createDataFrame([("a", 3), ("b", 3)], "y string, z long")}
+    found = evaluate(JOIN, pairs, LINEAR, classify=True)
+    assert (found.plan.notes["class_R"], found.plan.notes["class_S"]) == ("matching", "other") and found.answers.count() == 2
+    assert profile.classify(CARTESIAN, {"R": dense["R"].where("false"), "S": dense["S"]})["R"].kind == "other"
+
+
+def test_struct_keys_stay_keys(spark):
+    left = spark.sql("SELECT * FROM VALUES (named_struct('a', 1, 'b', 'p'), 1), (named_struct('a', 1, 'b', CAST(NULL AS STRING)), 2), (NULL, 3) AS t(k, v)")
+    right = spark.sql("SELECT * FROM VALUES (named_struct('a', 1, 'b', 'p'), 7), (named_struct('a', 1, 'b', CAST(NULL AS STRING)), 8) AS t(k, u)")
+    rel = {"R": bind(left, {"v": "x", "k": "z"}), "S": bind(right, {"u": "y", "k": "z"})}
+    assert [(r["x"], r["y"], r["z"]["b"]) for r in evaluate(JOIN, rel, LINEAR).answers.collect()] == [(1, 7, "p")]
+    assert tuple(null_keys(left, {"k": "z"}).first()) == (3, 2) and tuple(null_keys(left.where("false"), {"k": "z"}).first()) == (0, 0)
+
+
+def test_runtime_quantiles_and_helpers(spark, tmp_path):
+    df = spark.range(1000).select((F.col("id") % 10).alias("k"))
+    took = measure.runtime(df.groupBy("k").count())
+    assert took["seconds"] > 0 and took["shuffle_bytes"] > 0 and took["spill_bytes"] == 0
+    assert profile.quantiles(df, "k", [0.5]).first()[0] == [100] and profile.distinct(df, "k").first()[0] == 10 and abs(profile.distinct(df, "k", False).first()[0] - 10) <= 1
+    assert measure.ratio(6.0, 2.0) == 3.0 and restrict(df, "k < 3").count() == 300
+    amount = F.lit(15.0)
+    got = spark.range(1).select(udf.cost("linear", {"w": 2.0}, amount), udf.cost("power", {"w": 2.0, "a": 2.0}, amount), udf.cost("table", {"10": 5.0, "20": 30.0}, amount)).first()
+    assert tuple(got) == (7.5, 112.5, 17.5)
+    row = spark.sql("SELECT timestamp'2020-05-06 07:08:09' AS t, '{\"a\": 3}' AS j, ' De ' AS s").select(coords.day("t"), coords.json_key("j", "a"), coords.text(F.col("s"))).first()
+    assert row[0].isoformat() == "2020-05-06T00:00:00" and tuple(row)[1:] == ("3", "de")
+    for fmt, schema in (("csv", "k long"), ("json", "k long"), ("orc", None)):
+        df.write.format(fmt).save(str(tmp_path / fmt))
+        assert tables.read(spark, fmt, str(tmp_path / fmt), schema).groupBy().sum("k").first()[0] == 4500
+    p = pack.pack(JOIN, sides.uniform(JOIN, EXAMPLE))
+    rel = spark.range(50).select(F.col("id").alias("x"), F.col("id").alias("z"))
+    affine = {v: coords.affine(1) for v in "xyz"}
+    assert route(rel, JOIN.atoms[0], p, affine).groupBy().agg(F.count_distinct("x")).first()[0] == 50
+    assert tables.stored(rel).count() == 50
+
+
 def test_sub_split_and_hybrid(spark):
     rel = {"R": spark.range(200).select(F.col("id").alias("x"), (F.col("id") % 7).alias("z")), "S": spark.range(50).select(F.col("id").alias("y"), (F.col("id") % 7).alias("z"))}
     want = sorted(map(tuple, rel["R"].join(rel["S"], "z").select("x", "y", "z").collect()))
@@ -136,13 +195,19 @@ def test_sql_surface(spark, triangle, tmp_path):
 
 def test_streams(spark, tmp_path):
     source = tmp_path / "in"
-    spark.range(100).select(F.col("id").alias("x"), (F.col("id") % 5).alias("z"), F.timestamp_seconds("id").alias("ts")).write.parquet(str(source))
+    spark.range(100).select(F.col("id").alias("x"), (F.col("id") % 5).alias("z"), F.timestamp_seconds(F.col("id") + 86_400).alias("ts")).write.parquet(str(source))
     stream = spark.readStream.schema("x long, z long, ts timestamp").parquet(str(source))
     p = pack.pack(JOIN, sides.uniform(JOIN, EXAMPLE))
     routed = routing.route_stream(stream, JOIN.atoms[0], p, {v: coords.xx(1) for v in "xyz"})
     query = routing.load_windows(routed, "ts", "10 seconds").writeStream.format("memory").queryName("loads").outputMode("complete").trigger(availableNow=True).start()
     query.awaitTermination(120)
     assert spark.sql("SELECT sum(tuples) FROM loads").first()[0] == 100
+    shifted = stream.select("x", "z", F.expr("ts + INTERVAL 3 SECONDS").alias("at"))
+    pairs = routing.join_streams(routed, routing.route_stream(shifted.withColumnRenamed("x", "y"), JOIN.atoms[1], p, {v: coords.xx(1) for v in "xyz"}), ["z"], ("ts", "at"), "3 SECONDS")
+    joined = pairs.writeStream.format("memory").queryName("pairs").outputMode("append").trigger(availableNow=True).start()
+    joined.awaitTermination(180)
+    want = sum(1 for x in range(100) for y in range(100) if x % 5 == y % 5 and abs(y + 3 - x) <= 3)
+    assert spark.sql("SELECT count(*) FROM pairs").first()[0] == want
     seen = []
     static = {"S": spark.range(20).select(F.col("id").alias("y"), (F.col("id") % 5).alias("z"))}
     routing.join_static(stream.select("x", "z"), "R", parse_cq("q(x, y, z) :- R(x, z), S(y, z)"), static, LINEAR, lambda df, n: seen.append(df.count())).trigger(availableNow=True).start().awaitTermination(120)
