@@ -22,7 +22,7 @@ SKETCH, COMMON_SHARE, COMMON_LEAST, COMMON_MOST = 1 << 16, 2e-4, 24, 100_000
 
 
 def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
-    """A written row (doc_id, n, sid, bits, doc) for every document, and the sorted hashes of common shingles.
+    """A written row (doc_id, own, n, sid, bits, doc) for every document (``own`` is a hash of id and text), and the sorted hashes of common shingles.
 
     Of documents with equal words, a task gives ``bits`` to the first it meets, and as a rule to that only.
 
@@ -51,7 +51,7 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
             at = np.zeros(rows, np.int64)
             at[full] = np.arange(len(full))
             seen += rows
-            yield to_batch({"doc_id": batch.column(0), "n": pa.array(n), "sid": pa.array(sid, mask=none), "bits": packed_bitmaps(values, starts, sizes, fresh).take(pa.array(at, mask=none)), "seen": pa.nulls(rows, pa.int64())})
+            yield to_batch({"doc_id": batch.column(0), "own": batch.column(2), "n": pa.array(n), "sid": pa.array(sid, mask=none), "bits": packed_bitmaps(values, starts, sizes, fresh).take(pa.array(at, mask=none)), "seen": pa.nulls(rows, pa.int64())})
             if len(values):
                 new, how_many = np.unique(values[first_of_equal(values, starts)], return_counts=True)
                 merged, inverse = np.unique(np.concatenate([keys, new]), return_inverse=True)
@@ -62,10 +62,10 @@ def sets(docs: DataFrame) -> tuple[DataFrame, np.ndarray]:
                 keys, counts = merged[total > 0], total[total > 0]
         often = counts >= max(4, seen * COMMON_SHARE / 2)
         k = int(often.sum())
-        yield to_batch({"doc_id": pa.nulls(k, pa.int64()), "n": pa.nulls(k, pa.int64()), "sid": pa.array(keys[often].view(np.int64)), "bits": pa.nulls(k, pa.binary()), "seen": pa.array(counts[often], pa.int64())})
+        yield to_batch({"doc_id": pa.nulls(k, pa.int64()), "own": pa.nulls(k, pa.int64()), "n": pa.nulls(k, pa.int64()), "sid": pa.array(keys[often].view(np.int64)), "bits": pa.nulls(k, pa.binary()), "seen": pa.array(counts[often], pa.int64())})
 
-    both = written(arrow_map(docs.select("doc_id", "text"), run, "doc_id long, n long, sid long, bits binary, seen long"), "sets")
-    rows = both.where("seen is null").select("doc_id", "n", "sid", "bits", F.xxhash64("doc_id").alias("doc"))
+    both = written(arrow_map(docs.select("doc_id", "text", F.xxhash64("doc_id", "text")), run, "doc_id long, own long, n long, sid long, bits binary, seen long"), "sets")
+    rows = both.where("seen is null").select("doc_id", "own", "n", "sid", "bits", F.xxhash64("doc_id").alias("doc"))
     least = max(COMMON_LEAST, int(rows.count() * COMMON_SHARE))
     common = both.where("seen is not null").groupBy("sid").agg(F.sum("seen").alias("seen")).where(F.col("seen") >= least).orderBy(F.desc("seen"), "sid").limit(COMMON_MOST).toArrow()
     return rows, np.sort(common["sid"].to_numpy().astype(np.int64).view(np.uint64))
@@ -123,19 +123,43 @@ def texts_of(docs: DataFrame):
     return give
 
 
-def join(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles and component_id (smallest doc_id that links reach) for every row.
-
-    Texts without words have no shingles and are alone; equal texts are linked. Rows that
-    repeat an id come out as often; a null id never names a component unless nothing else can.
-    """
+def _linked(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Rows of :func:`sets`, and (sid, root, component_id) of every class of equal texts."""
     rows, common = sets(docs)
     classes = written(rows.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("least"), F.min("doc").alias("doc"), F.first("n").alias("n"), F.first("bits", True).alias("bits")), "classes")
     owners = classes.select("sid", "doc", "n", "bits", F.col("doc").alias("where"))
-    keys = written(shared_keys(prefixes(docs, common), by_size=True), "shared-keys")
+    keys = written(shared_keys(prefixes(docs, common)), "shared-keys")
     roots = linked_classes(keys, owners, texts_of(docs))
     rooted = classes.select("sid", "least").join(roots.select(F.col("id").alias("sid"), "root"), "sid", "left").withColumn("root", F.coalesce("root", "sid"))
-    named = written(rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("sid", "component_id"), "named-classes")
+    named = written(rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("sid", "root", "component_id"), "named-classes")
     discard(classes, roots)
+    return rows, named
+
+
+def join(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles and component_id (smallest doc_id that links reach) for every row.
+
+    Texts without words (null, empty, white space) have no shingles and are alone; equal texts are
+    linked. Rows that repeat an id come out as often; a null id never names a component unless
+    nothing else can. An empty table gives no rows; other columns of the input play no part. A
+    text of any length is one set.
+    """
+    rows, named = _linked(docs)
     full = rows.where("sid is not null").join(named, "sid").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     return full.unionAll(rows.where("sid is null").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id")))
+
+
+def one_of_each(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` that stay when one row of each group linked by similarity does: that of the smallest id, then hash of its text.
+
+    Null ids come last. Of rows equal in id and text one stays; rows without words all do.
+    """
+    rows, named = _linked(docs)
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "own")).alias("first")
+    chosen = rows.where("sid is not null").join(named, "sid").groupBy("root").agg(first).select(F.col("first.own").alias("_own"), F.lit(False).alias("_all"))
+    kept = written(chosen.unionAll(rows.where("sid is null").select("own", F.lit(True)).distinct()), "kept-rows")
+    discard(rows, named)
+    marked = docs.select(*[docs[c].alias(f"_{i}") for i, c in enumerate(docs.columns)], F.xxhash64(docs["doc_id"], docs["text"]).alias("_own"))
+    # The join leaves rows of one document in one place, so no further exchange follows.
+    joined = marked.join(kept.hint("merge"), "_own").withColumn("_each", F.when(F.col("_all"), F.monotonically_increasing_id()).otherwise(F.lit(0).cast("long")))
+    return joined.dropDuplicates(["_own", "_each"]).select(*[F.col(f"_{i}").alias(c) for i, c in enumerate(docs.columns)])

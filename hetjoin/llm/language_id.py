@@ -14,10 +14,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .shared import arrow_map, small_batches, to_batch
 
-SYMBOLS, DIMENSIONS, SEED = 64, 1024, 20240
+SYMBOLS, DIMENSIONS, SEED, MOST_LANGUAGES = 64, 1024, 20240, 4096
 UNDETERMINED = "und"
 _SCALE, _TABLE_ROWS, _PIECE = 1 << 24, 16384, 1 << 20
 
@@ -82,7 +83,7 @@ def fit_prototypes(docs: DataFrame, dimensions: int = DIMENSIONS, seed: int = SE
     """Language prototypes from all rows of ``docs`` (columns text, lang) with both values present.
 
     Every task adds up its texts' trigram weights per language and turns them into vectors
-    once; only ``dimensions`` sums per language reach the driver. Sums are of integers, so
+    once; only ``dimensions`` sums per language reach the driver, and over ``MOST_LANGUAGES`` labels are refused. Sums are of integers, so
     the result does not depend on the order of rows. Texts without letters add nothing.
     """
 
@@ -107,21 +108,24 @@ def fit_prototypes(docs: DataFrame, dimensions: int = DIMENSIONS, seed: int = SE
                     hist[grams] += counts / np.sqrt((counts.astype(float) ** 2).sum())
         yield from out()
 
-    rows = arrow_map(docs.select("text", "lang").where("text is not null and lang is not null"), learn, "lang string, dim int, total long").groupBy("lang", "dim").agg(F.sum("total").alias("total")).collect()
+    rows = arrow_map(docs.select("text", "lang").where("text is not null and lang is not null"), learn, "lang string, dim int, total long").groupBy("lang", "dim").agg(F.sum("total").alias("total")).limit(MOST_LANGUAGES * dimensions + 1).collect()
+    if len(rows) > MOST_LANGUAGES * dimensions:
+        raise ValueError(f"over {MOST_LANGUAGES} different languages in the labels")
     found: dict[str, np.ndarray] = {}
     for r in rows:
         found.setdefault(r["lang"], np.zeros(dimensions))[r["dim"]] = r["total"]
     return {k: v / n for k, v in sorted(found.items()) if (n := np.linalg.norm(v)) > 0}
 
 
-def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str, ...] = ("doc_id",), body: str = "text", dimensions: int = DIMENSIONS, seed: int = SEED) -> DataFrame:
-    """Adds ``lang_pred`` and ``score`` to the columns ``keep``.
+def labelled(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str, ...], body: str = "text", dimensions: int = DIMENSIONS, seed: int = SEED) -> DataFrame:
+    """The columns ``keep`` as _0, _1, ..., with ``lang_pred`` and ``score``.
 
     ``und`` with score 0 where text is null or has no letter, or no prototype exists; equal
     cosines go to the alphabetically first language. Scores are cosines, negative ones 0.
     """
     names = sorted(prototypes)
     matrix = np.array([prototypes[k] for k in names]) if names else np.zeros((0, dimensions))
+    at = keep.index(body) if body in keep else len(keep)
 
     def label(batches):
         vectors = TrigramVectors(dimensions, seed)
@@ -140,12 +144,14 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str,
             kept = {f"_{i}": batch.column(i) for i in range(len(keep))}
             yield to_batch(kept | {"lang_pred": pa.array(langs, pa.string()), "score": pa.array(scores, pa.float64())})
 
-    # Columns that are called like the results travel under other names, and the results win.
-    at = keep.index(body) if body in keep else len(keep)
-    chosen = docs.select(*[F.col(f"`{k}`").alias(f"_{i}") for i, k in enumerate(keep)], *([F.col(body)] if at == len(keep) else []))
-    fields = ", ".join(f"_{i} {chosen.schema[i].dataType.simpleString()}" for i in range(len(keep)))
-    labelled = arrow_map(chosen, label, f"{fields}, lang_pred string, score double")
-    return labelled.select(*[F.col(f"_{i}").alias(k) for i, k in enumerate(keep) if k not in ("lang_pred", "score")], "lang_pred", "score")
+    chosen = docs.select(*[docs[k].alias(f"_{i}") for i, k in enumerate(keep)], *([docs[body]] if at == len(keep) else []))
+    return arrow_map(chosen, label, T.StructType([*chosen.schema.fields[: len(keep)], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
+
+
+def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: tuple[str, ...] = ("doc_id",), body: str = "text", dimensions: int = DIMENSIONS, seed: int = SEED) -> DataFrame:
+    """The columns ``keep`` with ``lang_pred`` and ``score`` of :func:`labelled`, which win over columns of these names."""
+    found = labelled(docs, prototypes, keep, body, dimensions, seed)
+    return found.select(*[F.col(f"_{i}").alias(k) for i, k in enumerate(keep) if k not in ("lang_pred", "score")], "lang_pred", "score")
 
 
 def held_out(docs: DataFrame):
@@ -154,7 +160,10 @@ def held_out(docs: DataFrame):
 
 
 def identify(docs: DataFrame) -> DataFrame:
-    """Learns from the documents that are not held out and labels all: doc_id, held_out, lang_pred, score."""
+    """Learns from the documents that are not held out and labels all: doc_id, held_out, lang_pred, score.
+
+    Texts of any length are read whole. An empty table gives no rows; other columns of the input play no part, whatever their names.
+    """
     prototypes = fit_prototypes(docs.where(~held_out(docs)))
     with_fold = docs.select("doc_id", held_out(docs).alias("held_out"), "text")
     return predict(with_fold, prototypes, keep=("doc_id", "held_out"))

@@ -208,7 +208,7 @@ def without_lines(docs: DataFrame, gone: DataFrame, span: int = SPAN) -> DataFra
     ``_text`` without the lines in ``gone``, and the names of that text's runs, each as often as stretches of runs have it."""
     same = docs["doc_id"].eqNullSafe(gone["_id"]) & (F.xxhash64(docs["text"]) == gone["_hash"])
     others = [docs[c].alias(f"_{i}") for i, c in enumerate(docs.columns) if c != "text"]
-    chosen = docs.join(gone, same, "left").select(*others, F.xxhash64(docs["doc_id"], docs["text"]).alias("_doc"), docs["doc_id"].alias("_id"), docs["text"].alias("_text"), "_gone", "_kept")
+    chosen = docs.join(gone.hint("merge"), same, "left").select(*others, F.xxhash64(docs["doc_id"], docs["text"]).alias("_doc"), docs["doc_id"].alias("_id"), docs["text"].alias("_text"), "_gone", "_kept")
     schema = T.StructType([*chosen.schema.fields, T.StructField("_names", T.ArrayType(T.LongType()))])
 
     def run(batches):
@@ -311,7 +311,7 @@ def _with_removed(docs: DataFrame, min_words: int, span: int = SPAN) -> DataFram
     discard(gone)
     kept = F.array_sort(F.array_distinct(F.concat(F.coalesce("_kept", F.array().cast("array<bigint>")), F.coalesce("_kept_runs", F.array().cast("array<bigint>")))))
     own = [f"_{i}" for i, c in enumerate(docs.columns) if c != "text"]
-    joined = texts.drop("_names", "_id").join(starts, "_doc", "left").select(*own, "_text", "_gone", kept.alias("_kept"), "_starts")
+    joined = texts.drop("_names", "_id").join(starts.hint("merge"), "_doc", "left").select(*own, "_text", "_gone", kept.alias("_kept"), "_starts")
     schema = T.StructType([*joined.schema.fields[:-1], T.StructField("_spans", T.StringType()), T.StructField("_n_cut", T.LongType())])
 
     def run(batches):

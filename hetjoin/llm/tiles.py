@@ -45,11 +45,11 @@ def band_of(n: np.ndarray) -> np.ndarray:
     return np.floor(np.log(np.maximum(n, 1)) / np.log(100 / PERCENT) + 1e-9).astype(np.int64)
 
 
-def shared_keys(rows: DataFrame, by_size: bool = False) -> DataFrame:
+def shared_keys(rows: DataFrame) -> DataFrame:
     """(key, band, sid, n) of the rows (key, sid, n) whose key two or more classes have, each with the first class of its key and band.
 
-    ``by_size`` bands classes by their sizes; else there is one band. A stream over rows sorted
-    by key holds one row at a time, whatever the length of a key's run.
+    A band holds classes of like size. A stream over rows sorted by key holds one row at a time,
+    whatever the length of a key's run.
     """
 
     def run(batches):
@@ -61,7 +61,7 @@ def shared_keys(rows: DataFrame, by_size: bool = False) -> DataFrame:
             key, sid, n = (np.asarray(batch.column(i)).astype(np.int64) for i in range(3))
             if not len(key):
                 continue
-            band = band_of(n) if by_size else np.zeros(len(key), np.int64)
+            band = band_of(n)
             before = [np.concatenate([[last[i]], c[:-1]]) for i, c in enumerate((key, band, sid))]
             new_key = key != before[0]
             new_band = new_key | (band != before[1])

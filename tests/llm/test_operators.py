@@ -8,7 +8,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from hetjoin.llm import bpe, html_content, jaccard_join, language_id, media_boxes, paragraph_dedup, projected_nn, secret_scan, slack_packing, token_file
+from hetjoin.llm import bpe, components, html_content, jaccard_join, language_id, media_boxes, paragraph_dedup, projected_nn, secret_scan, slack_packing, token_file
 from hetjoin.llm.tiles import bitmap, folded, may_be_similar, similar
 from hetjoin.llm.wordhash import shingle_set
 
@@ -254,6 +254,21 @@ def test_jaccard_join_with_shared_passages_and_large_groups(spark, seed):
     assert sorted(map(tuple, jaccard_join.join(docs_of(spark, rows)).collect()), key=str) == brute_components(rows)
 
 
+@pytest.mark.parametrize("local", [1 << 20, 40])
+def test_components_in_one_task_and_in_many(spark, local):
+    r = random.Random(local)
+    chain = [(i, i + 1) for i in range(200, 260)]
+    rows = [(r.randrange(-90, 90), r.randrange(-90, 90)) for _ in range(70)] + chain + [(500 + i, 777) for i in range(50)] + [(9, 9)]
+    group = {x: x for row in rows if row[0] != row[1] for x in row}
+    for _ in group:
+        for a, b in rows:
+            if a != b:
+                group[a] = group[b] = min(group[a], group[b])
+    got = components.components(spark.createDataFrame(rows, "a long, b long").repartition(6), local)
+    assert {x["id"]: x["root"] for x in got.collect()} == group and got.count() == len(group)
+    assert components.components(spark.createDataFrame([], "a long, b long"), local).count() == 0
+
+
 def test_bitmap_bound_never_rules_out_a_link():
     r = random.Random(7)
     for _ in range(200):
@@ -491,7 +506,15 @@ def test_pipeline_stages(spark, mixed, nothing):
         out = stage(spark, docs, "")
         assert out.columns == docs.columns, name
         assert out.count() <= docs.count() and stage(spark, nothing, "").count() == 0
-    kept = corpus_pipeline.drop_near_duplicates(spark, docs, "").select("doc_id").collect()
-    want = [r for r in brute_components(rows) if r[0] == r[2]]
-    assert sorted(str(r["doc_id"]) for r in kept) == sorted(str(r[0]) for r in want)
+    kept = corpus_pipeline.drop_near_duplicates(spark, docs, "").select("doc_id", "text").collect()
+    # One row of each group; of the rows that are equal in id and text, too. Rows without words all stay.
+    want = {r[0] for r in brute_components(rows) if r[0] == r[2]}
+    assert sorted(str(r["doc_id"]) for r in kept) == sorted(map(str, want))
+    again = docs_of(spark, [(1, "a b c d e f g", "en", "a"), (1, "other words stand in this text here", "en", "a"), (2, "other words stand in this text here", "en", "b"), (3, "a b c d e f g", "en", "b"), (3, "", "en", "b"), (3, "", "en", "b"), (4, "x y", "en", "b"), (4, "x y", "en", "b"), (None, "x y", "en", "b")])
+    left = [(r["doc_id"], r["text"]) for r in corpus_pipeline.drop_near_duplicates(spark, again, "").collect()]
+    assert sorted(left) == [(1, "a b c d e f g"), (1, "other words stand in this text here"), (3, ""), (3, ""), (4, "x y")]
+    scored = docs.withColumn("score", F.lit(7.5)).withColumn("lang_pred", F.lit("zz")).withColumn("_own", F.lit(3)).withColumn("_0", F.lit(4))
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        first = stage(spark, scored, "").select("score", "lang_pred", "_own", "_0").distinct().collect()
+        assert [tuple(x) for x in first] == [(7.5, "zz", 3, 4)], name
     assert corpus_pipeline.mask_secrets(spark, docs, "").where(F.length("text") != F.col("n_chars")).count() == 0
