@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hetjoin.llm import jaccard_join, language_id, paragraph_dedup, secret_scan, slack_packing
-from hetjoin.llm.shared import new_path
+from hetjoin.llm.shared import discard, written
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,14 +18,13 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     prototypes = language_id.fit_prototypes(docs.where(~language_id.held_out(docs)))
     if not prototypes:
         return docs.where(F.coalesce(F.col("text"), F.lit("")).rlike(r"\p{L}"))
-    labelled = language_id.predict(docs, prototypes, keep=tuple(docs.columns), body="text")
-    return labelled.where(F.col("lang_pred") != language_id.UNDETERMINED).select(*docs.columns)
+    found = language_id.labelled(docs, prototypes, keep=tuple(docs.columns)).where(F.col("lang_pred") != language_id.UNDETERMINED)
+    return found.select(*[F.col(f"_{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of smallest id of each group linked by similarity; of rows that repeat it, all that are equal in id."""
-    kept = jaccard_join.join(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    return docs.join(kept.withColumnRenamed("doc_id", "_kept"), docs["doc_id"].eqNullSafe(F.col("_kept")), "left_semi")
+    """Keeps one row of each group linked by similarity, that of the smallest id."""
+    return jaccard_join.one_of_each(docs)
 
 
 def cut_repeated_paragraphs(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,7 +56,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages on ``documents``; each but the last is written and read again."""
     docs = spark.read.parquet(f"{sf_dir.rstrip('/')}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        path = new_path(spark, f"stage-{name}")
-        stage(spark, docs, sf_dir).write.parquet(path)
-        docs = spark.read.parquet(path)
+        before, docs = docs, written(stage(spark, docs, sf_dir), f"stage-{name}")
+        discard(before)
     return STAGES[-1][1](spark, docs, sf_dir)
