@@ -13,6 +13,8 @@ from pyspark.sql import DataFrame
 from .shared import arrow_map, small_batches, to_batch
 
 FRAME, FRAMES_PER_CHUNK, RATE = 192, 64, 8000
+# Boxes nested deeper than this are not entered.
+DEEPEST = 32
 # Boxes that hold boxes, and the identity matrix of track and movie headers.
 CONTAINERS = {b"moov", b"trak", b"mdia", b"minf", b"stbl", b"dinf", b"edts", b"udta", b"mvex", b"moof", b"traf"}
 MATRIX = struct.pack(">9i", 0x10000, 0, 0, 0, 0x10000, 0, 0, 0, 0x40000000)
@@ -65,65 +67,97 @@ def build(payload: bytes) -> bytes:
     return b"".join([ftyp, moov(len(ftyp) + len(index) + head), box(b"mdat", payload)])
 
 
-def walk(data, start: int = 0, end: int | None = None, path: tuple[bytes, ...] = ()):
-    """Yields (path, body start, body end) of every box, depth first. Sizes past the end are cut to it."""
-    end = len(data) if end is None else end
-    while end - start >= 8:
+def walk(data):
+    """Yields (path, body start, body end) of every box, depth first. Sizes past the end are cut to it; a box that ends before its head does ends its level."""
+    todo: list[tuple[int, int, tuple[bytes, ...]]] = [(0, len(data), ())]
+    while todo:
+        start, end, path = todo.pop()
+        if end - start < 8:
+            continue
         size, kind = struct.unpack_from(">I4s", data, start)
         head = 8
         if size == 1 and end - start >= 16:
             size, head = struct.unpack_from(">Q", data, start + 8)[0], 16
         stop = end if size == 0 else min(end, start + size)
         if stop < start + head:
-            return
+            continue
         yield (*path, kind), start + head, stop
-        if kind in CONTAINERS:
-            yield from walk(data, start + head, stop, (*path, kind))
-        start = stop
+        todo.append((stop, end, path))
+        if kind in CONTAINERS and len(path) < DEEPEST:
+            todo.append((start + head, stop, (*path, kind)))
+
+
+def _entries(data: bytes, at: int, end: int, count: int, kind: str) -> np.ndarray:
+    """Up to ``count`` whole entries of a table that lies between ``at`` and ``end``."""
+    dtype = np.dtype(kind)
+    return np.frombuffer(data, dtype, max(0, min(count, (end - at) // dtype.itemsize)), min(at, len(data)))
 
 
 def probe(data: bytes) -> list[dict]:
-    """For each track: codec, time scale, duration, frame places and sync frames, from its sample tables."""
+    """For each track: codec, time scale, duration, frame places and sync frames, from its sample tables.
+
+    Of damaged files, what lies outside a table's box, or frames outside the file, count as absent.
+    """
     tracks: list[dict] = []
+    none = np.zeros(0, np.int64)
     for path, at, end in walk(data):
         kind = path[-1]
         if kind == b"trak":
-            tracks.append({"codec": "", "scale": 1, "duration": 0, "times": [], "sizes": np.zeros(0, np.int64), "chunks": np.zeros(0, np.int64), "runs": [], "sync": None})
+            tracks.append({"codec": "", "scale": 1, "duration": 0, "ticks": 0, "sizes": none, "chunks": none, "runs": none.reshape(0, 3), "sync": None})
         if not tracks or b"trak" not in path:
             continue
         t = tracks[-1]
         many = struct.unpack_from(">I", data, at + 4)[0] if end - at >= 8 else 0
-        if kind == b"mdhd":
+        if kind == b"mdhd" and end > at:
             wide = data[at] == 1
-            t["scale"], t["duration"] = struct.unpack_from(">IQ" if wide else ">II", data, at + (20 if wide else 12))
-        elif kind == b"stsd" and many:
+            if end - at >= (32 if wide else 20):
+                t["scale"], t["duration"] = struct.unpack_from(">IQ" if wide else ">II", data, at + (20 if wide else 12))
+                t["scale"] = max(1, t["scale"])
+        elif kind == b"stsd" and many and end - at >= 16:
             t["codec"] = data[at + 12 : at + 16].decode("latin-1")
         elif kind == b"stts":
-            t["times"] = [struct.unpack_from(">II", data, at + 8 + 8 * i) for i in range(many)]
+            pairs = _entries(data, at + 8, end, many, "(2,)>u4")
+            t["ticks"] = sum(int(n) * int(d) for n, d in pairs)
         elif kind == b"stsc":
-            t["runs"] = [struct.unpack_from(">III", data, at + 8 + 12 * i) for i in range(many)]
-        elif kind == b"stsz":
+            t["runs"] = _entries(data, at + 8, end, many, "(3,)>u4").astype(np.int64)
+        elif kind == b"stsz" and end - at >= 12:
             count = struct.unpack_from(">I", data, at + 8)[0]
-            t["sizes"] = np.full(count, many, np.int64) if many else np.frombuffer(data, ">u4", count, at + 12).astype(np.int64)
+            t["sizes"] = np.full(min(count, len(data) // many), many, np.int64) if many else _entries(data, at + 12, end, count, ">u4").astype(np.int64)
         elif kind in (b"stco", b"co64"):
-            t["chunks"] = np.frombuffer(data, ">u4" if kind == b"stco" else ">u8", many, at + 8).astype(np.int64)
+            t["chunks"] = np.minimum(_entries(data, at + 8, end, many, ">u4" if kind == b"stco" else ">u8"), np.uint64(len(data))).astype(np.int64)
         elif kind == b"stss":
-            t["sync"] = np.frombuffer(data, ">u4", many, at + 8).astype(np.int64) - 1
+            t["sync"] = _entries(data, at + 8, end, many, ">u4").astype(np.int64) - 1
     for t in tracks:
-        firsts = [r[0] for r in t["runs"]] + [len(t["chunks"]) + 1]
-        per_chunk = np.repeat([r[1] for r in t["runs"]], np.diff(firsts)).astype(np.int64) if t["runs"] else np.zeros(0, np.int64)
-        before = np.concatenate([[0], np.cumsum(t["sizes"])])
-        of = np.repeat(np.arange(len(per_chunk)), per_chunk)[: len(t["sizes"])]
-        starts = np.concatenate([[0], np.cumsum(per_chunk)])[:-1]
-        t["offsets"] = t["chunks"][of] + before[:-1][: len(of)] - before[np.minimum(starts, len(before) - 1)][of]
-        t["sync"] = np.arange(len(t["sizes"])) if t["sync"] is None else t["sync"]
-        t["ticks"] = sum(n * d for n, d in t["times"])
+        _place_frames(t, len(data))
     return tracks
 
 
+def _place_frames(t: dict, length: int) -> None:
+    """Adds the byte offset of each frame; frames without a chunk, or that end past the file, get no extent."""
+    runs, sizes, chunks = t["runs"], t["sizes"], t["chunks"]
+    # The number of frames of each chunk is that of the last run that begins at or before it.
+    order = np.argsort(runs[:, 0], kind="stable")
+    run = np.searchsorted(runs[order, 0], np.arange(1, len(chunks) + 1), side="right") - 1
+    per_chunk = np.where(run >= 0, runs[order, 1][np.maximum(run, 0)], 0) if len(runs) else np.zeros(len(chunks), np.int64)
+    ends = np.cumsum(np.minimum(per_chunk, len(sizes)))
+    frame = np.arange(len(sizes))
+    chunk = np.searchsorted(ends, frame, side="right")
+    known = chunk < len(chunks)
+    before = np.concatenate([[0], np.cumsum(sizes)])
+    at = chunk[known]
+    offsets = np.zeros(len(sizes), np.int64)
+    offsets[known] = chunks[at] + before[:-1][known] - before[np.concatenate([[0], ends])[at]]
+    known &= offsets + sizes <= length
+    t["offsets"], t["sizes"] = np.where(known, offsets, 0), np.where(known, sizes, 0)
+    sync = np.arange(len(sizes)) if t["sync"] is None else t["sync"]
+    sync = sync[(sync >= 0) & (sync < len(sizes))]
+    t["sync"] = sync[known[sync]]
+
+
 def sync_ranges(track: dict) -> list[tuple[int, int]]:
     """Byte ranges, end exclusive, of the frames that can be decoded alone."""
-    return [(int(track["offsets"][i]), int(track["offsets"][i] + track["sizes"][i])) for i in track["sync"]]
+    begin = track["offsets"][track["sync"]]
+    return list(zip(begin.tolist(), (begin + track["sizes"][track["sync"]]).tolist()))
 
 
 def read_payload(data: bytes, track: dict) -> bytes:
@@ -135,10 +169,10 @@ def read_payload(data: bytes, track: dict) -> bytes:
     return b"".join(data[a:b] for a, b in zip(offsets[np.concatenate([[0], cuts])], ends[np.concatenate([cuts - 1, [len(ends) - 1]])]))
 
 
-def features(data: bytes) -> str:
+def features(tracks: list[dict]) -> str:
     """Codec, seconds, frames, sync frames and the first and last sync byte range of each track."""
     told = []
-    for t in probe(data):
+    for t in tracks:
         ranges = sync_ranges(t)
         ends = f";first={ranges[0][0]}-{ranges[0][1]};last={ranges[-1][0]}-{ranges[-1][1]}" if ranges else ""
         told.append(f"codec={t['codec'].strip()};seconds={t['ticks'] / t['scale']:.6f};frames={len(t['sizes'])};sync={len(ranges)}{ends}")
@@ -157,17 +191,24 @@ def store(docs: DataFrame) -> DataFrame:
 
 
 def describe(media: DataFrame) -> DataFrame:
-    """Reads containers back: payload size, digests and box features. Null containers are read as empty."""
+    """Reads containers back: payload size, digests, box features, and in ``keyframes`` all byte ranges of frames that can be decoded alone.
+
+    Null containers are read as empty, damaged ones as far as they go. An empty table gives no rows; other columns play no part.
+    """
 
     def run(batches):
         for batch in small_batches(batches):
             out: dict[str, list] = {k: [] for k in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")}
+            keyframes = []
             for data in batch.column(2).to_pylist():
                 data = data or b""
-                payload = b"".join(read_payload(data, t) for t in probe(data))
-                for k, v in zip(out, (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(data), hashlib.sha256(data).hexdigest(), features(data))):
+                tracks = probe(data)
+                payload = b"".join(read_payload(data, t) for t in tracks)
+                for k, v in zip(out, (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(data), hashlib.sha256(data).hexdigest(), features(tracks))):
                     out[k].append(v)
+                keyframes.append([{"start": a, "end": b} for t in tracks for a, b in sync_ranges(t)])
             kinds = {"payload_sha256": pa.string(), "media_sha256": pa.string(), "feature": pa.string()}
-            yield to_batch({"doc_id": batch.column(0), "n_bytes": batch.column(1)} | {k: pa.array(v, kinds.get(k, pa.int64())) for k, v in out.items()})
+            ranges = pa.array(keyframes, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))
+            yield to_batch({"doc_id": batch.column(0), "n_bytes": batch.column(1)} | {k: pa.array(v, kinds.get(k, pa.int64())) for k, v in out.items()} | {"keyframes": ranges})
 
-    return arrow_map(media.select("doc_id", "n_bytes", "media"), run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return arrow_map(media.select("doc_id", "n_bytes", "media"), run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, keyframes array<struct<start:long,end:long>>")

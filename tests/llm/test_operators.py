@@ -200,7 +200,34 @@ def test_media(mixed, nothing):
     track = media_boxes.probe(data)[0]
     assert track["codec"] == "raw " and track["ticks"] == 192 * 130 and len(track["sync"]) == 3
     assert media_boxes.sync_ranges(track)[1][0] - media_boxes.sync_ranges(track)[0][0] == 192 * 64
-    assert media_boxes.probe(b"junk") == [] and media_boxes.features(b"") == ""
+    assert media_boxes.probe(b"junk") == [] and media_boxes.features(media_boxes.probe(b"")) == ""
+    for r in got:
+        data = media_boxes.build(media_boxes.pad(texts[r["doc_id"]]))
+        at = data.index(b"mdat") + 4
+        frames = len(data[at:]) // 192
+        assert (r["media_bytes"], r["media_sha256"]) == (len(data), hashlib.sha256(data).hexdigest())
+        assert [tuple(x) for x in r["keyframes"]] == [(at + 192 * i, at + 192 * (i + 1)) for i in range(0, frames, 64)]
+        assert r["feature"].startswith(f"codec=raw;seconds={frames * 192 / 8000:.6f};frames={frames};sync={-(-frames // 64)};first={at}-{at + 192};")
+
+
+def test_damaged_media(spark):
+    r, whole = random.Random(4), media_boxes.build(b"xy" * 96 * 200)
+    damaged = [whole[:n] for n in range(0, 1200, 7)]
+    for _ in range(1500):
+        at = r.randrange(1000)
+        damaged.append(whole[:at] + bytes(r.randrange(256) for _ in range(r.randint(1, 4))) + whole[at + r.randint(0, 4) :])
+    damaged += [media_boxes.box(b"moov", media_boxes.box(b"trak", media_boxes.full(b"stsz", b"\0\0\0\1\xff\xff\xff\xff")))]
+    nested = b""
+    for _ in range(3000):
+        nested = media_boxes.box(b"moov", nested)
+    damaged += [nested, b"\0\0\0\1moov" + (2**63).to_bytes(8, "big") + b"abc", b"\0\0\0\0trak\0\0\0\x09mdhd\1"]
+    for data in damaged:
+        for t in media_boxes.probe(data):
+            assert len(media_boxes.read_payload(data, t)) <= len(data) and all(0 <= a <= b <= len(data) for a, b in media_boxes.sync_ranges(t))
+    wide = media_boxes.box(b"ftyp") + b"\0\0\0\1free" + (16 + 4).to_bytes(8, "big") + b"abcd" + media_boxes.box(b"mdat", b"z")
+    assert [(p[-1], b - a) for p, a, b in media_boxes.walk(wide)] == [(b"ftyp", 0), (b"free", 4), (b"mdat", 1)]
+    df = spark.createDataFrame([(1, 5, bytearray(whole[:700])), (2, 0, None)], "doc_id long, n_bytes long, media binary")
+    assert {x["doc_id"]: x["payload_bytes"] for x in media_boxes.describe(df).collect()} == {1: 0, 2: 0}
 
 
 def test_languages(spark, mixed, nothing):
