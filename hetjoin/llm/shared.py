@@ -18,11 +18,13 @@ _made: list[tuple[SparkSession, str]] = []
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Where the session names none (tests, local mode) a temporary folder of this process is
-    used and remembered in the session.
+    Where the session names none, local mode uses a temporary folder of this process, remembered
+    in the session; on a cluster that is an error, as executors would not see it.
     """
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("hetjoin.shared.dir", None)
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir is not set")
         named = "file://" + tempfile.mkdtemp(prefix="hetjoin-")
         spark.conf.set("hetjoin.shared.dir", named)
     return named.rstrip("/")
@@ -89,6 +91,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """A table of few partitions, dealt over all cores before heavy work; larger ones as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df._jdf.queryExecution().toRdd().getNumPartitions() < cores else df
+
+
 def small_batches(batches, rows: int = 1024, size: int = 4 << 20):
     """Cuts Arrow batches so that one step holds at most ``rows`` rows and about ``size`` bytes."""
     for batch in batches:
