@@ -367,7 +367,11 @@ def ended(texts: pa.Array, encoder: FastEncoder) -> tuple[np.ndarray, np.ndarray
 
 
 def round_trip(docs: DataFrame, path: str | None = None) -> DataFrame:
-    """Encodes every text (null: empty), decodes the ids, and returns doc_id, n_tokens and both SHA-256 digests."""
+    """Encodes every text (null: empty), decodes the ids, and returns doc_id, n_tokens and both SHA-256 digests.
+
+    Long texts are worked on in segments. An empty table gives no rows, repeated ids come out as
+    often; other columns of the input play no part.
+    """
     path = path or vocabulary_path()
 
     def run(batches):

@@ -171,7 +171,7 @@ class ContentModel:
 
 
 def labelled_pages(count: int = 240, seed: int = 5) -> list[tuple[Page, list[int]]]:
-    """Training pages of several invented layouts; elements marked ``data-content`` (and all below them, but for marked parts) are content."""
+    """Training pages of several invented layouts; what stands between the comments ``main`` and ``out`` is content, but for parts between ``junk`` and ``end``."""
     r = random.Random(seed)
     text = lambda a, b: " ".join("".join(r.choice("abcdefghilmnoprstu") for _ in range(r.randint(1, 9))) for _ in range(r.randint(a, b)))
     link = lambda: f'<a href="/{r.random()}">{text(1, 3)}</a>'
@@ -247,7 +247,11 @@ def main_text(pages: list[Page], model: ContentModel) -> list[str]:
 
 
 def extract(pages: DataFrame, model: ContentModel | None = None) -> DataFrame:
-    """page_id, url, text, n_chars of every page; null or empty html gives an empty text."""
+    """page_id, url, text, n_chars of every page; null or empty html gives an empty text.
+
+    Pages of any length are read whole. An empty table gives no rows, repeated ids come out as
+    often; other columns of the input play no part.
+    """
     model = model or trained_model()
 
     def run(batches):

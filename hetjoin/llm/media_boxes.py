@@ -180,7 +180,7 @@ def features(tracks: list[dict]) -> str:
 
 
 def store(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes and ``media``: each whole text (null: empty), padded, in a container."""
+    """doc_id, n_bytes and ``media``: each whole text (null: empty), padded, in a container. Repeated ids come out as often, an empty table gives no rows."""
 
     def run(batches):
         for batch in small_batches(batches):

@@ -111,7 +111,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10, m: int = DIMENSI
     Both have vec_id and embedding; vectors are compared with those of the same length. All
     rows are dealt over blocks of about ``block`` rows, whatever their values; every query
     meets every block, and each block hands on at most k rows a query. A query's own id is
-    not among its results; of a repeated query id one row is searched.
+    not among its results; of a repeated query id one row is searched. Empty tables give no rows; other columns play no part.
     """
     good = usable(vectors).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
     asked = usable(queries).groupBy("vec_id").agg(F.min(F.col("embedding").cast("array<double>")).alias("v"))

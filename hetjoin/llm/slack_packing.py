@@ -122,5 +122,8 @@ def assign(cut_pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
 
 
 def pack(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, engine: str = "tokenizers") -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece of every document (null text: empty)."""
+    """doc_id, piece, start, length, ids_crc32, sequence_id, offset of every piece of every document (null text: empty).
+
+    Repeated ids are documents of their own. An empty table gives no rows; other columns of the input play no part.
+    """
     return assign(written(pieces(docs, capacity, path, engine), "pieces"), capacity)

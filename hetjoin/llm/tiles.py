@@ -19,7 +19,8 @@ from .shared import arrow_map, discard, small_batches, to_batch, written
 from .wordhash import shingle_set
 
 PERCENT = 80
-TILE = 256
+# Elements of the sets that one block holds, about, and classes that meet a block in one part.
+ELEMENTS, PART = 1 << 17, 1024
 LONG_RUN = 16
 SHARED = 8
 BLOOM_BITS = 1 << 25
@@ -159,8 +160,8 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def laid_out(pairs: DataFrame, tiles: DataFrame) -> DataFrame:
-    """(tile, part, role, sid, one): a tile's own classes (role 0) and those that meet it, in parts of about ``TILE``."""
-    parts = pairs.groupBy("tile").agg(F.ceil(F.count("*") / TILE).cast("int").alias("parts"))
+    """(tile, part, role, sid, one): a tile's own classes (role 0) and those that meet it, in parts of about ``PART``."""
+    parts = pairs.groupBy("tile").agg(F.ceil(F.count("*") / PART).cast("int").alias("parts"))
     members = pairs.join(parts, "tile").select("tile", F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"), F.col("a").alias("sid"), F.lit(True).alias("one"))
     own = tiles.join(parts, "tile").select("tile", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"), "sid", "one")
     return members.unionAll(own)
@@ -172,40 +173,44 @@ def sift(pairs: DataFrame, tiles: DataFrame, signatures: DataFrame) -> DataFrame
     dealt = rows.repartition("tile", "part").sortWithinPartitions("tile", "part", "role", "sid")
 
     def run(batches):
-        tile = None
-        block: list[tuple[int, int, np.ndarray]] = []
-        tables: dict[int, tuple] = {}
+        tile, block = None, Block()
         for batch in small_batches(batches, rows=4096):
             found: tuple[list, list] = ([], [])
             names, parts, roles, sids, sizes, maps = (batch.column(i).to_pylist() for i in range(6))
             for i, raw in enumerate(maps):
-                bits, n = np.frombuffer(raw, np.uint8), sizes[i]
                 if tile != (names[i], parts[i]):
-                    tile, block, tables = (names[i], parts[i]), [], {}
+                    tile, block = (names[i], parts[i]), Block()
+                bits = np.frombuffer(raw, np.uint8)
                 if roles[i] == 0:
-                    block.append((sids[i], n, bits))
-                    continue
-                if not block:
-                    continue
-                if len(bits) not in tables:
-                    width = len(bits)
-                    tables[width] = [(w, np.array([x[0] for x in rows_]), np.array([x[1] for x in rows_]), np.stack([folded(x[2], w) for x in rows_])) for w, rows_ in _by_width(block, width)]
-                for w, ids, others, table in tables[len(bits)]:
-                    if (may_be_similar(n, folded(bits, w), others, table) & (ids != sids[i])).any():
-                        found[0].append(sids[i])
-                        found[1].append(names[i])
-                        break
+                    block.add(sids[i], sizes[i], bits)
+                elif len(block.possible(sids[i], sizes[i], bits)):
+                    found[0].append(sids[i])
+                    found[1].append(names[i])
             yield to_batch({"a": pa.array(found[0], pa.int64()), "tile": pa.array(found[1], pa.int64())})
 
     return arrow_map(dealt, run, "a long, tile long").distinct()
 
 
-def _by_width(block: list, width: int) -> list:
-    """The rows of a block by the width at which they and a bitmap of ``width`` bytes can be compared."""
-    groups: dict[int, list] = {}
-    for row in block:
-        groups.setdefault(min(width, len(row[2])), []).append(row)
-    return list(groups.items())
+class Block:
+    """The bitmaps of a tile's own classes, stacked by width as they are first compared with."""
+
+    def __init__(self):
+        self.rows: list[tuple[int, int, np.ndarray]] = []
+        self.tables: dict[int, list] = {}
+
+    def add(self, sid: int, n: int, bits: np.ndarray) -> None:
+        self.rows.append((sid, n, bits))
+        self.tables.clear()
+
+    def possible(self, sid: int, n: int, bits: np.ndarray) -> np.ndarray:
+        """The places of the classes, other than ``sid``, that the bitmaps do not rule out."""
+        if len(bits) not in self.tables:
+            by_width: dict[int, list[int]] = {}
+            for i, row in enumerate(self.rows):
+                by_width.setdefault(min(len(bits), len(row[2])), []).append(i)
+            self.tables[len(bits)] = [(w, np.array(at), np.array([self.rows[i][0] for i in at]), np.array([self.rows[i][1] for i in at]), np.stack([folded(self.rows[i][2], w) for i in at])) for w, at in by_width.items()]
+        found = [at[may_be_similar(n, folded(bits, w), sizes, table) & (ids != sid)] for w, at, ids, sizes, table in self.tables[len(bits)]]
+        return np.sort(np.concatenate(found)) if found else np.zeros(0, np.int64)
 
 
 def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callable[[Bloom], DataFrame]) -> DataFrame:
@@ -225,7 +230,7 @@ def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callabl
     def run(batches):
         tile = last = union = None
         one = True
-        block: list[tuple[int, np.ndarray]] = []
+        block, sets = Block(), []
         for batch in small_batches(batches):
             found: tuple[list, list] = ([], [])
             names, parts, roles, sids, ones = (batch.column(i).to_pylist() for i in range(5))
@@ -236,19 +241,20 @@ def verify(pairs: DataFrame, tiles: DataFrame, owners: DataFrame, texts: Callabl
                 last = at
                 values = shingle_set(text)
                 if tile != at[:2]:
-                    tile, union, block = at[:2], None, []
+                    tile, union, block, sets = at[:2], None, Block(), []
                 if roles[i] == 0:
                     one = ones[i]
-                    block.append((sids[i], values))
+                    block.add(sids[i], len(values), bitmap(values))
+                    sets.append(values)
                     continue
-                if len(block) > 1:
-                    union = np.unique(np.concatenate([b[1] for b in block])) if union is None else union
-                    if common(values, union) < needed_overlap(len(values), max(min(len(b[1]) for b in block), -(-PERCENT * len(values) // 100))):
+                if len(sets) > 1:
+                    union = np.unique(np.concatenate(sets)) if union is None else union
+                    if common(values, union) < needed_overlap(len(values), max(min(map(len, sets)), -(-PERCENT * len(values) // 100))):
                         continue
-                for sid, other in block:
-                    if sid != sids[i] and similar(values, other):
+                for k in block.possible(sids[i], len(values), bitmap(values)).tolist():
+                    if similar(values, sets[k]):
                         found[0].append(sids[i])
-                        found[1].append(sid)
+                        found[1].append(block.rows[k][0])
                         if one:
                             break
             yield to_batch({"a": pa.array(found[0], pa.int64()), "b": pa.array(found[1], pa.int64())})
@@ -265,8 +271,8 @@ def mixed_rows(keys: DataFrame, roots: DataFrame) -> DataFrame:
     """A written table of the rows of keys that hold two or more components, with the component and its size."""
     sized = roots.join(roots.groupBy("root").agg(F.count("*").alias("size")), "root").select(F.col("id").alias("sid"), "root", "size")
     marked = keys.join(sized, "sid", "left").withColumn("root", F.coalesce("root", "sid")).withColumn("size", F.coalesce("size", F.lit(1).cast("long")))
-    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("run")).where("r0 <> r1").select("key", "run")
-    return written(marked.join(mixed, "key").select("key", "run", "band", "sid", "n", "root", "size"), "mixed")
+    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("run"), F.sum("n").alias("weight")).where("r0 <> r1").select("key", "run", "weight")
+    return written(marked.join(mixed, "key").select("key", "run", "weight", "band", "sid", "n", "root", "size"), "mixed")
 
 
 def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
@@ -280,14 +286,14 @@ def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
 def cross_tiles(rows: DataFrame, sure: Callable = sure_keys) -> tuple[DataFrame, DataFrame]:
     """(a, tile) for all classes and blocks of other components of like size that share enough keys, and the tiles.
 
-    A block is up to about ``TILE`` classes of one component, so two large components of near
-    copies meet block by block; the class comes from the smaller of the two components.
+    A block is classes of one component with up to about ``ELEMENTS`` elements, so two large components
+    of near copies meet block by block; the class comes from the smaller of the two components.
     Classes still alone form blocks by the longest run of keys that they are in.
     """
-    top = rows.groupBy("sid").agg(F.max(F.struct("run", "key")).alias("top"))
+    top = rows.groupBy("sid").agg(F.max(F.struct("run", "key", "weight")).alias("top"))
     alone = F.col("size") == 1
-    many, label = F.when(alone, F.col("top.run")).otherwise(F.col("size")), F.when(alone, F.col("top.key")).otherwise(F.col("root"))
-    marked = rows.join(top, "sid").withColumn("tile", F.xxhash64(alone, label, F.pmod(F.xxhash64("sid"), F.ceil(many / TILE)))).withColumn("one", ~alone)
+    elements, label = F.when(alone, F.col("top.weight")).otherwise(F.col("size") * F.col("n")), F.when(alone, F.col("top.key")).otherwise(F.col("root"))
+    marked = rows.join(top, "sid").withColumn("tile", F.xxhash64(alone, label, F.pmod(F.xxhash64("sid"), F.ceil(elements / ELEMENTS)))).withColumn("one", ~alone)
     blocks = marked.groupBy("key", "band", "tile", "one", "size", F.when(~alone, F.col("root")).alias("root")).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.min("sid").alias("low"), F.max("sid").alias("high"))
     left = rows.select("key", F.col("sid").alias("a"), "n", F.col("root").alias("ar"), F.col("size").alias("as"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
     smaller = (F.col("as") < F.col("size")) | ((F.col("as") == F.col("size")) & (F.col("ar") < F.col("root")))

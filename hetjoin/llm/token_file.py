@@ -87,7 +87,8 @@ class TokenReader:
 def write(docs: DataFrame, uri: str, path: str | None = None, engine: str = "tokenizers", length: int = SEQUENCE) -> DataFrame:
     """Encodes every text (null: empty) and end id into files under ``uri``; returns the index of documents.
 
-    Documents are dealt to files by ranges of doc_id (null ids first, equal ids in order of
+    An empty table gives no files and no rows; other columns of the input play no part; texts of any
+    length are one document. Documents are dealt to files by ranges of doc_id (null ids first, equal ids in order of
     a hash of the text). The index has doc_id, shard, file, local_start and n_tokens. A file's
     name is new for each attempt, and the index that Spark commits names the files of the
     attempts that count, so repeated or lost tasks do no harm.

@@ -2,6 +2,7 @@ import hashlib
 import random
 import re
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -370,6 +371,72 @@ def test_passages_inside_lines_and_across_line_ends(spark):
     assert [clean[i]["text"] for i in range(7)] == want[:7] and all(x["n_chars"] == len(x["text"]) for x in clean.values())
 
 
+def left_by_brute_force(rows):
+    """Words of each text without near-copied lines and repeated passages, by comparing everything with everything."""
+    lines = [(i, k, line, shingle_set(line)) for i, t, *_ in rows for k, line in enumerate((t or "").split("\n")) if len(line.split()) >= paragraph_dedup.MIN_WORDS]
+    group = list(range(len(lines)))
+    for a in range(len(lines)):
+        for b in range(a):
+            if group[a] != group[b] and similar(lines[a][3], lines[b][3]):
+                group = [group[b] if g == group[a] else g for g in group]
+    first: dict[int, tuple] = {}
+    for (i, k, *_), g in zip(lines, group):
+        first[g] = min(first.get(g, (i, k)), (i, k))
+    gone = {(i, k) for (i, k, *_), g in zip(lines, group) if first[g] != (i, k)}
+    left = {i: [w for k, line in enumerate((t or "").split("\n")) if (i, k) not in gone for w in line.split()] for i, t, *_ in rows}
+    places: dict[tuple, list] = {}
+    for i in sorted(left):
+        lower = [w.lower() for w in left[i]]
+        for at in range(len(lower) - paragraph_dedup.SPAN + 1):
+            places.setdefault(tuple(lower[at : at + paragraph_dedup.SPAN]), []).append((i, at))
+    cut: dict[int, set] = {i: set() for i in left}
+    for found in places.values():
+        for i, at in found:
+            if i != found[0][0] or at - found[0][1] >= paragraph_dedup.SPAN:
+                cut[i] |= set(range(at, at + paragraph_dedup.SPAN))
+    return {i: [w for k, w in enumerate(own) if k not in cut[i]] for i, own in left.items()}
+
+
+def test_paragraphs_and_passages_equal_brute_force(spark):
+    r = random.Random(21)
+    shared, rows = [words(r, n, 10**6).split() for n in (51, 60, 80, 140, 24, 25, 50)], []
+    near = words(r, 40, 10**6).split()
+    for i in range(60):
+        parts = []
+        for _ in range(r.randint(1, 5)):
+            kind = r.random()
+            if kind < 0.35:
+                parts.append(words(r, r.randint(1, 70), 10**6))
+            elif kind < 0.6:
+                parts.append(" ".join(r.choice(shared)))
+            elif kind < 0.75:
+                v = list(near)
+                v[r.randrange(40)] = f"n{r.randrange(9)}"
+                parts.append(" ".join(v))
+            else:
+                # A passage with words of its own about it, maybe broken by a line end.
+                v = r.choice(shared)
+                at = r.randrange(len(v))
+                parts.append(f"{words(r, r.randint(0, 30), 10**6)} {' '.join(v[:at])}{r.choice([' ', chr(10), '  '])}{' '.join(v[at:])} {words(r, r.randint(0, 30), 10**6)}")
+        rows.append((i, r.choice(["\n", "\n\n"]).join(parts), "en", "a"))
+    want = left_by_brute_force(rows)
+    got = {x["doc_id"]: (x["text"] or "").split() for x in paragraph_dedup.dedup(docs_of(spark, rows)).collect()}
+    assert {i: w for i, w in got.items() if w != want[i]} == {}
+    # Every shared passage of over 50 words is left once at most.
+    texts = [" ".join(w) for w in got.values()]
+    assert all(sum(" ".join(v) in t for t in texts) <= 1 for v in shared if len(v) > 50)
+
+
+def test_very_long_lines_and_empty_ones(spark):
+    r = random.Random(22)
+    long = words(r, 40_000, 10**6)
+    rows = [(1, long, "en", "a"), (2, f"{words(r, 10)}\n{long}\n", "en", "a"), (3, "\n" * 5000, "en", "a"), (4, " ", "en", "a"), (5, words(r, 24), "en", "a"), (6, None, "en", "a")]
+    rows.append((7, rows[4][1], "en", "a"))
+    got = {x["doc_id"]: x for x in paragraph_dedup.dedup(docs_of(spark, rows)).collect()}
+    assert got[1]["text"] == long and got[2]["text"] == rows[1][1].split("\n")[0] + "\n" and got[3]["text"] == "\n" * 5000
+    assert (got[4]["text"], got[5]["text"], got[7]["text"], got[6]["text"]) == (" ", rows[4][1], rows[4][1], None)
+
+
 def test_repetitive_lines_have_sets_of_like_size(spark):
     phrase = "five words that come again "
     rows = [(1, (phrase * 6).strip(), "en", "a"), (2, (phrase * 10).strip(), "en", "a")]
@@ -514,6 +581,23 @@ def test_pages_held_out():
     assert np.mean(right) > 0.95
 
 
+@pytest.mark.skipif(not Path("/root/testdata/sf0.001").exists(), reason="the given tables")
+def test_languages_held_out(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    found = language_id.identify(docs).alias("f").join(docs.alias("d"), "doc_id").where("held_out and d.lang is not null and lang_pred <> 'und'")
+    right, n = found.agg(F.count_if(F.col("lang_pred") == F.col("d.lang")), F.count("*")).first()
+    assert n > 30 and right >= 0.95 * n
+
+
+def test_long_and_nested_pages():
+    deep = "<div>" * 3000 + "<article><p>Deep down here.</p></article>" + "</div>" * 3000
+    assert isinstance(extract(deep), str)
+    body = "".join(f"<p>Sentence number {i} of a long article about many things.</p>" for i in range(5000))
+    got = extract(f"<html><body><nav><ul><li><a href=x>Home</a></li></ul></nav><article>{body}</article><footer>&copy;</footer></body></html>")
+    assert got.split("\n\n") == [f"Sentence number {i} of a long article about many things." for i in range(5000)]
+    assert extract("<" * 20_000) is not None and extract("<p " + "a=b " * 20_000) == ""
+
+
 def test_language_stage_keeps_short_texts(spark):
     import corpus_pipeline
 
