@@ -193,6 +193,24 @@ def test_sql_surface(spark, triangle, tmp_path):
         tables.read(spark, "csv", "x")
 
 
+def test_sliding_and_session_windows_and_late_rows(spark, tmp_path):
+    rows = spark.createDataFrame([(0, t) for t in (100, 104, 109, 130, 131)] + [(1, 100)], "machine int, s long").select("machine", F.timestamp_seconds("s").alias("ts"))
+    sliding = {(r["machine"], int(r["window"]["start"].timestamp())): r["tuples"] for r in routing.load_windows(rows, "ts", "10 seconds", "5 seconds").collect()}
+    assert sliding[0, 100] == 3 and sliding[0, 95] == 2 and sliding[0, 105] == 1 and sliding[1, 95] == 1
+    sessions = sorted((r["machine"], r["tuples"]) for r in routing.load_windows(rows, "ts", "", gap="6 seconds").collect())
+    assert sessions == [(0, 2), (0, 3), (1, 1)]
+    source, schema = tmp_path / "late", "machine int, s long"
+    source.mkdir()
+    counts = routing.load_windows(spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(source)).withColumn("ts", F.timestamp_seconds("s")), "ts", "10 seconds", late="20 seconds")
+    for times in ([100, 101], [200], [102], [190, 400]):
+        spark.createDataFrame([(0, t) for t in times], schema).coalesce(1).write.mode("append").parquet(str(source))
+        query = counts.writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "state")).outputMode("append").trigger(availableNow=True).start()
+        query.awaitTermination(120)
+    closed = {int(r["window"]["start"].timestamp()): r["tuples"] for r in spark.read.parquet(str(tmp_path / "out")).collect()}
+    # The row of second 102 came after its window had been closed; that of second 190 in time.
+    assert closed[100] == 2 and closed[190] == 1 and closed[200] == 1 and 400 not in closed
+
+
 def test_streams(spark, tmp_path):
     source = tmp_path / "in"
     spark.range(100).select(F.col("id").alias("x"), (F.col("id") % 5).alias("z"), F.timestamp_seconds(F.col("id") + 86_400).alias("ts")).write.parquet(str(source))
