@@ -25,7 +25,7 @@ from .shared import arrow_map, small_batches, to_batch
 END_ID, DEFAULT_VOCABULARY = 2, "byte_bpe_50k.json"
 # The white space of Unicode, as in the pattern of the vocabulary's pre-tokenizer.
 WHITE_SPACE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
-_SEGMENT, _CACHED_CHARS, _CACHED_WORDS = 1 << 20, 48, 600_000
+_SEGMENT, _CACHED_CHARS, _CACHED_WORDS = 1 << 20, 48, 300_000
 
 
 def vocabulary_path(name: str = DEFAULT_VOCABULARY) -> str:
@@ -190,12 +190,12 @@ class FastEncoder:
 
     def __init__(self, path: str, engine: str = "tokenizers"):
         self.path, self.engine = path, engine
-        own = model(path)
-        self.size, self.dtype, self.split_added, self.added = own.size, own.dtype, own.split_added, own.added
         if engine == "tiktoken":
             import public_tokenizers
             import tiktoken
 
+            own = model(path)
+            self.size, self.added, self.split_added = own.size, own.added, own.split_added
             ranks = {own.bytes_of[i]: i for i in own.byte_id}
             for i in own.merged:
                 ranks[own.bytes_of[i]] = i
@@ -209,11 +209,14 @@ class FastEncoder:
             self.inner = tokenizers.Tokenizer.from_file(path)
             self.inner.no_truncation()
             self.inner.no_padding()
+            self.size = 1 + max(self.inner.get_vocab(with_added_tokens=True).values())
+            self.added = {t.content: i for i, t in self.inner.get_added_tokens_decoder().items()}
             self.merges = self.inner.model
-            self.cuts = _cuts_safely(path)
+            self.cuts = _cuts_safely(self.inner)
             self.letters = dict(enumerate(byte_letters()))
             self.known: dict[bytes, bytes] = {}
             self.older: dict[bytes, bytes] = {}
+        self.dtype = np.dtype("<u2") if self.size <= 1 << 16 else np.dtype("<u4")
 
     def encode(self, text: str) -> np.ndarray:
         return self.encode_all(pa.array([text], pa.large_string()))[0]
@@ -343,16 +346,13 @@ def part_starts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return np.flatnonzero(begin[:-1])
 
 
-@lru_cache(maxsize=2)
-def _cuts_safely(path: str) -> bool:
-    """True if texts may be cut before a space that follows another character: plain byte-level
-    pre-tokenizing, nothing before or after it, and added tokens that neither hold nor strip white space."""
-    with open(path, encoding="utf-8") as f:
-        spec = json.load(f)
-    before = spec["pre_tokenizer"] or {}
-    plain = before.get("type") == "ByteLevel" and not before.get("add_prefix_space") and before.get("use_regex", True)
-    bare = not any(t["lstrip"] or t["rstrip"] or t["single_word"] or re.search(r"\s", t["content"]) for t in spec["added_tokens"])
-    return bool(plain and bare and not spec["normalizer"])
+def _cuts_safely(inner) -> bool:
+    """True if texts may be cut at the places of :func:`part_starts`: plain byte-level pre-tokenizing,
+    nothing before it, and added tokens that neither hold nor strip white space."""
+    before = inner.pre_tokenizer
+    plain = type(before).__name__ == "ByteLevel" and not before.add_prefix_space and before.use_regex
+    bare = not any(t.lstrip or t.rstrip or t.single_word or re.search(r"\s", t.content) for t in inner.get_added_tokens_decoder().values())
+    return bool(plain and bare and inner.normalizer is None)
 
 
 @lru_cache(maxsize=2)

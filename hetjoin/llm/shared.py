@@ -43,8 +43,10 @@ def _remove_made() -> None:
         _remove(spark, path)
 
 
-# While a table is written: Arrow batches stay small, and the shuffle files of the step go when it ends.
-_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxRecordsPerBatch": "2048", "spark.sql.execution.arrow.maxBytesPerBatch": "8m"}
+# While a table is written: the shuffle files of the step go when it ends.
+_WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}
+# Arrow batches that go to Python workers; a session that sets sizes of its own keeps them.
+_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": ("10000", "2048"), "spark.sql.execution.arrow.maxBytesPerBatch": ("67108864b", "8m")}
 
 
 @contextmanager
@@ -110,7 +112,10 @@ def to_batch(columns: dict[str, pa.Array]) -> pa.RecordBatch:
 
 
 def ship(spark: SparkSession) -> None:
-    """Makes this package importable in Python workers: once per context, as a zip that Spark hands out."""
+    """Makes this package importable in Python workers: once per context, as a zip that Spark hands out. Bounds Arrow batches, too."""
+    for key, (default, smaller) in _BATCHES.items():
+        if spark.conf.get(key, default) == default:
+            spark.conf.set(key, smaller)
     context = spark.sparkContext
     if getattr(context, "_hetjoin_shipped", False):
         return
