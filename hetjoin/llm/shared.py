@@ -46,7 +46,7 @@ def _remove_made() -> None:
 # While a table is written: the shuffle files of the step go when it ends.
 _WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}
 # Arrow batches that go to Python workers; a session that sets sizes of its own keeps them.
-_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": ("10000", "2048"), "spark.sql.execution.arrow.maxBytesPerBatch": ("67108864b", "8m")}
+_BATCHES = {"spark.sql.execution.arrow.maxRecordsPerBatch": ("10000", "2048"), "spark.sql.execution.arrow.maxBytesPerBatch": ("67108864b", "4m")}
 
 
 @contextmanager
@@ -99,7 +99,7 @@ def spread(df: DataFrame) -> DataFrame:
     return df.repartition(cores) if df._jdf.queryExecution().toRdd().getNumPartitions() < cores else df
 
 
-def small_batches(batches, rows: int = 1024, size: int = 4 << 20):
+def small_batches(batches, rows: int = 1024, size: int = 1 << 20):
     """Cuts Arrow batches so that one step holds at most ``rows`` rows and about ``size`` bytes."""
     for batch in batches:
         step = max(1, min(rows, int(batch.num_rows * size / max(batch.nbytes, 1)))) if batch.num_rows else 1

@@ -75,7 +75,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, path: str | None = None, e
 
     def run(batches):
         task, seen = TaskContext.get().partitionId(), np.zeros(capacity + 1, np.int64)
-        for batch in small_batches(batches, rows=4096, size=4 << 20):
+        for batch in small_batches(batches, rows=2048, size=2 << 20):
             ids, begins = ended(batch.column(1), fast_encoder(path, engine))
             raw, total = ids.astype("<u4").tobytes(), np.diff(begins)
             row, k, start, length = cut(total, capacity)

@@ -101,7 +101,7 @@ def write(docs: DataFrame, uri: str, path: str | None = None, engine: str = "tok
         name = f"{shard:06d}-{uuid.uuid4().hex}.arrow"
         out = sink = None
         at = 0
-        for batch in small_batches(batches, rows=4096, size=4 << 20):
+        for batch in small_batches(batches, rows=2048, size=2 << 20):
             encoder = fast_encoder(path, engine)
             if out is None:
                 store.create_dir(root, recursive=True)
