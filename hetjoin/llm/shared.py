@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import tempfile
 import uuid
 import zipfile
@@ -128,7 +129,21 @@ def ship(spark: SparkSession) -> None:
     context._hetjoin_shipped = True
 
 
-def arrow_map(df: DataFrame, function, schema: str) -> DataFrame:
+def _give_back() -> None:
+    """Hands freed memory back to the system: a worker lives on for other steps, whose needs would add up."""
+    pa.default_memory_pool().release_unused()
+    with suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def arrow_map(df: DataFrame, function, schema) -> DataFrame:
     """``mapInArrow`` with this package at hand in the workers."""
     ship(df.sparkSession)
-    return df.mapInArrow(function, schema)
+
+    def run(batches):
+        try:
+            yield from function(batches)
+        finally:
+            _give_back()
+
+    return df.mapInArrow(run, schema)
