@@ -268,11 +268,17 @@ def single(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
 
 
 def mixed_rows(keys: DataFrame, roots: DataFrame) -> DataFrame:
-    """A written table of the rows of keys that hold two or more components, with the component and its size."""
+    """A written table of the rows of keys that hold two or more components, with the component and its size, and the key's least and last band."""
     sized = roots.join(roots.groupBy("root").agg(F.count("*").alias("size")), "root").select(F.col("id").alias("sid"), "root", "size")
     marked = keys.join(sized, "sid", "left").withColumn("root", F.coalesce("root", "sid")).withColumn("size", F.coalesce("size", F.lit(1).cast("long")))
-    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("run"), F.sum("n").alias("weight")).where("r0 <> r1").select("key", "run", "weight")
-    return written(marked.join(mixed, "key").select("key", "run", "weight", "band", "sid", "n", "root", "size"), "mixed")
+    mixed = marked.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("run"), F.sum("n").alias("weight"), F.min("band").alias("from_band"), F.max("band").alias("to_band")).where("r0 <> r1").drop("r0", "r1")
+    return written(marked.join(mixed, "key").select("key", "run", "weight", "band", "from_band", "to_band", "sid", "n", "root", "size"), "mixed")
+
+
+def near_bands(rows: DataFrame) -> DataFrame:
+    """(key, a, n, ar, as, band): each row once for its band and each neighbouring one, within those that its key has at all."""
+    bands = F.sequence(F.greatest(F.col("band") - 1, "from_band"), F.least(F.col("band") + 1, "to_band"))
+    return rows.select("key", F.col("sid").alias("a"), "n", F.col("root").alias("ar"), F.col("size").alias("as"), F.explode(bands).alias("band"))
 
 
 def other_pivots(rows: DataFrame, seed: int) -> DataFrame:
@@ -295,11 +301,10 @@ def cross_tiles(rows: DataFrame, sure: Callable = sure_keys) -> tuple[DataFrame,
     elements, label = F.when(alone, F.col("top.weight")).otherwise(F.col("size") * F.col("n")), F.when(alone, F.col("top.key")).otherwise(F.col("root"))
     marked = rows.join(top, "sid").withColumn("tile", F.xxhash64(alone, label, F.pmod(F.xxhash64("sid"), F.ceil(elements / ELEMENTS)))).withColumn("one", ~alone)
     blocks = marked.groupBy("key", "band", "tile", "one", "size", F.when(~alone, F.col("root")).alias("root")).agg(F.min("n").alias("least"), F.max("n").alias("most"), F.min("sid").alias("low"), F.max("sid").alias("high"))
-    left = rows.select("key", F.col("sid").alias("a"), "n", F.col("root").alias("ar"), F.col("size").alias("as"), F.explode(F.sequence(F.col("band") - 1, F.col("band") + 1)).alias("band"))
     smaller = (F.col("as") < F.col("size")) | ((F.col("as") == F.col("size")) & (F.col("ar") < F.col("root")))
     singles = ~F.col("one") & (F.col("as") == 1) & ((F.col("low") != F.col("a")) | (F.col("high") != F.col("a")))
     fits = (F.col("n") * 100 >= F.col("least") * PERCENT) & (F.col("most") * 100 >= F.col("n") * PERCENT)
-    pairs = left.join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root")))))
+    pairs = near_bands(rows).join(blocks, ["key", "band"]).where(fits & (singles | (F.col("one") & smaller & (F.col("ar") != F.col("root")))))
     enough = F.count("*") >= F.min(F.least(sure("n"), sure("least")))
     pairs = pairs.groupBy("a", "tile").agg(enough.alias("enough")).where("enough").select("a", "tile")
     return pairs, marked.select("tile", "sid", "one").distinct()

@@ -10,9 +10,16 @@ import pytest
 from pyspark.sql import functions as F
 
 from hetjoin.llm import bpe, components, html_content, jaccard_join, language_id, media_boxes, paragraph_dedup, projected_nn, secret_scan, slack_packing, token_file
-from hetjoin.llm.tiles import bitmap, folded, may_be_similar, similar
+from hetjoin.llm.tiles import bitmap, folded, may_be_similar, near_bands, similar
 from hetjoin.llm.wordhash import shingle_set
 
+
+def test_rows_meet_only_bands_that_their_key_has(spark):
+    rows = [(1, 3, 4, 10), (1, 4, 4, 11), (2, 5, 5, 12)]
+    made = spark.createDataFrame([(k, b, lo, hi, s, 9, s, 1) for (k, b, hi, s), lo in zip(rows, (3, 3, 5))], "key long, band long, from_band long, to_band long, sid long, n long, root long, size long")
+    assert sorted((r["key"], r["a"], r["band"]) for r in near_bands(made).collect()) == [(1, 10, 3), (1, 10, 4), (1, 11, 3), (1, 11, 4), (2, 12, 5)]
+
+
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, n_tokens string, component_id string, score double"
 
 
